@@ -8,6 +8,7 @@ that setting is absent (tests, a laptop) a folder of this process is used.
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -64,19 +65,22 @@ def stored(df: DataFrame, name: str = "part") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def drop_stored(df: DataFrame | None) -> None:
+def drop_stored(df: DataFrame) -> None:
     """Delete what ``stored`` wrote, once nothing reads it any more."""
-    if df is None:
-        return
     spark = df.sparkSession
-    folders = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
-    home = shared_folder(spark).split("://")[-1].lstrip("/").split("/", 0)[0]
-    for folder in folders:
+    home = shared_folder(spark).split(":", 1)[-1].lstrip("/")
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
         if home in folder:
             path = spark._jvm.org.apache.hadoop.fs.Path(folder)
             path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def sweep(spark: SparkSession) -> None:
+    """Let Spark drop the shuffle files of finished jobs now, not when the driver happens to need memory."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def word_count(text: Column | str) -> Column:
     """Number of words of a text; 0 for null."""
     col = F.col(text) if isinstance(text, str) else text

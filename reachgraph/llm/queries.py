@@ -11,8 +11,11 @@ from pyspark.sql import functions as F
 
 from reachgraph.llm.chat_format import format_conversations, read_back
 from reachgraph.llm.common import read
+from reachgraph.llm.decontam import contaminated
 from reachgraph.llm.html_extract import extract_pages
 from reachgraph.llm.mixing import mix_sources
+from reachgraph.llm.near_dup import near_duplicates
+from reachgraph.llm.quality import judge
 from reachgraph.llm.secret_scan import BASE_RULES, scan_paths
 from reachgraph.llm.vector_topk import quantised, top_k
 
@@ -22,6 +25,11 @@ def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_sources(read(spark, sf_dir, "documents"))
 
 
+def op2_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of near-duplicate documents on two-word shingles."""
+    return near_duplicates(read(spark, sf_dir, "documents"), width=2, percent=80).drop("tie")
+
+
 def op3_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All conversations and one full of control strings, formatted and read back."""
     rows = read(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
@@ -44,6 +52,16 @@ def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Probabilities of low quality and of toxicity of every document, and whether it stays."""
+    return judge(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")).drop("tie")
+
+
+def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with the benchmark items that it holds."""
+    return contaminated(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("tie")
+
+
 def op8_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Main text of every page."""
     return extract_pages(read(spark, sf_dir, "pages"))
@@ -55,9 +73,28 @@ def op10_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(vectors, vectors.where(F.col("vec_id") % 100 == 0), k=10)
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_chat_format, op5_secret_scan, op8_html_extract, op10_exact_topk)}
+QUERIES = {
+    f.__name__: f
+    for f in (op1_mix_sources, op2_near_dup, op3_chat_format, op5_secret_scan, op6_quality, op7_decontaminate, op8_html_extract, op10_exact_topk)
+}
 
 ORACLE = {
+    "op2_near_dup": r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda w: w <> '') AS w
+  FROM documents),
+sets AS (
+  SELECT doc_id, list_distinct(CASE WHEN len(w) = 0 THEN [] WHEN len(w) = 1 THEN [w[1]]
+    ELSE list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]) END) AS s FROM words),
+classes AS (SELECT md5(array_to_string(list_sort(s), chr(10))) AS c, min(doc_id) AS rep, any_value(s) AS s FROM sets WHERE len(s) > 0 GROUP BY 1),
+shingles AS (SELECT rep, len(s) AS n, unnest(s) AS g FROM classes),
+links AS (
+  SELECT a.rep AS x, b.rep AS y FROM shingles a JOIN shingles b ON a.g = b.g AND a.rep <> b.rep AND 100 * least(a.n, b.n) >= 80 * greatest(a.n, b.n)
+  GROUP BY a.rep, b.rep, a.n, b.n HAVING 100 * count(*) >= 80 * (a.n + b.n - count(*))),
+reach AS (SELECT rep AS x, rep AS y FROM classes UNION SELECT r.x, l.y FROM reach r JOIN links l ON r.y = l.x),
+low AS (SELECT x, min(y) AS m FROM reach GROUP BY x)
+SELECT d.doc_id, CAST(len(d.s) AS BIGINT) AS n_shingles, coalesce(low.m, d.doc_id) AS component_id, d.doc_id = coalesce(low.m, d.doc_id) AS kept
+FROM sets d LEFT JOIN classes c ON len(d.s) > 0 AND md5(array_to_string(list_sort(d.s), chr(10))) = c.c LEFT JOIN low ON low.x = c.rep""",
     "op3_chat_format": r"""
 WITH turns AS (
   SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
