@@ -9,10 +9,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from corpus_pipeline import run as pipeline
 from reachgraph.llm.chat_format import format_conversations, read_back
 from reachgraph.llm.common import read
 from reachgraph.llm.decontam import contaminated
 from reachgraph.llm.html_extract import extract_pages
+from reachgraph.llm.line_dedup import near_duplicate_lines
 from reachgraph.llm.mixing import mix_sources
 from reachgraph.llm.near_dup import near_duplicates
 from reachgraph.llm.quality import judge
@@ -67,6 +69,11 @@ def op8_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_pages(read(spark, sf_dir, "pages"))
 
 
+def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every line of 30 characters or more with the first occurrence of its class."""
+    return near_duplicate_lines(read(spark, sf_dir, "documents"))
+
+
 def op10_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ten best inner products of every hundredth vector."""
     vectors = quantised(read(spark, sf_dir, "embeddings"))
@@ -75,8 +82,8 @@ def op10_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_mix_sources, op2_near_dup, op3_chat_format, op5_secret_scan, op6_quality, op7_decontaminate, op8_html_extract, op10_exact_topk)
-}
+    for f in (op1_mix_sources, op2_near_dup, op3_chat_format, op5_secret_scan, op6_quality, op7_decontaminate, op8_html_extract, op9_line_dedup, op10_exact_topk)
+} | {"pipeline": pipeline}
 
 ORACLE = {
     "op2_near_dup": r"""
