@@ -19,6 +19,7 @@ from reachgraph.llm.mixing import mix_sources
 from reachgraph.llm.near_dup import near_duplicates
 from reachgraph.llm.quality import judge
 from reachgraph.llm.secret_scan import BASE_RULES, scan_paths
+from reachgraph.llm.suffix_dedup import repeated_strings
 from reachgraph.llm.vector_topk import quantised, top_k
 
 
@@ -40,6 +41,13 @@ def op3_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_back(format_conversations(rows.unionByName(extra)))
 
 
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What is left of every document without its repeated 200-byte strings."""
+    cut = repeated_strings(read(spark, sf_dir, "documents"))
+    removed = F.aggregate("spans", F.lit(0).cast("long"), lambda total, s: total + s[1] - s[0])
+    return cut.select("doc_id", "n_bytes", removed.alias("n_removed"), F.size("spans").cast("long").alias("n_spans"), "kept_sha256")
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Secrets in every document, found once per distinct text."""
     found = scan_paths(read(spark, sf_dir, "documents"))
@@ -82,7 +90,7 @@ def op10_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_mix_sources, op2_near_dup, op3_chat_format, op5_secret_scan, op6_quality, op7_decontaminate, op8_html_extract, op9_line_dedup, op10_exact_topk)
+    for f in (op1_mix_sources, op2_near_dup, op3_chat_format, op4_suffix_dedup, op5_secret_scan, op6_quality, op7_decontaminate, op8_html_extract, op9_line_dedup, op10_exact_topk)
 } | {"pipeline": pipeline}
 
 ORACLE = {
