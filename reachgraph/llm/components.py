@@ -10,7 +10,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from reachgraph.llm.common import drop_stored, stored, sweep
@@ -50,63 +50,96 @@ def components(edges: DataFrame) -> DataFrame:
 def bucket_components(
     buckets: DataFrame,
     verifier: Callable[[DataFrame], Callable[[DataFrame], DataFrame]],
-    chunk: int = 64,
-) -> tuple[DataFrame, DataFrame]:
-    """Components of the verified links among nodes that share a bucket, and a set of links that spans them.
+    bound: Callable[[DataFrame], tuple[DataFrame, Callable[[str, str], Column]]] | None = None,
+    refine: Callable[[DataFrame], DataFrame] | None = None,
+    rounds: int = 2,
+    large: int = 32,
+) -> DataFrame:
+    """(node, label) of the nodes in components of several, by verified links among nodes that share a bucket.
 
     ``buckets(key, node)`` proposes. ``verifier`` gets the members of buckets
     with several nodes and returns a function that takes distinct pairs (a, b),
     a > b, and gives back those that are linked. First every node of a bucket is
     held against the bucket's smallest node, one pair per row, so that a group of
-    copies of any size costs as many pairs as it has members. Links inside a
-    component that is known already add nothing to the components. What is left
-    are pairs of one bucket in different components: all of them are verified,
-    so that no link between components is lost. Returns (components, links).
+    copies of any size costs as many pairs as it has members; then, for
+    ``rounds`` rounds, nodes outside the bucket's main component against one of
+    its nodes each. Links inside a component add nothing to it. What is left are
+    pairs of one bucket in different components, of which one is not in the
+    main component: all of them are verified, so that no link between components
+    is lost, but for those that ``bound`` proves to be none. ``bound`` gets the
+    nodes of buckets with more than ``large`` open nodes and returns columns by
+    node and a condition, on two prefixes of these columns, that links meet.
+    ``refine`` gets the same nodes and returns finer buckets (key, node) that
+    any two linked nodes still share; these replace the large ones.
     """
     spark = buckets.sparkSession
-    hubs = buckets.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("top")).where("hub < top").select("key", "hub")
-    members = stored(buckets.join(hubs, "key"), "members")
+    # most buckets have one node; a count per key is all that travels to find them
+    often = buckets.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
+    met = stored(buckets.join(often, "key"), "met")
+    hubs = met.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("top")).where("hub < top").select("key", "hub")
+    members = stored(met.join(hubs, "key"), "members")
     sweep(spark)
     verify = verifier(members)
     tried = stored(members.where("node <> hub").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct(), "tried")
-    links = stored(verify(tried), "links")
+    labels = stored(components(stored(verify(tried), "links")), "labels")
     sweep(spark)
-    labels = stored(components(links), "labels")
     rest = _unsettled(members, labels)
-    more = stored(verify(_cross_pairs(rest, chunk).join(tried, ["a", "b"], "left_anti")), "links")
-    if more.isEmpty():
-        return labels, links
-    return stored(_merge(labels, more), "labels"), links.unionByName(more)
+    for turn in range(rounds):
+        one = F.min_by("node", F.xxhash64("node", F.lit(turn)))
+        heads = rest.where("label = major").groupBy("key").agg(one.alias("head"))
+        more = rest.where("label <> major").join(heads, "key").select(F.greatest("node", "head").alias("a"), F.least("node", "head").alias("b")).distinct()
+        more = stored(more.join(tried, ["a", "b"], "left_anti"), "tried")
+        found = stored(verify(more), "links")
+        tried = tried.unionByName(more)
+        if not found.isEmpty():
+            labels = stored(_merge(labels, found), "labels")
+            rest = _unsettled(rest, labels)
+    found = stored(verify(_cross_pairs(rest, bound, refine, large).join(tried, ["a", "b"], "left_anti")), "links")
+    sweep(spark)
+    return labels if found.isEmpty() else stored(_merge(labels, found), "labels")
 
 
 def _unsettled(members: DataFrame, labels: DataFrame) -> DataFrame:
-    """(key, node, label) of nodes, other than hubs, in buckets where these are of several components."""
+    """(key, node, hub, label, major, n): nodes, other than hubs, of buckets where these are of several components.
+
+    ``major`` is the label that most of the ``n`` nodes have.
+    """
     known = (
         members.where("node <> hub")
+        .select("key", "node", "hub")
         .join(labels, "node", "left")
-        .select("key", "node", F.coalesce("label", "node").alias("label"))
+        .select("key", "node", "hub", F.coalesce("label", "node").alias("label"))
         .distinct()
     )
-    mixed = known.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count(F.lit(1)).alias("n"))
-    return stored(known.join(mixed.where("lo < hi").select("key", "n"), "key"), "rest")
-
-
-def _cross_pairs(rest: DataFrame, chunk: int) -> DataFrame:
-    """Distinct pairs (a, b), a > b, of one bucket and of different components.
-
-    Large buckets are cut into chunks that meet pairwise, so that no task gets
-    all pairs of a bucket.
-    """
-    chunks = F.ceil(F.col("n") / chunk).cast("int")
-    cut = rest.withColumn("own", F.pmod(F.xxhash64("node"), chunks).cast("int"))
-    met = cut.withColumn("other", F.explode(F.sequence(F.lit(0), chunks - 1)))
-    side = met.select("key", F.least("own", "other").alias("c1"), F.greatest("own", "other").alias("c2"), "own", "node", "label")
-    left, right = side, side.withColumnsRenamed({"own": "own2", "node": "node2", "label": "label2"})
-    apart = (F.col("c1") == F.col("c2")) | (F.col("own") != F.col("own2"))
+    by_label = known.groupBy("key", "label").agg(F.count(F.lit(1)).alias("m"))
+    mixed = by_label.groupBy("key").agg(F.count(F.lit(1)).alias("labels"), F.sum("m").alias("n"), F.max(F.struct("m", "label"))["label"].alias("major"))
+    return stored(known.join(mixed.where("labels > 1").select("key", "major", "n"), "key"), "rest")
+
+
+def _cross_pairs(rest: DataFrame, bound: Callable | None, refine: Callable | None, large: int) -> DataFrame:
+    """Distinct pairs (a, b), a > b, of one bucket and of different components, that may be links."""
+    meets = F.lit(True)
+    wide = rest.where(F.col("n") > large).select("node").distinct()
+    if refine is not None:
+        finer = refine(wide)
+        again = finer.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+        finer = finer.join(again, "key").join(rest.select("node", "label").distinct(), "node")
+        # in a finer bucket every node is open
+        finer = finer.select("key", "node", F.lit(None).cast("long").alias("hub"), "label", F.lit(-1).cast("long").alias("major"), "n")
+        rest = rest.where(F.col("n") <= large).unionByName(finer)
+    if bound is not None:
+        facts, condition = bound(wide)
+        rest = rest.join(facts, "node", "left")
+        meets = F.coalesce(condition("", "o_"), F.lit(True))
+    columns = [c for c in rest.columns if c not in ("key", "hub", "major", "n")]
+    left = rest.where("label <> major").select("key", *columns)
+    right = rest.select("key", "major", *[F.col(c).alias(f"o_{c}") for c in columns])
+    # pairs within what is outside the main component come up once, from their larger node
+    once = (F.col("o_label") == F.col("major")) | (F.col("node") > F.col("o_node"))
     return (
-        left.join(right, ["key", "c1", "c2"])
-        .where(apart & (F.col("node") > F.col("node2")) & (F.col("label") != F.col("label2")))
-        .select(F.col("node").alias("a"), F.col("node2").alias("b"))
+        left.join(right, "key")
+        .where((F.col("label") != F.col("o_label")) & once & meets)
+        .select(F.greatest("node", "o_node").alias("a"), F.least("node", "o_node").alias("b"))
         .distinct()
     )
 

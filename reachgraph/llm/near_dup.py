@@ -17,7 +17,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from reachgraph.llm.common import bound_batches, stored, sweep
@@ -77,7 +77,7 @@ def minhash_collections(shingles: np.ndarray, collections: int, rows: int, seed:
 
 
 def _signatures(width: int, collections: int, rows: int, least: int):
-    schema = pa.schema([("doc_id", pa.int64()), ("tie", pa.int64()), ("node", pa.binary()), ("n", pa.int64()), ("keys", pa.list_(pa.int64()))])
+    schema = pa.schema([("doc_id", pa.int64()), ("tie", pa.int64()), ("set", pa.binary()), ("n", pa.int64()), ("keys", pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingle = Shingler(width)
@@ -95,13 +95,13 @@ def _signatures(width: int, collections: int, rows: int, least: int):
 
 
 def _linked(width: int, percent: int):
-    schema = pa.schema([("a", pa.binary()), ("b", pa.binary())])
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingle = Shingler(width)
-        held: dict[bytes, np.ndarray] = {}
+        held: dict[int, np.ndarray] = {}
 
-        def of(node: bytes, text: pa.StringScalar) -> np.ndarray:
+        def of(node: int, text: pa.StringScalar) -> np.ndarray:
             if node not in held:
                 if len(held) > 64:
                     held.clear()
@@ -117,7 +117,7 @@ def _linked(width: int, percent: int):
                 if 100 * both >= percent * (len(sa) + len(sb) - both):
                     found_a.append(a)
                     found_b.append(b)
-            yield pa.RecordBatch.from_arrays([pa.array(found_a, type=pa.binary()), pa.array(found_b, type=pa.binary())], schema=schema)
+            yield pa.RecordBatch.from_arrays([pa.array(found_a, type=pa.int64()), pa.array(found_b, type=pa.int64())], schema=schema)
 
     return run
 
@@ -127,11 +127,39 @@ def _verifier(texts: DataFrame, width: int, percent: int) -> Callable[[DataFrame
         a = texts.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("text").alias("ta"))
         b = texts.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("text").alias("tb"))
         near = F.lit(100) * F.least("na", "nb") >= F.lit(percent) * F.greatest("na", "nb")
-        return pairs.join(a, "a").join(b, "b").where(near).select("a", "b", "ta", "tb").mapInArrow(_linked(width, percent), "a binary, b binary")
+        return pairs.join(a, "a").join(b, "b").where(near).select("a", "b", "ta", "tb").mapInArrow(_linked(width, percent), "a long, b long")
 
     return verify
 
 
+def _set_rows(width: int):
+    schema = pa.schema([("node", pa.int64()), ("n", pa.int64()), ("shingle", pa.int64())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingle = Shingler(width)
+        for batch in batches:
+            for node, text in zip(batch.column("node").to_pylist(), batch.column("text"), strict=True):
+                s = shingle(text.as_py())
+                size = np.full(len(s), len(s))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), node)), pa.array(size), pa.array(s.view(np.int64))], schema=schema)
+
+    return run
+
+
+def _shared_sizes(texts: DataFrame, width: int) -> DataFrame:
+    """(node, size, shared): how many shingles a node has, and how many of them any other of these nodes has too."""
+    rows = texts.select("node", "text").mapInArrow(_set_rows(width), "node long, n long, shingle long")
+    alone = rows.groupBy("shingle").agg(F.count(F.lit(1)).alias("m"), F.min("node").alias("node"), F.min("n").alias("n")).where("m = 1")
+    alone = alone.groupBy("node").agg(F.count(F.lit(1)).alias("alone"))
+    return stored(texts.select("node", F.col("n").alias("size")).join(alone, "node", "left").select("node", "size", (F.col("size") - F.coalesce("alone", F.lit(0))).alias("shared")), "sizes")
+
+
+def _may_link(a: str, b: str, percent: int) -> Column:
+    """Whether two sets can reach the threshold, as no overlap exceeds what either shares with anyone."""
+    both = F.least(f"{a}shared", f"{b}shared")
+    return F.lit(100) * both >= F.lit(percent) * (F.col(f"{a}size") + F.col(f"{b}size") - both)
+
+
 def near_duplicates(
     docs: DataFrame,
     *,
@@ -162,25 +190,33 @@ def near_duplicates(
         F.coalesce(F.xxhash64(F.col(text_col)), F.lit(0).cast("long")).alias("tie"),
         F.col(text_col).cast("string").alias("text"),
     )
-    sigs = stored(plain.mapInArrow(_signatures(width, collections, rows, least), "doc_id long, tie long, node binary, n long, keys array<long>"), "sigs")
-    nodes = stored(
-        sigs.where("keys is not null").groupBy("node").agg(F.min(F.struct("doc_id", "tie")).alias("rep"), F.first("n").alias("n"), F.first("keys").alias("keys")),
-        "nodes",
-    )
+    sigs = stored(plain.mapInArrow(_signatures(width, collections, rows, least), "doc_id long, tie long, set binary, n long, keys array<long>"), "sigs")
+    nodes = sigs.where("keys is not null").groupBy("set").agg(F.min(F.struct("doc_id", "tie")).alias("rep"), F.first("n").alias("n"), F.first("keys").alias("keys"))
+    # numbers are given once and written down, so that they stay
+    nodes = stored(nodes.withColumn("node", F.monotonically_increasing_id()), "nodes")
     tables = [(i, j) for i in range(collections) for j in range(i + 1, collections)]
     keys = F.array(*[F.xxhash64(F.lit(t), F.col("keys")[i], F.col("keys")[j]) for t, (i, j) in enumerate(tables)])
     buckets = nodes.select(F.explode(keys).alias("key"), "node")
 
+    texts: list[DataFrame] = []
+
     def verifier(members: DataFrame) -> Callable[[DataFrame], DataFrame]:
         wanted = members.select("node").distinct().join(nodes, "node").select("node", "n", F.col("rep.doc_id").alias("doc_id"), F.col("rep.tie").alias("tie"))
         one = plain.groupBy("doc_id", "tie").agg(F.first("text").alias("text"))
         both = one["doc_id"].eqNullSafe(wanted["doc_id"]) & (one["tie"] == wanted["tie"])
-        texts = stored(wanted.join(one, both).select("node", "n", "text"), "texts")
-        return _verifier(texts, width, percent)
+        texts.append(stored(wanted.join(one, both).select("node", "n", "text"), "texts"))
+        return _verifier(texts[0], width, percent)
+
+    def bound(open_: DataFrame) -> tuple[DataFrame, Callable[[str, str], Column]]:
+        return _shared_sizes(texts[0].join(open_, "node", "left_semi"), width), lambda a, b: _may_link(a, b, percent)
 
-    labels, _ = bucket_components(buckets, verifier)
+    labels = bucket_components(buckets, verifier, bound)
     sweep(spark)
-    placed = sigs.select("doc_id", "tie", "n", "node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    label = F.coalesce("label", "node")
+    grouped = nodes.select("set", "node").join(labels, "node", "left").select("set", label.alias("label"))
+    # sets too small for any link but that of equal ones are components of their own
+    placed = sigs.select("doc_id", "tie", "n", "set").join(grouped, "set", "left")
+    placed = placed.withColumn("label", F.coalesce(F.col("label").cast("string").cast("binary"), F.col("set")))
     placed = stored(placed.select("doc_id", "tie", "n", "label"), "placed")
     first = placed.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("first_id"))
     component = F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("first_id"))
