@@ -15,6 +15,7 @@ stay in different components (see ``components.bucket_components``).
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import combinations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -60,6 +61,59 @@ def bucket_keys(line: Column, threshold: int = THRESHOLD) -> Column:
     return F.array_distinct(F.array(*keys))
 
 
+def _exclusions(threshold: int, parts: int) -> list[tuple[int, int, list[tuple[int, int]]]]:
+    """(characters longer, number of the exclusion, [(segment, shift)]) for all ways to leave ``threshold`` segments out.
+
+    A run of c excluded neighbours can hold c edits, so what follows it is
+    shifted by up to c more; behind the last one the shift is the difference of
+    the lengths.
+    """
+    out = {}
+    for number, left_out in enumerate(combinations(range(parts), threshold)):
+        for longer in range(threshold + 1):
+            ways: list[tuple[int, list[tuple[int, int]]]] = [(0, [])]
+            i = 0
+            while i < parts:
+                if i not in left_out:
+                    ways = [(shift, kept + [(i, shift)]) for shift, kept in ways]
+                    i += 1
+                    continue
+                run = 1
+                while i + run in left_out:
+                    run += 1
+                ways = [(shift + d, kept) for shift, kept in ways for d in range(-run, run + 1)]
+                i += run
+            last = max(left_out, default=-1)
+            for shift, kept in ways:
+                behind = [s for seg, s in kept if seg > last]
+                if (behind[0] if behind else shift) == longer:
+                    out[longer, number, tuple(kept)] = None
+    return [(longer, number, list(kept)) for longer, number, kept in out]
+
+
+def exclusion_keys(line: Column, threshold: int = THRESHOLD, parts: int = 6) -> Column:
+    """Finer keys: all but ``threshold`` of ``parts`` segments; lines within the threshold share one.
+
+    The ways to leave segments out are one constant array of numbers, so that
+    the plan does not grow with them.
+    """
+    ways = [[longer, number, *(x for pair in kept for x in pair)] for longer, number, kept in _exclusions(threshold, parts)]
+    constant = F.expr("array(" + ", ".join("array(" + ", ".join(map(str, w)) + ")" for w in ways) + ")")
+    length = F.char_length(line)
+
+    def key(way: Column) -> Column:
+        target = length - way[0]
+        base, long = F.floor(target / parts).cast("int"), target % parts
+        texts = []
+        for i in range(parts - threshold):
+            seg, shift = way[2 + 2 * i], way[3 + 2 * i]
+            first = seg * base + F.greatest(F.lit(0), seg - parts + long)
+            texts.append(F.substring(line, first + 1 + shift, base + F.when(seg >= parts - long, 1).otherwise(0)))
+        return F.xxhash64(target, way[1], *texts)
+
+    return F.array_distinct(F.transform(constant, key))
+
+
 def lines_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, line_no (from 0), line: every line of every text; null texts have none."""
     split = F.posexplode(F.split(F.col(text_col).cast("string"), "\n"))
@@ -81,11 +135,16 @@ def near_duplicate_lines(
     """
     rows = lines_of(docs, id_col, text_col).where(F.char_length("line") >= least_chars)
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
-    rows = rows.select("doc_id", "line_no", "line", F.xxhash64("line").alias("node"), F.char_length("line").alias("n_chars"), place.alias("place"))
-    nodes = stored(rows.groupBy("node").agg(F.first("line").alias("line"), F.min("place").alias("place")), "lines")
+    rows = rows.select("doc_id", "line_no", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.char_length("line").alias("n_chars"), place.alias("place"))
+    nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.min("place").alias("place"))
+    # numbers are given once and written down, so that they stay
+    nodes = stored(nodes.withColumn("node", F.monotonically_increasing_id()), "lines")
     sweep(docs.sparkSession)
     buckets = nodes.select(F.explode(bucket_keys(F.col("line"), threshold)).alias("key"), "node")
 
+    def refine(open_: DataFrame) -> DataFrame:
+        return nodes.join(open_, "node", "left_semi").select(F.explode(exclusion_keys(F.col("line"), threshold)).alias("key"), "node")
+
     def verifier(members: DataFrame) -> Callable[[DataFrame], DataFrame]:
         texts = stored(nodes.join(members.select("node").distinct(), "node", "left_semi").select("node", "line"), "texts")
 
@@ -97,15 +156,15 @@ def near_duplicate_lines(
 
         return verify
 
-    labels, _ = bucket_components(buckets, verifier)
+    labels = bucket_components(buckets, verifier, refine=refine)
     sweep(docs.sparkSession)
     # only lines in components of several, or that occur more than once, can be dropped
-    own = nodes.select("node", "place").join(labels, "node", "left").select("node", F.coalesce("label", "node").alias("label"), "place")
+    own = nodes.select("node", "place", "h1", "h2").join(labels, "node", "left").select("h1", "h2", F.coalesce("label", "node").alias("label"), "place")
     first = own.groupBy("label").agg(F.min("place").alias("first"))
-    classes = stored(own.join(first, "label").select("node", "first"), "classes")
+    classes = stored(own.join(first, "label").select("h1", "h2", "first"), "classes")
     return (
-        rows.select("doc_id", "line_no", "n_chars", "node", "place")
-        .join(classes, "node")
+        rows.select("doc_id", "line_no", "n_chars", "h1", "h2", "place")
+        .join(classes, ["h1", "h2"])
         .select(
             "doc_id",
             F.col("line_no").cast("long").alias("line_no"),
