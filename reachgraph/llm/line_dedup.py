@@ -136,7 +136,7 @@ def near_duplicate_lines(
     rows = lines_of(docs, id_col, text_col).where(F.char_length("line") >= least_chars)
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
     rows = rows.select("doc_id", "line_no", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.char_length("line").alias("n_chars"), place.alias("place"))
-    nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.min("place").alias("place"))
+    nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.min("place").alias("place"), F.count(F.lit(1)).alias("n"))
     # numbers are given once and written down, so that they stay
     nodes = stored(nodes.withColumn("node", F.monotonically_increasing_id()), "lines")
     sweep(docs.sparkSession)
@@ -158,20 +158,22 @@ def near_duplicate_lines(
 
     labels = bucket_components(buckets, verifier, refine=refine)
     sweep(docs.sparkSession)
-    # only lines in components of several, or that occur more than once, can be dropped
-    own = nodes.select("node", "place", "h1", "h2").join(labels, "node", "left").select("h1", "h2", F.coalesce("label", "node").alias("label"), "place")
+    # a line that occurs once and is linked with none is its own class; only the others travel
+    own = nodes.select("node", "h1", "h2", "place", "n").join(labels, "node", "left").where("label is not null or n > 1")
+    own = own.select("h1", "h2", F.coalesce("label", "node").alias("label"), "place")
     first = own.groupBy("label").agg(F.min("place").alias("first"))
     classes = stored(own.join(first, "label").select("h1", "h2", "first"), "classes")
+    first = F.coalesce("first", "place")
     return (
         rows.select("doc_id", "line_no", "n_chars", "h1", "h2", "place")
-        .join(classes, ["h1", "h2"])
+        .join(classes, ["h1", "h2"], "left")
         .select(
             "doc_id",
             F.col("line_no").cast("long").alias("line_no"),
             F.col("n_chars").cast("long").alias("n_chars"),
-            F.col("first.doc_id").alias("first_doc"),
-            F.col("first.line_no").cast("long").alias("first_line"),
-            (F.col("place") == F.col("first")).alias("kept"),
+            first["doc_id"].alias("first_doc"),
+            first["line_no"].cast("long").alias("first_line"),
+            (F.col("place") == first).alias("kept"),
         )
     )
 
