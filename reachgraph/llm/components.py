@@ -13,7 +13,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from reachgraph.llm.common import drop_stored, stored, sweep
+from reachgraph.llm.common import BROADCAST_ROWS, drop_stored, small, stored, sweep
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -73,8 +73,8 @@ def bucket_components(
     any two linked nodes still share; these replace the large ones.
     """
     spark = buckets.sparkSession
-    # most buckets have one node; a count per key is all that travels to find them
-    often = buckets.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
+    # most buckets have one node; a count per key is all that travels to find them, and while the other keys are few no row travels to meet them
+    often = small(stored(buckets.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"), "often"), BROADCAST_ROWS)
     met = stored(buckets.join(often, "key"), "met")
     hubs = met.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("top")).where("hub < top").select("key", "hub")
     members = stored(met.join(hubs, "key"), "members")

@@ -20,7 +20,7 @@ from itertools import combinations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from reachgraph.llm.common import stored, sweep
+from reachgraph.llm.common import BROADCAST_ROWS, small, stored, sweep
 from reachgraph.llm.components import bucket_components
 
 THRESHOLD, LEAST_CHARS = 2, 30
@@ -50,10 +50,12 @@ def _probes(threshold: int) -> list[tuple[int, int, int]]:
     return out
 
 
-def bucket_keys(line: Column, threshold: int = THRESHOLD) -> Column:
-    """All keys of a line, as index entry and as probe; an entry and the probe it answers have equal keys."""
+def bucket_keys(line: Column, length: Column, threshold: int = THRESHOLD) -> Column:
+    """All keys of a line of ``length`` characters, as index entry and as probe; an entry and the probe it answers have equal keys.
+
+    The length is a column of its own, as every key uses it several times and counting characters reads the line.
+    """
     parts = threshold + 1
-    length = F.char_length(line)
     keys = []
     for longer, i, shift in _probes(threshold):
         target = length - longer
@@ -91,7 +93,7 @@ def _exclusions(threshold: int, parts: int) -> list[tuple[int, int, list[tuple[i
     return [(longer, number, list(kept)) for longer, number, kept in out]
 
 
-def exclusion_keys(line: Column, threshold: int = THRESHOLD, parts: int = 6) -> Column:
+def exclusion_keys(line: Column, length: Column, threshold: int = THRESHOLD, parts: int = 6) -> Column:
     """Finer keys: all but ``threshold`` of ``parts`` segments; lines within the threshold share one.
 
     The ways to leave segments out are one constant array of numbers, so that
@@ -99,7 +101,6 @@ def exclusion_keys(line: Column, threshold: int = THRESHOLD, parts: int = 6) ->
     """
     ways = [[longer, number, *(x for pair in kept for x in pair)] for longer, number, kept in _exclusions(threshold, parts)]
     constant = F.expr("array(" + ", ".join("array(" + ", ".join(map(str, w)) + ")" for w in ways) + ")")
-    length = F.char_length(line)
 
     def key(way: Column) -> Column:
         target = length - way[0]
@@ -136,17 +137,18 @@ def near_duplicate_lines(
     rows = lines_of(docs, id_col, text_col).where(F.char_length("line") >= least_chars)
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
     rows = rows.select("doc_id", "line_no", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.char_length("line").alias("n_chars"), place.alias("place"))
-    nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.min("place").alias("place"), F.count(F.lit(1)).alias("n"))
+    nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.first("n_chars").alias("n_chars"), F.min("place").alias("place"), F.count(F.lit(1)).alias("n"))
     # numbers are given once and written down, so that they stay
     nodes = stored(nodes.withColumn("node", F.monotonically_increasing_id()), "lines")
     sweep(docs.sparkSession)
-    buckets = nodes.select(F.explode(bucket_keys(F.col("line"), threshold)).alias("key"), "node")
+    buckets = nodes.select(F.explode(bucket_keys(F.col("line"), F.col("n_chars"), threshold)).alias("key"), "node")
 
     def refine(open_: DataFrame) -> DataFrame:
-        return nodes.join(open_, "node", "left_semi").select(F.explode(exclusion_keys(F.col("line"), threshold)).alias("key"), "node")
+        return nodes.join(open_, "node", "left_semi").select(F.explode(exclusion_keys(F.col("line"), F.col("n_chars"), threshold)).alias("key"), "node")
 
     def verifier(members: DataFrame) -> Callable[[DataFrame], DataFrame]:
-        texts = stored(nodes.join(members.select("node").distinct(), "node", "left_semi").select("node", "line"), "texts")
+        wanted = small(stored(members.select("node").distinct(), "wanted"), BROADCAST_ROWS)
+        texts = stored(nodes.join(wanted, "node", "left_semi").select("node", "line"), "texts")
 
         def verify(pairs: DataFrame) -> DataFrame:
             a = texts.select(F.col("node").alias("a"), F.col("line").alias("la"))
