@@ -1,17 +1,22 @@
-"""Benchmark decontamination by rare n-gram seeds and local alignment.
+"""Benchmark decontamination by counted word pairs and local alignment.
 
-Word n-grams of the benchmark items are counted over all documents. The rarest
-of each item are its seeds; a document that holds a seed is aligned with the
-item around it by Smith-Waterman over words, so that edited and paraphrased
-copies score by how much of the item they keep, in order.
+A document holds an item if a Smith-Waterman alignment over words, 1 for a match
+and -1 for a mismatch or a gap, scores at least a share of the item's words, so
+that edited and paraphrased copies score by how much of the item they keep, in
+order. Where no two matches follow each other directly, each match but one costs
+a penalty; an alignment of score s thus has at least s - 1 pairs of neighbouring
+words that stand in the item too, and it spans a bounded stretch of the document.
+Stretches with so many pairs of an item are aligned with it and no others need
+be: no item and no pair is left out for being frequent or rare.
 
 Items come in blocks of a fixed number, so what the executors hold does not
-grow; the documents are read twice per block and never shuffled.
+grow; the documents are read once per block and never shuffled.
 """
 
 from __future__ import annotations
 
-from collections import Counter, defaultdict
+import math
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,16 +34,15 @@ _PLAIN = bytes(c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in
 class Words:
     """Texts as arrays of word hashes and of word n-gram hashes."""
 
-    def __init__(self, width: int) -> None:
-        self.width = width
+    def __init__(self) -> None:
         self.hash = Shingler(1)
 
     def __call__(self, text: str | None) -> np.ndarray:
         words = (text or "").lower().encode("utf-8", "surrogatepass").translate(_PLAIN).split()
         return np.fromiter(map(self.hash._word, words), dtype=np.uint64, count=len(words))
 
-    def grams(self, words: np.ndarray) -> np.ndarray:
-        width = min(self.width, len(words)) or 1
+    @staticmethod
+    def grams(words: np.ndarray, width: int) -> np.ndarray:
         out = np.zeros(max(0, len(words) - width + 1), dtype=np.uint64)
         for i in range(width):
             out = (out ^ (out >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15) + words[i : len(words) - width + 1 + i]
@@ -61,70 +65,98 @@ def align(item: np.ndarray, passage: np.ndarray) -> tuple[int, int]:
     return best, end
 
 
-def _hits(grams: np.ndarray, width: int):
-    schema = pa.schema([("gram", pa.int64()), ("docs", pa.int64())])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = Words(width)
-        counts: Counter = Counter()
-        for batch in batches:
-            for text in batch.column("text"):
-                g = words.grams(words(text.as_py()))
-                counts.update(np.unique(_among(g, grams)[1]).tolist())
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(np.array(list(counts), dtype=np.uint64).view(np.int64)), pa.array(list(counts.values()), type=pa.int64())], schema=schema
-        )
-
-    return run
+class Finder:
+    """Finds the stretches of a document that an item can be aligned with."""
+
+    #: Words of a document looked at in one go, at least, so that memory is bounded by the items and not by the text.
+    SLICE = 1024
+
+    def __init__(self, items: list[np.ndarray], width: int, least: float) -> None:
+        sizes = np.array([len(w) for w in items], dtype=np.int64)
+        goal = np.array([max(1, math.ceil(least * n)) for n in sizes.tolist()], dtype=np.int64)
+        whole = sizes < width
+        self.gram = np.where(whole, sizes, np.where(goal > 1, 2, 1))
+        self.need = np.where(whole | (goal < 2), 1, goal - 1)
+        # an alignment of score goal has at most so many words of the document
+        self.span = np.maximum(2 * sizes - goal, self.gram)
+        self.lists = []
+        for gram in sorted(set(self.gram.tolist())):
+            own = [(i, np.unique(Words.grams(items[i], gram))) for i in np.flatnonzero(self.gram == gram).tolist()]
+            values, owners = np.concatenate([g for _, g in own]), np.repeat([i for i, _ in own], [len(g) for _, g in own])
+            by = np.argsort(values, kind="stable")
+            known, start, count = np.unique(values[by], return_index=True, return_counts=True)
+            self.lists.append((gram, known, start, count, owners[by]))
+
+    def __call__(self, words: np.ndarray) -> dict[int, list[tuple[int, int]]]:
+        """By number of the item, the stretches [start, end), in order and apart."""
+        found: dict[int, list[tuple[int, int]]] = {}
+        for gram, known, start, count, owners in self.lists:
+            overlap = int(self.span[self.gram == gram].max()) + gram
+            size = max(2 * overlap, self.SLICE)
+            grams = Words.grams(words, gram)
+            where, at = _among(grams, known)
+            for lo in range(0, len(grams), size - overlap):
+                a, b = np.searchsorted(where, (lo, lo + size))
+                if a < b:
+                    self._slice(where[a:b], start[at[a:b]], count[at[a:b]], owners, len(words), found)
+        return {item: _joined(some) for item, some in sorted(found.items())}
+
+    def _slice(self, where: np.ndarray, start: np.ndarray, count: np.ndarray, owners: np.ndarray, n: int, found: dict) -> None:
+        """Adds the stretches around as many hits of an item as it needs, within its span."""
+        steps = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        item, pos = owners[np.repeat(start, count) + steps], np.repeat(where, count)
+        enough = np.bincount(item, minlength=len(self.need)) >= self.need
+        item, pos = item[enough[item]], pos[enough[item]]
+        by = np.argsort(item, kind="stable")
+        item, pos = item[by], pos[by]
+        last = np.arange(len(item)) + self.need[item] - 1
+        first = np.flatnonzero(last < len(item))
+        last = last[first]
+        gram, span = self.gram[item[first]], self.span[item[first]]
+        # what holds all these hits and is no longer than the span
+        lo, hi = (pos[last] + gram - span).clip(0), (pos[first] + span).clip(max=n)
+        near = (item[first] == item[last]) & (pos[last] - pos[first] + gram <= span)
+        for i, a, b in zip(item[first][near].tolist(), lo[near].tolist(), hi[near].tolist(), strict=True):
+            found.setdefault(i, []).append((a, b))
+
+
+def _joined(stretches: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Stretches that overlap or touch as one."""
+    out: list[tuple[int, int]] = []
+    for lo, hi in sorted(stretches):
+        if out and lo <= out[-1][1]:
+            out[-1] = (out[-1][0], max(out[-1][1], hi))
+        else:
+            out.append((lo, hi))
+    return out
 
 
 def _among(values: np.ndarray, known: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Positions and values of those that are in the sorted array ``known``."""
+    """Positions of those that are in the sorted array ``known``, and their places there."""
     if not len(values) or not len(known):
-        return np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64)
+        return np.empty(0, dtype=np.int64), np.empty(0, dtype=np.int64)
     at = np.searchsorted(known, values)
     at[at == len(known)] = 0
     where = np.flatnonzero(known[at] == values)
-    return where, values[where]
+    return where, at[where]
 
 
-def _matches(items: list[tuple[int, np.ndarray]], seeds: dict[int, list[tuple[int, int]]], width: int, least: float):
+def _matches(items: list[tuple[int, np.ndarray]], width: int, least: float):
     schema = pa.schema([("doc_id", pa.int64()), ("tie", pa.int64()), ("item_id", pa.int64()), ("score", pa.float64()), ("at_word", pa.int64())])
-    known = np.array(sorted(seeds), dtype=np.uint64)
-
-    def passages(hits: list[tuple[int, int]], size: int, n: int) -> Iterator[tuple[int, int]]:
-        """Stretches of the document around seeds, joined where they overlap."""
-        now: tuple[int, int] | None = None
-        for at, offset in sorted(hits):
-            lo, hi = max(0, at - offset - size // 2), min(n, at - offset + size + size // 2)
-            if now and lo <= now[1]:
-                now = (now[0], max(now[1], hi))
-            else:
-                if now:
-                    yield now
-                now = (lo, hi)
-        if now:
-            yield now
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = Words(width)
+        words = Words()
+        finder = Finder([w for _, w in items], width, least)
         bags = [Counter(w.tolist()) for _, w in items]
         for batch in batches:
             out: list[tuple] = []
             for doc, tie, text in zip(batch.column("doc_id").to_pylist(), batch.column("tie").to_pylist(), batch.column("text"), strict=True):
                 w = words(text.as_py())
-                where, values = _among(words.grams(w), known)
-                if not len(where):
-                    continue
-                found = defaultdict(list)
-                for at, gram in zip(where.tolist(), values.tolist(), strict=True):
-                    for item, offset in seeds[gram]:
-                        found[item].append((at, offset))
-                for item, hits in found.items():
+                for item, stretches in finder(w).items():
                     item_id, text_words = items[item]
                     size = len(text_words)
                     best = (0, 0)
-                    for lo, hi in passages(hits, size, len(w)):
+                    for lo, hi in stretches:
                         passage = w[lo:hi]
                         # no alignment scores more than the words that both have
                         if (Counter(passage.tolist()) & bags[item]).total() < least * size:
@@ -148,7 +180,6 @@ def contaminated(
     item_col: str = "item_id",
     item_text_col: str = "text",
     width: int = 3,
-    seeds_per_item: int = 24,
     least: float = 0.5,
     item_block: int = 2000,
 ) -> DataFrame:
@@ -156,8 +187,10 @@ def contaminated(
 
     ``score`` is the alignment score over the item's number of words, 1 for a
     whole copy, and at least ``least``; ``at_word`` is where the alignment ends.
-    Case and punctuation do not count. Items without words match nothing; those
-    shorter than ``width`` words are one seed. Null texts are empty; null ids
+    Every alignment
+    of that score counts, however its edits lie. Case and punctuation do not
+    count. Items without words match nothing; those shorter than ``width`` words
+    match where they stand whole. Null texts are empty; null ids
     stay null; repeated rows give repeated results; other columns are not read.
     """
     spark = docs.sparkSession
@@ -170,33 +203,17 @@ def contaminated(
     items = benchmark.select(F.col(item_col).cast("long").alias("item_id"), F.col(item_text_col).cast("string").alias("text")).where("text is not null")
     blocks = max(1, -(-items.count() // item_block))
     result = None
-    words = Words(width)
+    words = Words()
     for b in range(blocks):
         part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b)
         block = [(i, w) for i, w in sorted(((r.item_id, words(r.text)) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1].tolist())) if len(w)]
         if not block:
             continue
-        found = _block(rows, block, words, width, seeds_per_item, least)
+        found = rows.mapInArrow(_matches(block, width, least), "doc_id long, tie long, item_id long, score double, at_word long")
         result = found if result is None else result.unionByName(found)
     return result if result is not None else spark.createDataFrame([], "doc_id long, tie long, item_id long, score double, at_word long")
 
 
-def _block(rows: DataFrame, block: list[tuple[int, np.ndarray]], words: Words, width: int, seeds_per_item: int, least: float) -> DataFrame:
-    grams = [words.grams(w) for _, w in block]
-    known = np.unique(np.concatenate(grams))
-    counted = rows.select("text").mapInArrow(_hits(known, width), "gram long, docs long").groupBy("gram").agg(F.sum("docs").alias("docs"))
-    # at most as many rows as the block has n-grams
-    docs_of = {np.uint64(r.gram % 2**64).item(): r.docs for r in counted.collect()}
-    seeds: dict[int, list[tuple[int, int]]] = {}
-    for i, own in enumerate(grams):
-        first = {g: k for k, g in reversed(list(enumerate(own.tolist())))}
-        for g in sorted(first, key=lambda g: (docs_of.get(g, 0), g))[:seeds_per_item]:
-            seeds.setdefault(g, []).append((i, first[g]))
-    # seeds that no document holds lead nowhere
-    seeds = {g: where for g, where in seeds.items() if docs_of.get(g, 0)}
-    return rows.mapInArrow(_matches(block, seeds, width, least), "doc_id long, tie long, item_id long, score double, at_word long")
-
-
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **options: object) -> DataFrame:
     """The documents that hold no benchmark item, with all their columns."""
     id_col, text_col = str(options.get("id_col", "doc_id")), str(options.get("text_col", "text"))

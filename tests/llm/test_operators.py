@@ -9,7 +9,7 @@ import pytest
 
 from reachgraph.llm.chat_format import BODY, CLOSE, OPEN, format_conversations, parse, read_back, render
 from reachgraph.llm.components import components
-from reachgraph.llm.decontam import align, contaminated
+from reachgraph.llm.decontam import Words, align, contaminated
 from reachgraph.llm.html_extract import LABELLED, best_region, extract, fit_weights
 from reachgraph.llm.line_dedup import drop_duplicate_lines, near_duplicate_lines
 from reachgraph.llm.mixing import fill_targets, fly, mix_sources
@@ -171,6 +171,31 @@ def test_decontamination(spark):
     assert align(a, np.array([9, 1, 2, 8, 3], dtype=np.uint64)) == (2, 3)
 
 
+def test_decontamination_of_edited_copies(spark):
+    rng = random.Random(7)
+    vocabulary = [f"w{i}" for i in range(60)]
+    items = [(n, rng.choices(vocabulary, k=rng.randint(1, 60))) for n in range(40)]
+    rows = []
+    for n, item in items:
+        for every in (4, 5, 6):
+            rows.append([f"x{n}y{k}" if k % every == every - 1 else w for k, w in enumerate(item)])
+        rows.append([w for k, w in enumerate(item) for w in ([w, f"in{k}"] if k % 2 else [w])])  # no three words in a row
+        rows.append(rng.choices(vocabulary, k=200) + item[len(item) // 5 :] + rng.choices(vocabulary, k=200))
+    rows += [rng.choices(vocabulary, k=3000), items[5][1] * 60, [x for _, i in items for x in i]]
+    words = Words()
+    expected = {}
+    for d, row in enumerate(rows):
+        for n, item in items:
+            score = align(words(" ".join(item)), words(" ".join(row)))[0]
+            if score >= 0.5 * len(item) and (len(item) > 2 or score == len(item)):
+                expected[d, n] = round(score / len(item), 6)
+    docs = documents(spark, [(d, " ".join(row), "s") for d, row in enumerate(rows)])
+    bench = spark.createDataFrame([(n, " ".join(item)) for n, item in items], "item_id long, text string")
+    for item_block in (2000, 15):
+        got = contaminated(docs, bench, item_block=item_block).collect()
+        assert len(got) == len(expected) and {(r.doc_id, r.item_id): r.score for r in got} == expected
+
+
 def test_html():
     w = fit_weights(LABELLED)
     page = '<html><head><title>T</title></head><body><nav><a>menu</a></nav><div class="ad">buy</div><article><h1>A &amp; B</h1><p>one <b>two</b>\n three<br>four</p><script>x("</p>")</script><p>five</p><div class="comments"><p>hi</p></div></article><footer>f</footer></body></html>'
