@@ -31,6 +31,8 @@ from reachgraph.llm.common import bound_batches, drop_stored, stored, sweep
 
 LENGTH, GRAM = 200, 64
 _CHUNK = 24 << 20
+#: Bytes whose anchors are chosen at once; at most 2**24, as a key holds a position in 24 bits.
+_SLICE = 1 << 23
 
 
 # -- sorting ---------------------------------------------------------------
@@ -177,7 +179,24 @@ def equal_strings(contexts: list[bytes], at: np.ndarray, group: np.ndarray, leng
 
 
 def anchors(data: np.ndarray, starts: np.ndarray, stops: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
-    """(positions, gram hashes) of the anchors in texts that lie end to end in ``data``."""
+    """(positions, gram hashes) of the anchors in texts that lie end to end in ``data``.
+
+    Worked on in slices of at most ``_SLICE`` bytes, so that a position fits into
+    the low bits of a key; neighbouring slices share all but one byte of a string,
+    and so every string of ``length`` bytes lies in exactly one of them.
+    """
+    step = _SLICE - length + 1
+    parts = []
+    for lo in range(0, max(1, len(data) - length + 1), step):
+        hi = min(len(data), lo + _SLICE)
+        at, grams = _slice_anchors(data[lo:hi], starts - lo, stops - lo, length, gram)
+        parts.append((at + lo, grams))
+    at, first = np.unique(np.concatenate([at for at, _ in parts]), return_index=True)
+    return at, np.concatenate([grams for _, grams in parts])[first]
+
+
+def _slice_anchors(data: np.ndarray, starts: np.ndarray, stops: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
+    """Anchors in a slice; ``starts`` and ``stops`` of the texts are relative to it and may lie outside."""
     n = len(data)
     if n < length:
         return np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64)
@@ -211,9 +230,10 @@ def anchors(data: np.ndarray, starts: np.ndarray, stops: np.ndarray, length: int
     if reach < window:
         least = np.minimum(least[: len(least) - (window - reach)], least[window - reach :])
     inside = np.zeros(len(least) + 1, dtype=np.int64)
-    long = stops - starts >= length
-    np.add.at(inside, starts[long], 1)
-    np.add.at(inside, stops[long] - length + 1, -1)
+    # texts that have a string in this slice
+    long = (stops - starts >= length) & (stops - length >= 0) & (starts < len(least))
+    np.add.at(inside, starts[long].clip(0), 1)
+    np.add.at(inside, (stops[long] - length + 1).clip(max=len(least)), -1)
     valid = np.cumsum(inside[:-1]) > 0
     at = (least[valid] & np.uint64((1 << 24) - 1)).astype(np.int64)
     at = np.unique(at)
