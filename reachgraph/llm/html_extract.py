@@ -2,9 +2,9 @@
 
 A page is read as a row of tokens, words and tags. Words score positive, tags
 score what labelled pages say about them: the log odds of standing inside the
-main text. One linear scan finds the contiguous region with the largest sum,
-and the blocks of that region, without what sits in boilerplate elements, are
-the text.
+main text. One linear scan finds the contiguous region with the largest sum. It
+grows to the ends of the article or other element that it lies in, and its
+blocks, without what sits in boilerplate elements, are the text.
 """
 
 from __future__ import annotations
@@ -158,6 +158,44 @@ def best_region(scores: list[float]) -> tuple[int, int]:
     return best[1], best[2]
 
 
+def _elements(kept: list[tuple[str, str]]) -> list[tuple[str, int, int]]:
+    """(name, start, end) of the block elements; those that are never closed end with the element around them."""
+    out, stack = [], []
+    for i, (kind, name) in enumerate(kept):
+        if kind == "text" or name not in BLOCKS or name in VOID:
+            continue
+        if kind == "open":
+            stack.append((name, i))
+        elif any(name == n for n, _ in stack):
+            while True:
+                n, at = stack.pop()
+                out.append((n, at, i + (n == name)))
+                if n == name:
+                    break
+    return out + [(n, at, len(kept)) for n, at in stack]
+
+
+def whole_region(kept: list[tuple[str, str]], start: int, end: int) -> tuple[int, int]:
+    """The region up to the ends of the articles it has text of, or else of the main element.
+
+    Where there is neither, the region grows to the ends of the innermost
+    element around it, on each side where no link stands in between.
+    """
+    if start == end:
+        return start, end
+    elements = _elements(kept)
+    for wanted in ("article", "main"):
+        touched = [(lo, hi) for name, lo, hi in elements if name == wanted and any(kind == "text" and what.strip() for kind, what in kept[max(lo, start) : min(hi, end)])]
+        if touched:
+            return min(start, *(lo for lo, _ in touched)), max(end, *(hi for _, hi in touched))
+    lo, hi = max(((lo, hi) for name, lo, hi in elements if lo <= start and hi >= end and name not in ("html", "body")), default=(start, end))
+    if ("open", "a") not in kept[lo:start]:
+        start = lo
+    if ("open", "a") not in kept[end:hi]:
+        end = hi
+    return start, end
+
+
 def extract(page: str | None, weights: dict[str, float]) -> str:
     """Main text of one page: its blocks in page order, two line feeds between them."""
     kept = list(visible(page or ""))
@@ -171,7 +209,7 @@ def extract(page: str | None, weights: dict[str, float]) -> str:
             elif what in BLOCKS:
                 link = 0
             scores.append(weights.get(f"{kind} {what}", -0.5))
-    start, end = best_region(scores)
+    start, end = whole_region(kept, *best_region(scores))
     blocks, now = [], []
     for kind, what in kept[start:end]:
         if kind == "text":

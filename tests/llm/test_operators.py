@@ -234,6 +234,19 @@ def test_html():
     assert best_region([-1, 2, -1, 3, -5, 1]) == (1, 4) and best_region([-1]) == (0, 0)
 
 
+@pytest.mark.parametrize("tag", ["article", "main", "div"])
+def test_html_keeps_lists_and_wrapped_paragraphs(tag):
+    w = fit_weights(LABELLED)
+    text = "<p>" + " ".join(f"w{i}" for i in range(40)) + "</p>"
+    bullets = "<ul>" + "".join(f"<li>two b{i}</li>" for i in range(9)) + "</ul>"
+    body = f"{bullets}<h1>Head</h1>{text}{bullets}<div><p>short wrapped words</p></div>{text.replace('w', 'v')}<div><p>last few</p></div>{bullets}"
+    if tag != "div":
+        body += "<p>see <a>this</a></p>"
+    got = extract(f"<html><body><div><ul><li><a>Home</a></li></ul></div><{tag}>{body}</{tag}><div><a>Next</a></div></body></html>", w)
+    assert got.count("two b3") == 3 and "short wrapped words" in got and "last few" in got and "w39" in got and "v39" in got
+    assert "Home" not in got and "Next" not in got and (tag == "div" or got.endswith("see this"))
+
+
 def test_lines(spark):
     a = "this is a line of more than thirty characters"
     rows = [(1, f"{a}\nfirst only, also longer than thirty chars", "s"), (2, f"own line that nobody else has in the world\n{a[:-1]}", "s"), (3, a.replace("line", "lime"), "s"), (4, None, "s"), (5, "", "s"), (None, a, "s"), (6, "short\nshort", "s")]
