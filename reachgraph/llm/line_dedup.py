@@ -122,26 +122,29 @@ def lines_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
 
 
 def near_duplicate_lines(
-    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", threshold: int = THRESHOLD, least_chars: int = LEAST_CHARS
+    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", threshold: int = THRESHOLD, least_chars: int = LEAST_CHARS, short_lines: bool = False
 ) -> DataFrame:
     """doc_id, line_no, n_chars, first_doc, first_line, kept: one row per line of ``least_chars`` characters or more.
 
+    With ``short_lines`` also one per shorter line that is not empty; these are
+    classed by equality alone.
+
     Lines within ``threshold`` edits are linked; (first_doc, first_line) is the
     first occurrence, by id and line number, of any line that links lead to, and
     names the class. ``kept`` marks that occurrence. Shorter lines say too little
-    to be called copies and are not reported. Null texts have no lines; null ids
+    to be called near copies. Null texts have no lines; null ids
     come after all others; repeated rows share their positions and so are kept
     or not together. Other columns are not read; an empty table gives an empty
     result. ``least_chars`` must leave every segment a few characters.
     """
-    rows = lines_of(docs, id_col, text_col).where(F.char_length("line") >= least_chars)
+    rows = lines_of(docs, id_col, text_col).where(F.char_length("line") >= (1 if short_lines else least_chars))
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
     rows = rows.select("doc_id", "line_no", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.char_length("line").alias("n_chars"), place.alias("place"))
     nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.first("n_chars").alias("n_chars"), F.min("place").alias("place"), F.count(F.lit(1)).alias("n"))
     # numbers are given once and written down, so that they stay
     nodes = stored(nodes.withColumn("node", F.monotonically_increasing_id()), "lines")
     sweep(docs.sparkSession)
-    buckets = nodes.select(F.explode(bucket_keys(F.col("line"), F.col("n_chars"), threshold)).alias("key"), "node")
+    buckets = nodes.where(F.col("n_chars") >= least_chars).select(F.explode(bucket_keys(F.col("line"), F.col("n_chars"), threshold)).alias("key"), "node")
 
     def refine(open_: DataFrame) -> DataFrame:
         return nodes.join(open_, "node", "left_semi").select(F.explode(exclusion_keys(F.col("line"), F.col("n_chars"), threshold)).alias("key"), "node")
@@ -183,6 +186,9 @@ def near_duplicate_lines(
 def drop_duplicate_lines(docs: DataFrame, **options: object) -> DataFrame:
     """The documents without their repeated lines, with all columns; ``n_chars`` follows the text.
 
+    Lines of under ``least_chars`` characters stay unless ``short_lines`` is set:
+    brackets, headings and blanks are parts of many texts and copies of none.
+
     A document of which only blank lines would be left, though it had others, is
     dropped: all it said stands elsewhere. Documents that lose no line come
     back as they are.

@@ -78,8 +78,8 @@ def op8_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every line of 30 characters or more with the first occurrence of its class."""
-    return near_duplicate_lines(read(spark, sf_dir, "documents"))
+    """Every line that is not empty with the first occurrence of its class; those under 30 characters by equality."""
+    return near_duplicate_lines(read(spark, sf_dir, "documents"), short_lines=True)
 
 
 def op10_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -15,6 +15,7 @@ from reachgraph.llm.line_dedup import drop_duplicate_lines, near_duplicate_lines
 from reachgraph.llm.mixing import fill_targets, fly, mix_sources
 from reachgraph.llm.near_dup import near_duplicates
 from reachgraph.llm.quality import features, fit
+from reachgraph.llm.queries import QUERIES
 from reachgraph.llm.secret_scan import BlobLedger, scan_paths
 from reachgraph.llm.suffix_dedup import anchors, common_prefix, deep_shallow_sort, merge_spans, repeated_strings
 from reachgraph.llm.vector_topk import ImpactIndex
@@ -257,6 +258,13 @@ def test_lines(spark):
     assert kept == {1: rows[0][1], 2: rows[1][1].split("\n")[0], 4: None, 5: "", 6: "short\nshort"}
 
 
+def test_short_lines(spark, tmp_path):
+    a = "this is a line of more than thirty characters"
+    documents(spark, [(1, f"All rights reserved.\n\n{a}\n ", "s"), (2, f"All rights reserved.\nAll rights reserved\n{a[:-1]}", "s"), (None, "All rights reserved.", "s")]).write.parquet(str(tmp_path / "documents.parquet"))
+    got = {(r.doc_id, r.line_no): (r.n_chars, r.first_doc, r.first_line, r.kept) for r in QUERIES["op9_line_dedup"](spark, str(tmp_path)).collect()}
+    assert got == {(1, 0): (20, 1, 0, True), (1, 2): (45, 1, 2, True), (1, 3): (1, 1, 3, True), (2, 0): (20, 1, 0, False), (2, 1): (19, 2, 1, True), (2, 2): (44, 1, 2, False), (None, 0): (20, 1, 0, False)}
+
+
 def test_impact_index():
     rng = np.random.default_rng(0)
     v = rng.integers(-900, 900, size=(3000, 16))
