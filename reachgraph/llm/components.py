@@ -10,10 +10,10 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reachgraph.llm.common import BROADCAST_ROWS, drop_stored, small, stored, sweep
+from reachgraph.llm.common import drop_stored, stored, sweep
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -25,8 +25,7 @@ def components(edges: DataFrame) -> DataFrame:
         edges.where("a is not null and b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(),
         "edges",
     )
-    before = None
-    while True:
+    while not _stars(now):
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         # large star: every larger neighbour of a node is joined to the smallest of node and neighbours
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
@@ -37,23 +36,25 @@ def components(edges: DataFrame) -> DataFrame:
         small = large.join(low, "a")
         small = small.select(F.col("b").alias("x"), "m").where("x <> m").unionByName(low.select(F.col("a").alias("x"), "m"))
         after = stored(small.select(F.col("x").alias("a"), F.col("m").alias("b")).distinct(), "edges")
-        stats = after.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b") % 1_000_003)).first()
         drop_stored(now)
         now = after
-        if stats == before:
-            break
-        before = stats
     nodes = now.select(F.col("a").alias("node"), F.col("b").alias("label"))
     return nodes.unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct())
 
 
+def _stars(edges: DataFrame) -> bool:
+    """Whether distinct edges (a, b), a > b, are stars around the smallest node of each component, which ends the rounds."""
+    ends = edges.select(F.col("a").alias("v"), F.lit(1).alias("up"), F.lit(0).alias("down")).unionAll(edges.select("b", F.lit(0), F.lit(1)))
+    met = ends.groupBy("v").agg(F.sum("up").alias("up"), F.max("down").alias("down"))
+    return not met.agg(F.max((F.col("up") + F.col("down") > 1).cast("int")).alias("odd")).first().odd
+
+
 def bucket_components(
     buckets: DataFrame,
     verifier: Callable[[DataFrame], Callable[[DataFrame], DataFrame]],
-    bound: Callable[[DataFrame], tuple[DataFrame, Callable[[str, str], Column]]] | None = None,
-    refine: Callable[[DataFrame], DataFrame] | None = None,
-    rounds: int = 2,
-    large: int = 32,
+    closer: Callable[[DataFrame], DataFrame],
+    weigh: Callable[[DataFrame], DataFrame] | None = None,
+    large: int = 8,
 ) -> DataFrame:
     """(node, label) of the nodes in components of several, by verified links among nodes that share a bucket.
 
@@ -61,41 +62,48 @@ def bucket_components(
     with several nodes and returns a function that takes distinct pairs (a, b),
     a > b, and gives back those that are linked. First every node of a bucket is
     held against the bucket's smallest node, one pair per row, so that a group of
-    copies of any size costs as many pairs as it has members; then, for
-    ``rounds`` rounds, nodes outside the bucket's main component against one of
-    its nodes each. Links inside a component add nothing to it. What is left are
-    pairs of one bucket in different components, of which one is not in the
-    main component: all of them are verified, so that no link between components
-    is lost, but for those that ``bound`` proves to be none. ``bound`` gets the
-    nodes of buckets with more than ``large`` open nodes and returns columns by
-    node and a condition, on two prefixes of these columns, that links meet.
-    ``refine`` gets the same nodes and returns finer buckets (key, node) that
-    any two linked nodes still share; these replace the large ones.
+    copies of any size costs as many pairs as it has members. Links inside a
+    component add nothing to it. What is left are pairs of one bucket in
+    different components, of which one is not in the bucket's main component. In
+    buckets of up to ``large`` open nodes all of them are verified. In the others
+    they would be as many as the square of the bucket. There the nodes outside
+    the main component are held against its heaviest node by ``weigh``, which
+    gets nodes and returns (node, weight), else against any one. For what is
+    still outside ``closer`` gets the nodes (node, label, outer), where ``outer``
+    marks those that are outside a main component, and returns pairs (a, b) of
+    different labels, one of them outer, among which is every such pair that is
+    linked.
     """
-    spark = buckets.sparkSession
-    # most buckets have one node; a count per key is all that travels to find them, and while the other keys are few no row travels to meet them
-    often = small(stored(buckets.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"), "often"), BROADCAST_ROWS)
-    met = stored(buckets.join(often, "key"), "met")
+    # most buckets have one node; a count per key is all that travels to find the others
+    often = buckets.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
+    met = stored(buckets.join(often.hint("shuffle_hash"), "key"), "met")
     hubs = met.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("top")).where("hub < top").select("key", "hub")
     members = stored(met.join(hubs, "key"), "members")
-    sweep(spark)
+    drop_stored(met)
     verify = verifier(members)
     tried = stored(members.where("node <> hub").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct(), "tried")
     labels = stored(components(stored(verify(tried), "links")), "labels")
-    sweep(spark)
     rest = _unsettled(members, labels)
-    for turn in range(rounds):
-        one = F.min_by("node", F.xxhash64("node", F.lit(turn)))
-        heads = rest.where("label = major").groupBy("key").agg(one.alias("head"))
-        more = rest.where("label <> major").join(heads, "key").select(F.greatest("node", "head").alias("a"), F.least("node", "head").alias("b")).distinct()
+    drop_stored(members)
+    crowded = rest.where(F.col("n") > large)
+    if not crowded.isEmpty():
+        weights = weigh(stored(crowded.select("node").distinct(), "wide")) if weigh else crowded.select("node", F.xxhash64("node").alias("weight")).distinct()
+        heads = crowded.where("label = major").join(weights, "node").groupBy("key").agg(F.max_by("node", F.struct("weight", "node")).alias("head"))
+        more = crowded.where("label <> major").join(heads, "key").select(F.greatest("node", "head").alias("a"), F.least("node", "head").alias("b")).distinct()
         more = stored(more.join(tried, ["a", "b"], "left_anti"), "tried")
         found = stored(verify(more), "links")
         tried = tried.unionByName(more)
         if not found.isEmpty():
             labels = stored(_merge(labels, found), "labels")
             rest = _unsettled(rest, labels)
-    found = stored(verify(_cross_pairs(rest, bound, refine, large).join(tried, ["a", "b"], "left_anti")), "links")
-    sweep(spark)
+    crowded = rest.where(F.col("n") > large)
+    wide = stored(crowded.groupBy("node").agg(F.first("label").alias("label"), F.max(F.col("label") != F.col("major")).alias("outer")), "wide")
+    pairs = _cross_pairs(rest.where(F.col("n") <= large))
+    if not wide.isEmpty():
+        pairs = pairs.unionByName(closer(wide))
+    pairs = stored(pairs.distinct().join(tried, ["a", "b"], "left_anti"), "tried")
+    found = stored(verify(pairs), "links")
+    sweep(buckets.sparkSession)
     return labels if found.isEmpty() else stored(_merge(labels, found), "labels")
 
 
@@ -116,31 +124,16 @@ def _unsettled(members: DataFrame, labels: DataFrame) -> DataFrame:
     return stored(known.join(mixed.where("labels > 1").select("key", "major", "n"), "key"), "rest")
 
 
-def _cross_pairs(rest: DataFrame, bound: Callable | None, refine: Callable | None, large: int) -> DataFrame:
-    """Distinct pairs (a, b), a > b, of one bucket and of different components, that may be links."""
-    meets = F.lit(True)
-    wide = rest.where(F.col("n") > large).select("node").distinct()
-    if refine is not None:
-        finer = refine(wide)
-        again = finer.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-        finer = finer.join(again, "key").join(rest.select("node", "label").distinct(), "node")
-        # in a finer bucket every node is open
-        finer = finer.select("key", "node", F.lit(None).cast("long").alias("hub"), "label", F.lit(-1).cast("long").alias("major"), "n")
-        rest = rest.where(F.col("n") <= large).unionByName(finer)
-    if bound is not None:
-        facts, condition = bound(wide)
-        rest = rest.join(facts, "node", "left")
-        meets = F.coalesce(condition("", "o_"), F.lit(True))
-    columns = [c for c in rest.columns if c not in ("key", "hub", "major", "n")]
-    left = rest.where("label <> major").select("key", *columns)
-    right = rest.select("key", "major", *[F.col(c).alias(f"o_{c}") for c in columns])
+def _cross_pairs(rest: DataFrame) -> DataFrame:
+    """Pairs (a, b), a > b, of one small bucket and of different components, one of them not the main one."""
+    left = rest.where("label <> major").select("key", "node", "label")
+    right = rest.select("key", "major", F.col("node").alias("o_node"), F.col("label").alias("o_label"))
     # pairs within what is outside the main component come up once, from their larger node
     once = (F.col("o_label") == F.col("major")) | (F.col("node") > F.col("o_node"))
     return (
         left.join(right, "key")
-        .where((F.col("label") != F.col("o_label")) & once & meets)
+        .where((F.col("label") != F.col("o_label")) & once)
         .select(F.greatest("node", "o_node").alias("a"), F.least("node", "o_node").alias("b"))
-        .distinct()
     )
 
 

@@ -5,25 +5,36 @@ are one node, however many there are. A node gets a few small collections of
 minhashes; a hash table is keyed by a *pair* of collections, so that m
 collections of r minhashes serve m(m-1)/2 tables of 2r minhashes each, at about
 the square root of the hashing that separate tables would take. Two nodes meet
-if any two collections agree: with m=10 and r=2 a pair of similarity 0.8 is
-missed with probability 0.0007, one of 0.9 with 0.000002. Every link is
+if any two collections agree: with m=12 and r=2 a pair of similarity 0.8 is
+missed with probability 0.0001, one of 0.9 with 0.00000002. Every link is
 confirmed on the full sets.
+
+In a large bucket nodes that are linked with none of its representatives are
+not held against all others. A prefix filter finds the possible links: shingles
+are ordered from rare to frequent, and two sets that reach the threshold share a
+shingle early in this order, the earlier the closer their sizes are. What is
+left of both sets from that shingle on must suffice for the overlap, so that
+copies of one text which differ in shingles of their own never meet.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from reachgraph.llm.common import bound_batches, stored, sweep
 from reachgraph.llm.components import bucket_components
 
-COLLECTIONS, ROWS = 10, 2
+COLLECTIONS, ROWS = 12, 2
+#: Ratio of the bounds of the size classes in which the prefix filter looks.
+SIZE_STEP = 1.02
 
 
 class Shingler:
@@ -66,13 +77,13 @@ def _mixed(x: np.ndarray) -> np.ndarray:
 
 def minhash_collections(shingles: np.ndarray, collections: int, rows: int, seed: int = 11) -> np.ndarray:
     """One hash per collection over its ``rows`` minhashes."""
-    rng = np.random.default_rng(seed)
-    salts = rng.integers(0, 2**63, size=collections * rows, dtype=np.uint64)
+    salts = np.random.default_rng(seed).integers(0, 2**63, size=(collections * rows, 1), dtype=np.uint64)
+    low = np.full(collections * rows, np.iinfo(np.uint64).max)
+    for part in np.array_split(shingles, -(-len(shingles) // 2048)):  # as much as stays in the cache
+        np.minimum(low, _mixed(part ^ salts).min(axis=1), out=low)
     out = np.zeros(collections, dtype=np.uint64)
-    for i, salt in enumerate(salts):
-        low = _mixed(shingles ^ salt).min() if len(shingles) < 4096 else min(_mixed(p ^ salt).min() for p in np.array_split(shingles, len(shingles) // 2048))
-        c = i // rows
-        out[c : c + 1] = out[c : c + 1] * np.uint64(0x9E3779B97F4A7C15) ^ low
+    for row in low.reshape(collections, rows).T:
+        out = out * np.uint64(0x9E3779B97F4A7C15) ^ row
     return out
 
 
@@ -146,18 +157,47 @@ def _set_rows(width: int):
     return run
 
 
-def _shared_sizes(texts: DataFrame, width: int) -> DataFrame:
-    """(node, size, shared): how many shingles a node has, and how many of them any other of these nodes has too."""
-    rows = texts.select("node", "text").mapInArrow(_set_rows(width), "node long, n long, shingle long")
-    alone = rows.groupBy("shingle").agg(F.count(F.lit(1)).alias("m"), F.min("node").alias("node"), F.min("n").alias("n")).where("m = 1")
-    alone = alone.groupBy("node").agg(F.count(F.lit(1)).alias("alone"))
-    return stored(texts.select("node", F.col("n").alias("size")).join(alone, "node", "left").select("node", "size", (F.col("size") - F.coalesce("alone", F.lit(0))).alias("shared")), "sizes")
+def set_rows(texts: DataFrame, nodes: DataFrame, width: int) -> DataFrame:
+    """(node, n, shingle, m): the shingles of some nodes that several of them have, and how many do."""
+    rows = stored(texts.join(nodes, "node", "left_semi").select("node", "text").mapInArrow(_set_rows(width), "node long, n long, shingle long"), "sets")
+    common = rows.groupBy("shingle").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+    return stored(rows.join(common, "shingle").select("node", "n", "shingle", "m"), "sets")
+
 
+def possible_links(rows: DataFrame, open_: DataFrame, percent: int) -> DataFrame:
+    """(a, b): pairs of ``open_(node, label, outer)`` of different labels, one outer, among them all that reach the threshold.
 
-def _may_link(a: str, b: str, percent: int) -> Column:
-    """Whether two sets can reach the threshold, as no overlap exceeds what either shares with anyone."""
-    both = F.least(f"{a}shared", f"{b}shared")
-    return F.lit(100) * both >= F.lit(percent) * (F.col(f"{a}size") + F.col(f"{b}size") - both)
+    ``rows`` is what ``set_rows`` gives for these nodes and maybe others. A
+    shingle has the rank ``left``, the number of shingles of its set that are
+    not before it in the order from rare to frequent. Shingles of one set alone
+    take their places in it, but meet nothing. Of two sets the smaller one is
+    found under its size class; the larger one asks each class that it can be
+    linked with, for as many of its first shingles as that class calls for.
+    """
+    last = Window.partitionBy("node").orderBy(F.desc("m"), F.desc("shingle"))
+    ranked = rows.join(open_.select("node"), "node", "left_semi").select("node", "n", "shingle", F.row_number().over(last).alias("left"))
+    # of two sets of sizes n and m that are linked, the overlap is percent * (n + m) / (100 + percent) at least
+    least = lambda total: F.lit(percent) * total <= F.lit(100 + percent) * F.col("left")
+    fewest = F.ceil(F.lit(percent) * F.col("n") / 100)  # shingles of a set that is linked with one of n
+    ranked = stored(ranked.where(least(F.col("n") + fewest)).join(open_, "node"), "ranked")
+    grade = lambda n: F.floor(F.log(n) / F.lit(math.log(SIZE_STEP)) + F.lit(1e-9)).cast("int")
+    # outer sets meet all others, those of the main component only outer ones
+    short = ranked.where(least(2 * F.col("n"))).select(
+        grade(F.col("n")).alias("grade"), "shingle", (~F.col("outer")).alias("tame"), *[F.col(c).alias(f"s_{c}") for c in ("node", "n", "label", "left")]
+    )
+    asked = F.sequence(grade(fewest), grade(F.col("n")))
+    low = F.greatest(F.floor(F.pow(F.lit(SIZE_STEP), F.col("grade"))) - 1, fewest)
+    long = ranked.withColumn("grade", F.explode(asked)).where(least(F.col("n") + low))
+    sides = F.when(F.col("outer"), F.array(F.lit(False), F.lit(True))).otherwise(F.array(F.lit(False)))
+    long = long.select("grade", "shingle", F.explode(sides).alias("tame"), "node", "n", "label", "left")
+    enough = lambda left: F.lit(percent) * (F.col("n") + F.col("s_n")) <= F.lit(100 + percent) * F.col(left)
+    order = (F.col("s_n") < F.col("n")) | (F.col("s_n") == F.col("n")) & (F.col("s_node") < F.col("node"))
+    return (
+        long.join(short, ["grade", "shingle", "tame"])
+        .where(order & (F.col("label") != F.col("s_label")) & enough("left") & enough("s_left"))
+        .select(F.greatest("node", "s_node").alias("a"), F.least("node", "s_node").alias("b"))
+        .distinct()
+    )
 
 
 def near_duplicates(
@@ -191,36 +231,39 @@ def near_duplicates(
         F.col(text_col).cast("string").alias("text"),
     )
     sigs = stored(plain.mapInArrow(_signatures(width, collections, rows, least), "doc_id long, tie long, set binary, n long, keys array<long>"), "sigs")
-    nodes = sigs.where("keys is not null").groupBy("set").agg(F.min(F.struct("doc_id", "tie")).alias("rep"), F.first("n").alias("n"), F.first("keys").alias("keys"))
+    nodes = sigs.where("set is not null").groupBy("set")
+    nodes = nodes.agg(F.min("doc_id").alias("first_id"), F.min(F.struct("doc_id", "tie")).alias("rep"), F.first("n").alias("n"), F.first("keys").alias("keys"))
     # numbers are given once and written down, so that they stay
     nodes = stored(nodes.withColumn("node", F.monotonically_increasing_id()), "nodes")
-    tables = [(i, j) for i in range(collections) for j in range(i + 1, collections)]
-    keys = F.array(*[F.xxhash64(F.lit(t), F.col("keys")[i], F.col("keys")[j]) for t, (i, j) in enumerate(tables)])
-    buckets = nodes.select(F.explode(keys).alias("key"), "node")
+    # the pairs of collections are a constant, exploded first, so that the compiled code stays small
+    tables = ", ".join(f"named_struct('t', {t}, 'i', {i}, 'j', {j})" for t, (i, j) in enumerate(combinations(range(collections), 2)))
+    each = nodes.where("keys is not null").select("node", "keys", F.explode(F.expr(f"array({tables})")).alias("one"))
+    buckets = each.select(F.xxhash64("one.t", F.col("keys")[F.col("one.i")], F.col("keys")[F.col("one.j")]).alias("key"), "node")
 
     texts: list[DataFrame] = []
 
     def verifier(members: DataFrame) -> Callable[[DataFrame], DataFrame]:
         wanted = members.select("node").distinct().join(nodes, "node").select("node", "n", F.col("rep.doc_id").alias("doc_id"), F.col("rep.tie").alias("tie"))
-        one = plain.groupBy("doc_id", "tie").agg(F.first("text").alias("text"))
-        both = one["doc_id"].eqNullSafe(wanted["doc_id"]) & (one["tie"] == wanted["tie"])
-        texts.append(stored(wanted.join(one, both).select("node", "n", "text"), "texts"))
+        both = plain["doc_id"].eqNullSafe(wanted["doc_id"]) & (plain["tie"] == wanted["tie"])
+        found = plain.join(wanted, both).select("node", "n", "text")
+        texts.append(stored(found.groupBy("node", "n").agg(F.first("text").alias("text")), "texts"))
         return _verifier(texts[0], width, percent)
 
-    def bound(open_: DataFrame) -> tuple[DataFrame, Callable[[str, str], Column]]:
-        return _shared_sizes(texts[0].join(open_, "node", "left_semi"), width), lambda a, b: _may_link(a, b, percent)
+    sets: list[DataFrame] = []
+
+    def weigh(some: DataFrame) -> DataFrame:
+        # the copy whose shingles most others have is nearest to all of them
+        sets.append(set_rows(texts[0], some, width))
+        return sets[0].groupBy("node").agg((F.sum("m") / F.max("n")).alias("weight"))
 
-    labels = bucket_components(buckets, verifier, bound)
+    labels = bucket_components(buckets, verifier, lambda open_: possible_links(sets[0], open_, percent), weigh)
+    own = nodes.select("set", "node", "first_id").join(labels, "node", "left")
+    first = stored(own.where("label is not null").groupBy("label").agg(F.min("first_id").alias("of_label")), "first")
+    named = own.join(first, "label", "left").select("set", F.when(F.col("label").isNull(), F.col("first_id")).otherwise(F.col("of_label")).alias("first_id"))
+    named = stored(named, "named")
     sweep(spark)
-    label = F.coalesce("label", "node")
-    grouped = nodes.select("set", "node").join(labels, "node", "left").select("set", label.alias("label"))
-    # sets too small for any link but that of equal ones are components of their own
-    placed = sigs.select("doc_id", "tie", "n", "set").join(grouped, "set", "left")
-    placed = placed.withColumn("label", F.coalesce(F.col("label").cast("string").cast("binary"), F.col("set")))
-    placed = stored(placed.select("doc_id", "tie", "n", "label"), "placed")
-    first = placed.where("label is not null").groupBy("label").agg(F.min("doc_id").alias("first_id"))
-    component = F.when(F.col("label").isNull(), F.col("doc_id")).otherwise(F.col("first_id"))
-    return placed.join(first, "label", "left").select(
+    component = F.when(F.col("set").isNull(), F.col("doc_id")).otherwise(F.col("first_id"))
+    return sigs.join(named, "set", "left").select(
         "doc_id", "tie", F.col("n").alias("n_shingles"), component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept")
     )
 
