@@ -1,11 +1,14 @@
 """Near-duplicate lines by a segment-partition edit join, in DataFrame functions only.
 
-A line is cut into threshold + 1 segments. Two lines within the threshold share
-at least one segment that no edit touches, so each line is indexed by its
-segments (length of the line, number of the segment, its text) and probes, for
-every length that the threshold allows, only those substrings that a segment can
-have moved to. Lines that meet are verified by an edit distance that looks at
-the band of the threshold alone.
+A line is a row of units: its words where it has enough of them, else its
+characters. How many edits of a unit two lines may be apart grows with their
+length. The shorter line is cut into threshold + 1 segments. Two lines within
+the threshold share at least one segment that no edit touches, so each line is
+indexed by its segments (length of the line, number of the segment, its units)
+and probes, for every length that a threshold allows, only those stretches that
+a segment can have moved to. Lines that meet are verified by a banded
+bit-parallel edit distance: one word of bits for each number of errors, one bit
+for each diagonal of the band.
 
 Equal lines are one node, however often they occur. Lines that meet are held
 against one line of their bucket first and against each other only where they
@@ -15,30 +18,31 @@ stay in different components (see ``components.bucket_components``).
 from __future__ import annotations
 
 from collections.abc import Callable
-from itertools import combinations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from reachgraph.llm.common import BROADCAST_ROWS, small, stored, sweep
+from reachgraph.llm.common import stored, sweep
 from reachgraph.llm.components import bucket_components
 
-THRESHOLD, LEAST_CHARS = 2, 30
+#: Lines of as many words or more are compared by words, shorter ones of ``LEAST_CHARS`` characters or more by characters.
+LEAST_WORDS, LEAST_CHARS = 8, 30
+#: One edit of a word per so many words, at least 1 and at most ``MOST_EDITS``; so many edits of characters in lines of few words.
+WORDS_PER_EDIT, MOST_EDITS, CHAR_EDITS = 20, 4, 2
+#: Characters that are one token where lines of few words are looked up by tokens.
+CHAR_TOKEN = 3
 
 
-def _segment(line: Column, length: Column, number: int, parts: int, shift: int = 0) -> Column:
-    """Segment ``number`` (from 0) of a line of ``length`` characters, read ``shift`` characters further right."""
-    base = F.floor(length / parts).cast("int")
-    long = length % parts  # so many segments, the last ones, are one character longer
-    first = F.lit(number) * base + F.greatest(F.lit(0), F.lit(number - parts) + long)
-    size = base + F.when(F.lit(number) >= F.lit(parts) - long, 1).otherwise(0)
-    return F.substring(line, first + 1 + shift, size)
+def allowed(by_words: Column, n: Column) -> Column:
+    """How many edits a line of ``n`` units may be apart from another that is not shorter."""
+    words = F.least(F.lit(MOST_EDITS), F.greatest(F.lit(1), F.floor(n / WORDS_PER_EDIT).cast("int")))
+    return F.when(by_words, words).otherwise(F.lit(CHAR_EDITS))
 
 
-def _probes(threshold: int) -> list[tuple[int, int, int]]:
-    """(characters longer than the indexed line, segment, shift) of each probe.
+def probes(threshold: int) -> list[tuple[int, int, int, int]]:
+    """(threshold, units longer than the indexed line, segment, shift) of each probe.
 
-    A segment with i segments before it can have moved by as many characters as
+    A segment with i segments before it can have moved by as many units as
     there are edits left for those, and what lies behind it limits it likewise.
     """
     out = []
@@ -46,73 +50,106 @@ def _probes(threshold: int) -> list[tuple[int, int, int]]:
         for i in range(threshold + 1):
             low = max(-i, longer - (threshold - i))
             high = min(i, longer + (threshold - i))
-            out += [(longer, i, shift) for shift in range(low, high + 1)]
+            out += [(threshold, longer, i, shift) for shift in range(low, high + 1)]
     return out
 
 
-def bucket_keys(line: Column, length: Column, threshold: int = THRESHOLD) -> Column:
-    """All keys of a line of ``length`` characters, as index entry and as probe; an entry and the probe it answers have equal keys.
-
-    The length is a column of its own, as every key uses it several times and counting characters reads the line.
-    """
-    parts = threshold + 1
-    keys = []
-    for longer, i, shift in _probes(threshold):
-        target = length - longer
-        keys.append(F.xxhash64(target, F.lit(i), _segment(line, target, i, parts, shift)))
-    return F.array_distinct(F.array(*keys))
+def _constant(ways: list[tuple[int, int, int, int]]) -> str:
+    return "array(" + ", ".join(f"named_struct('edits', {t}, 'longer', {d}, 'i', {i}, 'shift', {s})" for t, d, i, s in ways) + ")"
 
 
-def _exclusions(threshold: int, parts: int) -> list[tuple[int, int, list[tuple[int, int]]]]:
-    """(characters longer, number of the exclusion, [(segment, shift)]) for all ways to leave ``threshold`` segments out.
+def bucket_rows(nodes: DataFrame) -> DataFrame:
+    """(key, node): every line as index entries and as probes; an entry and the probe that it answers have equal keys.
 
-    A run of c excluded neighbours can hold c edits, so what follows it is
-    shifted by up to c more; behind the last one the shift is the difference of
-    the lengths.
+    ``nodes`` has node, by_words, n and units. The probes of a threshold are a
+    constant that is exploded before keys are made from it, so that the compiled
+    code stays small enough to be optimised. Near a length where the threshold
+    changes, a line probes shorter ones under their threshold.
+    """
+    spark_ways = [_constant(probes(t)) for t in range(1, max(MOST_EDITS, CHAR_EDITS) + 1)]
+    edits = allowed(F.col("by_words"), F.col("n"))
+    own = F.element_at(F.expr(f"array({', '.join(spark_ways)})"), edits)
+    every = F.expr(f"concat({', '.join(spark_ways)})")
+    fits = lambda way: allowed(F.col("by_words"), F.col("n") - way["longer"]) == way["edits"]
+    ways = F.when(edits == allowed(F.col("by_words"), F.col("n") - edits), own).otherwise(F.filter(every, fits))
+    each = nodes.select("node", "by_words", "n", "units", F.explode(ways).alias("w"))
+    length, parts = "(n - w.longer)", "(w.edits + 1)"
+    larger = f"(w.i - {parts} + {length} % {parts})"  # the last segments are one unit longer, this many before this one
+    first = f"w.i * ({length} div {parts}) + greatest(0, {larger}) + w.shift + 1"
+    size = f"({length} div {parts}) + if({larger} >= 0, 1, 0)"
+    return each.select(F.expr(f"xxhash64(by_words, {length}, w.i, slice(units, cast({first} as int), cast({size} as int)))").alias("key"), "node")
+
+
+def within(a: Column, b: Column, edits: Column, most: int = max(MOST_EDITS, CHAR_EDITS)) -> Column:
+    """Whether two arrays of units are at most ``edits`` (up to ``most``) insertions, deletions and replacements apart.
+
+    Bit d of word e says that the first j units of ``b`` can become the first
+    j - most + d of ``a`` with e errors. A unit of ``b`` moves all diagonals and
+    all numbers of errors by a few bit operations.
     """
-    out = {}
-    for number, left_out in enumerate(combinations(range(parts), threshold)):
-        for longer in range(threshold + 1):
-            ways: list[tuple[int, list[tuple[int, int]]]] = [(0, [])]
-            i = 0
-            while i < parts:
-                if i not in left_out:
-                    ways = [(shift, kept + [(i, shift)]) for shift, kept in ways]
-                    i += 1
-                    continue
-                run = 1
-                while i + run in left_out:
-                    run += 1
-                ways = [(shift + d, kept) for shift, kept in ways for d in range(-run, run + 1)]
-                i += run
-            last = max(left_out, default=-1)
-            for shift, kept in ways:
-                behind = [s for seg, s in kept if seg > last]
-                if (behind[0] if behind else shift) == longer:
-                    out[longer, number, tuple(kept)] = None
-    return [(longer, number, list(kept)) for longer, number, kept in out]
-
-
-def exclusion_keys(line: Column, length: Column, threshold: int = THRESHOLD, parts: int = 6) -> Column:
-    """Finer keys: all but ``threshold`` of ``parts`` segments; lines within the threshold share one.
-
-    The ways to leave segments out are one constant array of numbers, so that
-    the plan does not grow with them.
+    bits = range(2 * most + 1)
+
+    def step(state: Column, j: Column) -> Column:
+        unit = F.get(b, j - 1)
+        match = F.lit(0)
+        for d in bits:
+            match = match + F.when(F.get(a, j - 1 - most + d).eqNullSafe(unit), F.lit(1 << d)).otherwise(F.lit(0))
+        return F.struct(match.alias("m"), *[state[f"r{e}"].alias(f"r{e}") for e in range(most + 1)])
+
+    def spread(state: Column) -> Column:
+        words = [state["r0"].bitwiseAND(state["m"])]
+        for e in range(1, most + 1):
+            before = state[f"r{e - 1}"]
+            moved = state[f"r{e}"].bitwiseAND(state["m"]).bitwiseOR(before).bitwiseOR(F.shiftright(before, 1))
+            words.append(moved.bitwiseOR(F.shiftleft(words[-1], 1)))
+        return F.struct(F.lit(0).alias("m"), *[w.alias(f"r{e}") for e, w in enumerate(words)])
+
+    start = F.struct(F.lit(0).alias("m"), *[F.lit(((1 << (e + 1)) - 1) << most).alias(f"r{e}") for e in range(most + 1)])
+    columns = F.when(F.size(b) > 0, F.sequence(F.lit(1), F.size(b))).otherwise(F.array().cast("array<int>"))
+    # the match bits are made once for each unit, in an inner structure, and then used by all words
+    last = F.aggregate(columns, start, lambda state, j: F.element_at(F.transform(F.array(step(state, j)), spread), 1))
+    place = F.size(a) - F.size(b) + most
+    reached = F.element_at(F.array(*[last[f"r{e}"] for e in range(most + 1)]), edits + 1)
+    return (F.abs(F.size(a) - F.size(b)) <= edits) & (F.call_function("shiftright", reached, F.greatest(F.lit(0), place)).bitwiseAND(F.lit(1)) == 1)
+
+
+def token_rows(nodes: DataFrame) -> DataFrame:
+    """(node, by_words, n, reach, token, m): the tokens of lines, numbered where they repeat, and how many of the lines have each.
+
+    Tokens are words, or runs of characters in lines of few words. ``reach``
+    tokens can differ between lines within the threshold.
     """
-    ways = [[longer, number, *(x for pair in kept for x in pair)] for longer, number, kept in _exclusions(threshold, parts)]
-    constant = F.expr("array(" + ", ".join("array(" + ", ".join(map(str, w)) + ")" for w in ways) + ")")
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.col("n") - CHAR_TOKEN + 1)), lambda i: F.array_join(F.slice("units", i, CHAR_TOKEN), ""))
+    tokens = F.when(F.col("by_words"), F.col("units")).otherwise(runs)
+    reach = allowed(F.col("by_words"), F.col("n")) * F.when(F.col("by_words"), 1).otherwise(CHAR_TOKEN)
+    rows = nodes.select("node", "by_words", "n", reach.alias("reach"), F.posexplode(tokens).alias("pos", "word"))
+    rows = rows.select("node", "by_words", "n", "reach", "pos", F.xxhash64("by_words", "word").alias("word"))
+    again = F.row_number().over(Window.partitionBy("node", "word").orderBy("pos"))
+    rows = stored(rows.select("node", "by_words", "n", "reach", F.xxhash64("word", again).alias("token")), "tokens")
+    return stored(rows.join(rows.groupBy("token").agg(F.count(F.lit(1)).alias("m")), "token"), "tokens")
 
-    def key(way: Column) -> Column:
-        target = length - way[0]
-        base, long = F.floor(target / parts).cast("int"), target % parts
-        texts = []
-        for i in range(parts - threshold):
-            seg, shift = way[2 + 2 * i], way[3 + 2 * i]
-            first = seg * base + F.greatest(F.lit(0), seg - parts + long)
-            texts.append(F.substring(line, first + 1 + shift, base + F.when(seg >= parts - long, 1).otherwise(0)))
-        return F.xxhash64(target, way[1], *texts)
 
-    return F.array_distinct(F.transform(constant, key))
+def possible_links(rows: DataFrame, open_: DataFrame) -> DataFrame:
+    """(a, b): pairs of ``open_(node, label, outer)`` of different labels, one outer, among them all within the threshold.
+
+    The tokens of a line are ordered from rare to frequent. Lines of which few
+    tokens differ share one of the first ones.
+    """
+    order = F.row_number().over(Window.partitionBy("node").orderBy("m", "token"))
+    first = rows.join(open_.select("node"), "node", "left_semi").withColumn("place", order).where("place <= reach + 1 and m > 1")
+    first = stored(first.drop("m", "place").join(open_, "node"), "first")
+    # outer lines meet all others, those of the main component only outer ones
+    sides = F.when(F.col("outer"), F.array(F.lit(False), F.lit(True))).otherwise(F.array(F.lit(False)))
+    left = first.select("token", "by_words", F.explode(sides).alias("tame"), "node", "n", "label")
+    right = first.select("token", "by_words", (~F.col("outer")).alias("tame"), *[F.col(c).alias(f"o_{c}") for c in ("node", "n", "label")])
+    close = F.abs(F.col("n") - F.col("o_n")) <= allowed(F.col("by_words"), F.least("n", "o_n"))
+    once = F.col("tame") | (F.col("node") > F.col("o_node"))
+    return (
+        left.join(right, ["token", "by_words", "tame"])
+        .where((F.col("label") != F.col("o_label")) & close & once)
+        .select(F.greatest("node", "o_node").alias("a"), F.least("node", "o_node").alias("b"))
+        .distinct()
+    )
 
 
 def lines_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -121,50 +158,58 @@ def lines_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), split.alias("line_no", "line"))
 
 
-def near_duplicate_lines(
-    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", threshold: int = THRESHOLD, least_chars: int = LEAST_CHARS, short_lines: bool = False
-) -> DataFrame:
+def near_duplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", least_chars: int = LEAST_CHARS, short_lines: bool = False) -> DataFrame:
     """doc_id, line_no, n_chars, first_doc, first_line, kept: one row per line of ``least_chars`` characters or more.
 
     With ``short_lines`` also one per shorter line that is not empty; these are
     classed by equality alone.
 
-    Lines within ``threshold`` edits are linked; (first_doc, first_line) is the
-    first occurrence, by id and line number, of any line that links lead to, and
-    names the class. ``kept`` marks that occurrence. Shorter lines say too little
-    to be called near copies. Null texts have no lines; null ids
-    come after all others; repeated rows share their positions and so are kept
-    or not together. Other columns are not read; an empty table gives an empty
-    result. ``least_chars`` must leave every segment a few characters.
+    Lines that both have ``LEAST_WORDS`` words or more are linked if their words
+    are within ``allowed`` edits of the shorter one; lines that both have fewer
+    if their characters are within ``CHAR_EDITS``. (first_doc, first_line) is
+    the first occurrence, by id and line number, of any line that links lead to,
+    and names the class. ``kept`` marks that occurrence. White space between
+    words does not count. Null texts have no lines; null ids come after all
+    others; repeated rows share their positions and so are kept or not together;
+    a very long line is a line like any other. Other columns are not read; an
+    empty table gives an empty result.
     """
     rows = lines_of(docs, id_col, text_col).where(F.char_length("line") >= (1 if short_lines else least_chars))
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
     rows = rows.select("doc_id", "line_no", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.char_length("line").alias("n_chars"), place.alias("place"))
-    nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.first("n_chars").alias("n_chars"), F.min("place").alias("place"), F.count(F.lit(1)).alias("n"))
+    nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.first("n_chars").alias("n_chars"), F.min("place").alias("place"), F.count(F.lit(1)).alias("rows"))
+    words = F.split(F.trim(F.translate("line", "\t\x0b\x0c\r", "    ")), " +")
+    nodes = nodes.withColumn("words", words).withColumn("by_words", F.size("words") >= LEAST_WORDS)
+    units = F.when(F.col("n_chars") >= least_chars, F.when(F.col("by_words"), F.col("words")).otherwise(F.split("line", "")))
     # numbers are given once and written down, so that they stay
-    nodes = stored(nodes.withColumn("node", F.monotonically_increasing_id()), "lines")
-    sweep(docs.sparkSession)
-    buckets = nodes.where(F.col("n_chars") >= least_chars).select(F.explode(bucket_keys(F.col("line"), F.col("n_chars"), threshold)).alias("key"), "node")
+    nodes = nodes.select("h1", "h2", "place", "rows", "by_words", units.alias("units"), F.monotonically_increasing_id().alias("node"))
+    nodes = stored(nodes.withColumn("n", F.size("units")), "lines")
+    lines = nodes.where("units is not null").select("node", "by_words", "n", "units")
 
-    def refine(open_: DataFrame) -> DataFrame:
-        return nodes.join(open_, "node", "left_semi").select(F.explode(exclusion_keys(F.col("line"), F.col("n_chars"), threshold)).alias("key"), "node")
+    texts: list[DataFrame] = []
+    tokens: list[DataFrame] = []
 
     def verifier(members: DataFrame) -> Callable[[DataFrame], DataFrame]:
-        wanted = small(stored(members.select("node").distinct(), "wanted"), BROADCAST_ROWS)
-        texts = stored(nodes.join(wanted, "node", "left_semi").select("node", "line"), "texts")
+        texts.append(stored(lines.join(members.select("node").distinct(), "node", "left_semi"), "texts"))
 
         def verify(pairs: DataFrame) -> DataFrame:
-            a = texts.select(F.col("node").alias("a"), F.col("line").alias("la"))
-            b = texts.select(F.col("node").alias("b"), F.col("line").alias("lb"))
-            near = F.levenshtein("la", "lb", threshold) >= 0
-            return pairs.join(a, "a").join(b, "b").where(near).select("a", "b")
+            a, b = (texts[0].select(*[F.col(c).alias(f"{side}_{c}") for c in texts[0].columns]) for side in "ab")
+            met = pairs.join(a, pairs["a"] == a["a_node"]).join(b, pairs["b"] == b["b_node"]).where("a_by_words = b_by_words")
+            edits = allowed(F.col("a_by_words"), F.least("a_n", "b_n"))
+            met = met.where(F.abs(F.col("a_n") - F.col("b_n")) <= edits)
+            return met.where(within(F.col("a_units"), F.col("b_units"), edits)).select("a", "b")
 
         return verify
 
-    labels = bucket_components(buckets, verifier, refine=refine)
+    def weigh(some: DataFrame) -> DataFrame:
+        # the line whose tokens most others have is nearest to all of them
+        tokens.append(token_rows(texts[0].join(some, "node", "left_semi")))
+        return tokens[0].groupBy("node").agg(F.avg("m").alias("weight"))
+
+    labels = bucket_components(bucket_rows(lines), verifier, lambda open_: possible_links(tokens[0], open_), weigh)
     sweep(docs.sparkSession)
     # a line that occurs once and is linked with none is its own class; only the others travel
-    own = nodes.select("node", "h1", "h2", "place", "n").join(labels, "node", "left").where("label is not null or n > 1")
+    own = nodes.select("node", "h1", "h2", "place", "rows").join(labels, "node", "left").where("label is not null or rows > 1")
     own = own.select("h1", "h2", F.coalesce("label", "node").alias("label"), "place")
     first = own.groupBy("label").agg(F.min("place").alias("first"))
     classes = stored(own.join(first, "label").select("h1", "h2", "first"), "classes")
