@@ -114,7 +114,7 @@ def mix_sources(
     seed: int = 7,
     max_sources: int = 100_000,
 ) -> DataFrame:
-    """doc_id, source, size, source_size, target, taken, copies: one row per input row.
+    """doc_id, source, size, source_size, target, taken, copies, tie: one row per input row; ``tie`` is the hash of the text.
 
     Null or empty texts have size 0 and take nothing. A null source is a source
     of its own, ordered last; null ids and repeated rows are rows like any other.
@@ -179,12 +179,20 @@ def mix_sources(
         out = out.unionByName(more)
     copies = (F.col("whole") + F.col("prob")).cast("long")
     return out.select(
-        "doc_id", "source", "size", "source_size", "target", (copies * F.col("size")).alias("taken"), copies.alias("copies")
+        "doc_id", "source", "size", "source_size", "target", (copies * F.col("size")).alias("taken"), copies.alias("copies"), "tie"
     )
 
 
 def keep_mixed(docs: DataFrame, **options: object) -> DataFrame:
-    """``mix_sources`` without the documents that the mix does not take."""
-    mixed = mix_sources(docs, **options)
-    return mixed.where("copies > 0")
+    """The documents that the mix takes, with all their columns and how often it takes them.
 
+    ``mix_copies`` is the number of times, ``mix_target`` the target of the
+    source. Repeated rows become one, with the copies of all of them. A column
+    of ``docs`` that has one of these two names gives way.
+    """
+    id_col, text_col = str(options.get("id_col", "doc_id")), str(options.get("text_col", "text"))
+    taken = mix_sources(docs, **options).where("copies > 0").groupBy(F.col("doc_id").alias("_id"), F.col("tie").alias("_tie"))
+    taken = taken.agg(F.sum("copies").alias("mix_copies"), F.max("target").alias("mix_target"))
+    rows = docs.drop("mix_copies", "mix_target").withColumn("_text", F.coalesce(F.xxhash64(F.col(text_col)), F.lit(0).cast("long")))
+    same = rows[id_col].cast("long").eqNullSafe(taken["_id"]) & (rows["_text"] == taken["_tie"])
+    return rows.join(taken.hint("shuffle_hash"), same).dropDuplicates([id_col, "_text"]).drop("_id", "_tie", "_text")

@@ -10,6 +10,7 @@ the level above, with a strength estimated from how much the groups differ.
 
 from __future__ import annotations
 
+import json
 import math
 import re
 from collections.abc import Iterator
@@ -67,6 +68,15 @@ class Model:
     bins: tuple[tuple[float, ...], ...]
     constant: tuple[float, ...]
 
+    def text(self) -> str:
+        """The model as JSON; ``parse`` reads it back exactly."""
+        return json.dumps([self.words, self.bins, self.constant])
+
+    @classmethod
+    def parse(cls, text: str) -> Model:
+        words, bins, constant = json.loads(text)
+        return cls({k: tuple(v) for k, v in words.items()}, tuple(map(tuple, bins)), tuple(constant))
+
     def logits(self, text: str | None) -> list[float]:
         seen, bins = features(text)
         out = list(self.constant)
@@ -139,7 +149,8 @@ def _featurise(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def fit_on_labels(docs: DataFrame, labels: DataFrame, *, fit_rows: int = 4000, id_col: str = "doc_id", text_col: str = "text") -> Model:
     """Fit on at most ``fit_rows`` labelled documents, chosen by a hash of their ids.
 
-    Rows with a null id or label take no part, nor do labels without a document.
+    Rows with a null id or label take no part, nor do labels without a document;
+    without any row both heads reject nothing.
     """
     bound_batches(docs.sparkSession)
     chosen = (
@@ -150,10 +161,22 @@ def fit_on_labels(docs: DataFrame, labels: DataFrame, *, fit_rows: int = 4000, i
     )
     rows = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(chosen), "_id")
     read = rows.select("text", "low", "toxic").mapInArrow(_featurise, "words array<string>, bins array<long>, low long, toxic long")
-    # in a fixed order, so that reruns fit the same model
-    got = [(r.words, r.bins, min(1, max(0, r.low)), min(1, max(0, r.toxic))) for r in read.toLocalIterator()]
-    got.sort(key=lambda r: (r[2:], r[1], r[0]))
-    return fit(got[:fit_rows])
+    # the sample is bounded, so one task fits the models, and the driver gets their weights alone
+    made = read.repartition(1).mapInArrow(_fit_task(fit_rows), "model string").first()
+    return Model.parse(made.model) if made else fit([])
+
+
+def _fit_task(fit_rows: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = []
+        for batch in batches:
+            words, bins, low, toxic = (batch.column(c).to_pylist() for c in ("words", "bins", "low", "toxic"))
+            got += [(w, b, min(1, max(0, x)), min(1, max(0, y))) for w, b, x, y in zip(words, bins, low, toxic, strict=True)]
+        # in a fixed order, so that reruns fit the same model
+        got.sort(key=lambda r: (r[2:], r[1], r[0]))
+        yield pa.RecordBatch.from_arrays([pa.array([fit(got[:fit_rows]).text()])], names=["model"])
+
+    return run
 
 
 def _score(model: Model):

@@ -9,7 +9,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpus_pipeline import run as pipeline
 from reachgraph.llm.chat_format import format_conversations, read_back
 from reachgraph.llm.common import read
 from reachgraph.llm.decontam import contaminated
@@ -25,7 +24,7 @@ from reachgraph.llm.vector_topk import quantised, top_k
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cube-method mix of all documents to the sources' targets."""
-    return mix_sources(read(spark, sf_dir, "documents"))
+    return mix_sources(read(spark, sf_dir, "documents")).drop("tie")
 
 
 def op2_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -91,7 +90,7 @@ def op10_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     f.__name__: f
     for f in (op1_mix_sources, op2_near_dup, op3_chat_format, op4_suffix_dedup, op5_secret_scan, op6_quality, op7_decontaminate, op8_html_extract, op9_line_dedup, op10_exact_topk)
-} | {"pipeline": pipeline}
+}
 
 ORACLE = {
     "op2_near_dup": r"""
