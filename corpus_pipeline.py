@@ -33,7 +33,7 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """How often each document goes into the mix, for those that do."""
+    """The documents that go into the mix, with their texts and how often they do."""
     return keep_mixed(docs)
 
 
