@@ -187,7 +187,7 @@ def intro_path(spark: SparkSession, sf_dir: str) -> DataFrame:
     return match(spark, sf_dir, 'SELECT DISTINCT ?a WHERE { ?a priority "1-URGENT" . ?a placed_by/within*/named "ASIA" }')
 
 
-WORKED_SIX = 'SELECT ?x ?n ?x1 ?n1 WHERE { ?x in_nation ?n . ?x supplies part/5 . ?x1 in_nation ?n1 . ?n within* region/2 . ?x relays_thin* ?x1 . ?n trades* ?n1 }'
+WORKED_SIX = 'SELECT ?x ?n ?x1 ?n1 WHERE { ?x relays_thin* ?x1 . ?x supplies part/5 . ?n trades* ?n1 . ?n within* region/2 . ?x1 in_nation ?n1 . ?x in_nation ?n }'
 
 
 @query(
