@@ -7,7 +7,7 @@ the threshold share at least one segment that no edit touches, so each line is
 indexed by its segments (length of the line, number of the segment, its units)
 and probes, for every length that a threshold allows, only those stretches that
 a segment can have moved to. Lines that meet are verified by a banded
-bit-parallel edit distance: one word of bits for each number of errors, one bit
+bit-parallel edit distance: one field of bits for each number of errors, one bit
 for each diagonal of the band.
 
 Equal lines are one node, however often they occur. Lines that meet are held
@@ -29,8 +29,8 @@ from reachgraph.llm.components import bucket_components
 LEAST_WORDS, LEAST_CHARS = 8, 30
 #: One edit of a word per so many words, at least 1 and at most ``MOST_EDITS``; so many edits of characters in lines of few words.
 WORDS_PER_EDIT, MOST_EDITS, CHAR_EDITS = 20, 4, 2
-#: Characters that are one token where lines of few words are looked up by tokens.
-CHAR_TOKEN = 3
+#: Neighbouring words, or characters of lines of few words, that are one token where lines are looked up by tokens.
+WORD_TOKEN, CHAR_TOKEN = 2, 3
 
 
 def allowed(by_words: Column, n: Column) -> Column:
@@ -81,47 +81,56 @@ def bucket_rows(nodes: DataFrame) -> DataFrame:
 
 
 def within(a: Column, b: Column, edits: Column, most: int = max(MOST_EDITS, CHAR_EDITS)) -> Column:
-    """Whether two arrays of units are at most ``edits`` (up to ``most``) insertions, deletions and replacements apart.
+    """Whether two arrays of units are at most ``edits`` (up to ``most``, 5 at most) insertions, deletions and replacements apart.
 
-    Bit d of word e says that the first j units of ``b`` can become the first
-    j - most + d of ``a`` with e errors. A unit of ``b`` moves all diagonals and
-    all numbers of errors by a few bit operations.
+    The state is one number. Its field e has a bit for each diagonal d of the
+    band, which says that the first j units of ``b`` can become the first
+    j - most + d of ``a`` with e errors. A unit of ``b`` moves all fields at once:
+    a match keeps a bit, a replacement or an insertion carries it to the next
+    field, and so do deletions, as many as there are fields left.
     """
-    bits = range(2 * most + 1)
+    width = 2 * most + 2  # the diagonals and one bit that stays empty
+    low = sum(1 << (width * e) for e in range(most + 1))  # the first bit of every field
+    mask = lambda first, since: F.lit(sum(((1 << (2 * most + 1)) - (1 << first)) << (width * e) for e in range(since, most + 1))).cast("long")
 
-    def step(state: Column, j: Column) -> Column:
+    def moved(state: Column, j: Column) -> Column:
         unit = F.get(b, j - 1)
-        match = F.lit(0)
-        for d in bits:
-            match = match + F.when(F.get(a, j - 1 - most + d).eqNullSafe(unit), F.lit(1 << d)).otherwise(F.lit(0))
-        return F.struct(match.alias("m"), *[state[f"r{e}"].alias(f"r{e}") for e in range(most + 1)])
-
-    def spread(state: Column) -> Column:
-        words = [state["r0"].bitwiseAND(state["m"])]
-        for e in range(1, most + 1):
-            before = state[f"r{e - 1}"]
-            moved = state[f"r{e}"].bitwiseAND(state["m"]).bitwiseOR(before).bitwiseOR(F.shiftright(before, 1))
-            words.append(moved.bitwiseOR(F.shiftleft(words[-1], 1)))
-        return F.struct(F.lit(0).alias("m"), *[w.alias(f"r{e}") for e, w in enumerate(words)])
-
-    start = F.struct(F.lit(0).alias("m"), *[F.lit(((1 << (e + 1)) - 1) << most).alias(f"r{e}") for e in range(most + 1)])
+        match = F.lit(0).cast("long")
+        for d in range(2 * most + 1):
+            match = match + F.when(F.get(a, j - 1 - most + d).eqNullSafe(unit), F.lit(low << d).cast("long")).otherwise(F.lit(0).cast("long"))
+        next_field = F.shiftleft(state, width)
+        return state.bitwiseAND(match).bitwiseOR(next_field.bitwiseAND(mask(0, 1))).bitwiseOR(F.shiftright(next_field, 1).bitwiseAND(mask(0, 1)))
+
+    def closed(state: Column) -> Column:
+        out = state
+        for n in range(1, most + 1):
+            out = out.bitwiseOR(F.shiftleft(state, n * (width + 1)).bitwiseAND(mask(n, n)))
+        return out
+
+    start = F.lit(sum((((1 << (e + 1)) - 1) << most) << (width * e) for e in range(most + 1))).cast("long")
     columns = F.when(F.size(b) > 0, F.sequence(F.lit(1), F.size(b))).otherwise(F.array().cast("array<int>"))
-    # the match bits are made once for each unit, in an inner structure, and then used by all words
-    last = F.aggregate(columns, start, lambda state, j: F.element_at(F.transform(F.array(step(state, j)), spread), 1))
-    place = F.size(a) - F.size(b) + most
-    reached = F.element_at(F.array(*[last[f"r{e}"] for e in range(most + 1)]), edits + 1)
-    return (F.abs(F.size(a) - F.size(b)) <= edits) & (F.call_function("shiftright", reached, F.greatest(F.lit(0), place)).bitwiseAND(F.lit(1)) == 1)
+    # a transform over one value gives it a name, so that it is worked out once
+    last = F.aggregate(columns, start, lambda state, j: F.element_at(F.transform(F.array(moved(state, j)), closed), 1))
+    place = edits * width + F.greatest(F.lit(0), F.size(a) - F.size(b) + most)
+    return (F.abs(F.size(a) - F.size(b)) <= edits) & (F.call_function("shiftright", last, place.cast("int")).bitwiseAND(F.lit(1).cast("long")) == 1)
+
+
+def grams(units: Column, n: Column, by_words: Column) -> Column:
+    """Hashes of the runs of neighbouring units, once each; an edit can change as many of them as a run is long."""
+    width = F.when(by_words, F.lit(WORD_TOKEN)).otherwise(F.lit(CHAR_TOKEN))
+    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), n - width + 1)), lambda i: F.hash(F.slice(units, i, width))))
 
 
 def token_rows(nodes: DataFrame) -> DataFrame:
     """(node, by_words, n, reach, token, m): the tokens of lines, numbered where they repeat, and how many of the lines have each.
 
-    Tokens are words, or runs of characters in lines of few words. ``reach``
-    tokens can differ between lines within the threshold.
+    Tokens are runs of neighbouring units, so that an exchanged word makes
+    tokens that are rare even where the word is not. ``reach`` tokens can differ
+    between lines within the threshold.
     """
-    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.col("n") - CHAR_TOKEN + 1)), lambda i: F.array_join(F.slice("units", i, CHAR_TOKEN), ""))
-    tokens = F.when(F.col("by_words"), F.col("units")).otherwise(runs)
-    reach = allowed(F.col("by_words"), F.col("n")) * F.when(F.col("by_words"), 1).otherwise(CHAR_TOKEN)
+    width = F.when(F.col("by_words"), F.lit(WORD_TOKEN)).otherwise(F.lit(CHAR_TOKEN))
+    tokens = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.col("n") - width + 1)), lambda i: F.array_join(F.slice("units", i, width), " "))
+    reach = allowed(F.col("by_words"), F.col("n")) * width
     rows = nodes.select("node", "by_words", "n", reach.alias("reach"), F.posexplode(tokens).alias("pos", "word"))
     rows = rows.select("node", "by_words", "n", "reach", "pos", F.xxhash64("by_words", "word").alias("word"))
     again = F.row_number().over(Window.partitionBy("node", "word").orderBy("pos"))
@@ -158,6 +167,11 @@ def lines_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), split.alias("line_no", "line"))
 
 
+def _words() -> Column:
+    """The words of a line, which blanks separate."""
+    return F.array_remove(F.split("line", " "), "")
+
+
 def near_duplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", least_chars: int = LEAST_CHARS, short_lines: bool = False) -> DataFrame:
     """doc_id, line_no, n_chars, first_doc, first_line, kept: one row per line of ``least_chars`` characters or more.
 
@@ -168,7 +182,7 @@ def near_duplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: s
     are within ``allowed`` edits of the shorter one; lines that both have fewer
     if their characters are within ``CHAR_EDITS``. (first_doc, first_line) is
     the first occurrence, by id and line number, of any line that links lead to,
-    and names the class. ``kept`` marks that occurrence. White space between
+    and names the class. ``kept`` marks that occurrence. The number of blanks between
     words does not count. Null texts have no lines; null ids come after all
     others; repeated rows share their positions and so are kept or not together;
     a very long line is a line like any other. Other columns are not read; an
@@ -178,26 +192,32 @@ def near_duplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: s
     place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
     rows = rows.select("doc_id", "line_no", "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), F.char_length("line").alias("n_chars"), place.alias("place"))
     nodes = rows.groupBy("h1", "h2").agg(F.first("line").alias("line"), F.first("n_chars").alias("n_chars"), F.min("place").alias("place"), F.count(F.lit(1)).alias("rows"))
-    words = F.split(F.trim(F.translate("line", "\t\x0b\x0c\r", "    ")), " +")
-    nodes = nodes.withColumn("words", words).withColumn("by_words", F.size("words") >= LEAST_WORDS)
-    units = F.when(F.col("n_chars") >= least_chars, F.when(F.col("by_words"), F.col("words")).otherwise(F.split("line", "")))
-    # numbers are given once and written down, so that they stay
-    nodes = nodes.select("h1", "h2", "place", "rows", "by_words", units.alias("units"), F.monotonically_increasing_id().alias("node"))
-    nodes = stored(nodes.withColumn("n", F.size("units")), "lines")
-    lines = nodes.where("units is not null").select("node", "by_words", "n", "units")
+    # numbers are given once and written down, so that they stay; the units of a line are made from it again where they are needed, as they take more room
+    nodes = nodes.withColumn("words", F.size(_words())).withColumn("node", F.monotonically_increasing_id())
+    by_words = F.col("words") >= LEAST_WORDS
+    n = F.when(F.col("n_chars") >= least_chars, F.when(by_words, F.col("words")).otherwise(F.col("n_chars")))
+    nodes = stored(nodes.select("h1", "h2", "place", "rows", "node", by_words.alias("by_words"), n.alias("n"), F.when(F.col("n_chars") >= least_chars, F.col("line")).alias("line")), "lines")
+    lines = nodes.where("n is not null").select("node", "by_words", "n", "line")
+    units = F.when(F.col("by_words"), _words()).otherwise(F.split("line", "")).alias("units")
 
     texts: list[DataFrame] = []
     tokens: list[DataFrame] = []
 
     def verifier(members: DataFrame) -> Callable[[DataFrame], DataFrame]:
-        texts.append(stored(lines.join(members.select("node").distinct(), "node", "left_semi"), "texts"))
+        wanted = lines.join(members.select("node").distinct(), "node", "left_semi").select("node", "by_words", "n", units)
+        wanted = wanted.withColumn("grams", grams(F.col("units"), F.col("n"), F.col("by_words")))
+        texts.append(stored(wanted, "texts"))
 
         def verify(pairs: DataFrame) -> DataFrame:
-            a, b = (texts[0].select(*[F.col(c).alias(f"{side}_{c}") for c in texts[0].columns]) for side in "ab")
-            met = pairs.join(a, pairs["a"] == a["a_node"]).join(b, pairs["b"] == b["b_node"]).where("a_by_words = b_by_words")
-            edits = allowed(F.col("a_by_words"), F.least("a_n", "b_n"))
-            met = met.where(F.abs(F.col("a_n") - F.col("b_n")) <= edits)
-            return met.where(within(F.col("a_units"), F.col("b_units"), edits)).select("a", "b")
+            facts, units_of = texts[0].select("node", "by_words", "n", "grams"), texts[0].select("node", "units")
+            of = lambda df, side: df.select(*[F.col(c).alias(f"{side}_{c}") for c in df.columns])
+            met = pairs.join(of(facts, "a"), F.col("a") == F.col("a_node")).join(of(facts, "b"), F.col("b") == F.col("b_node")).where("a_by_words = b_by_words")
+            met = met.withColumn("edits", allowed(F.col("a_by_words"), F.least("a_n", "b_n"))).where(F.abs(F.col("a_n") - F.col("b_n")) <= F.col("edits"))
+            width = F.when(F.col("a_by_words"), WORD_TOKEN).otherwise(CHAR_TOKEN)
+            for one, other in (("a_grams", "b_grams"), ("b_grams", "a_grams")):
+                met = met.where(F.size(F.array_except(one, other)) <= F.col("edits") * width)
+            near = met.select("a", "b", "edits").join(of(units_of, "a"), F.col("a") == F.col("a_node")).join(of(units_of, "b"), F.col("b") == F.col("b_node"))
+            return near.where(within(F.col("a_units"), F.col("b_units"), F.col("edits"))).select("a", "b")
 
         return verify
 
@@ -206,7 +226,7 @@ def near_duplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: s
         tokens.append(token_rows(texts[0].join(some, "node", "left_semi")))
         return tokens[0].groupBy("node").agg(F.avg("m").alias("weight"))
 
-    labels = bucket_components(bucket_rows(lines), verifier, lambda open_: possible_links(tokens[0], open_), weigh)
+    labels = bucket_components(bucket_rows(lines.select("node", "by_words", "n", units)), verifier, lambda open_: possible_links(tokens[0], open_), weigh)
     sweep(docs.sparkSession)
     # a line that occurs once and is linked with none is its own class; only the others travel
     own = nodes.select("node", "h1", "h2", "place", "rows").join(labels, "node", "left").where("label is not null or rows > 1")
