@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import xxhash
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -23,6 +24,11 @@ def literal_id(text: Column | str) -> Column:
     return F.when(col.isNotNull(), F.lit(KINDS["literal"] * BASE) + F.pmod(F.xxhash64(col.cast("string")), F.lit(BASE)))
 
 
+def literal_number(text: str) -> int:
+    """What ``literal_id`` gives for one text, without a job: the same hash with Spark's seed."""
+    return KINDS["literal"] * BASE + xxhash.xxh64_intdigest(text.encode(), seed=42) % BASE
+
+
 def term_key(term: Column | str) -> Column:
     """The key of the row that an id names."""
     col = F.col(term) if isinstance(term, str) else term

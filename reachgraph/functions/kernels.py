@@ -15,8 +15,56 @@ import numpy as np
 BLOCK_BYTES = 64 << 20
 
 
+def _peel(n: int, src: np.ndarray, dst: np.ndarray, open_: np.ndarray) -> list[np.ndarray]:
+    """Open vertices without an edge from an open one, then those that these leave without one, and so on."""
+    inner = open_[src] & open_[dst]
+    src, dst = src[inner], dst[inner]
+    by = np.argsort(src, kind="stable")
+    targets, offsets = dst[by], np.searchsorted(src[by], np.arange(n + 1))
+    degree = np.bincount(dst, minlength=n)
+    layers = []
+    front = np.flatnonzero(open_ & (degree == 0))
+    while len(front):
+        layers.append(front)
+        count = offsets[front + 1] - offsets[front]
+        step = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        met = targets[np.repeat(offsets[front], count) + step]
+        np.subtract.at(degree, met, 1)
+        met = np.unique(met)
+        front = met[degree[met] == 0]
+    return layers
+
+
 def components(n: int, src: np.ndarray, dst: np.ndarray) -> np.ndarray:
-    """Strongly connected component of each vertex 0..n-1; an edge never leads to a larger number."""
+    """Strongly connected component of each vertex 0..n-1; an edge never leads to a larger number.
+
+    What leads to no cycle and what no cycle leads to is peeled off in layers of
+    whole arrays; only the core between them is walked vertex by vertex.
+    """
+    comp = np.full(n, -1, dtype=np.int64)
+    sinks = _peel(n, dst, src, np.ones(n, dtype=bool))
+    low = 0
+    for layer in sinks:
+        comp[layer] = low + np.arange(len(layer))
+        low += len(layer)
+    roots = _peel(n, src, dst, comp < 0)
+    count = sum(map(len, roots))
+    core = comp < 0
+    for layer in roots:
+        core[layer] = False
+    names = np.flatnonzero(core)
+    inner = core[src] & core[dst]
+    found = _walk(len(names), np.searchsorted(names, src[inner]), np.searchsorted(names, dst[inner]))
+    comp[names] = low + found
+    high = low + (int(found.max()) + 1 if len(found) else 0) + count
+    for layer in roots:
+        high -= len(layer)
+        comp[layer] = high + np.arange(len(layer))
+    return comp
+
+
+def _walk(n: int, src: np.ndarray, dst: np.ndarray) -> np.ndarray:
+    """Components of a graph by one depth-first walk."""
     by = np.argsort(src, kind="stable")
     targets = dst[by].tolist()
     offsets = np.searchsorted(src[by], np.arange(n + 1)).tolist()
@@ -81,10 +129,8 @@ class Dag:
         cs, cd = comp[s], comp[d]
         pairs = np.unique(np.stack([cs[cs != cd], cd[cs != cd]], axis=1), axis=0) if len(cs) else np.empty((0, 2), dtype=np.int64)
         depth = np.zeros(n, dtype=np.int64)
-        by = np.argsort(-pairs[:, 0], kind="stable")  # sources in topological order
-        for a, b in pairs[by].tolist():
-            if depth[b] <= depth[a]:
-                depth[b] = depth[a] + 1
+        for i, layer in enumerate(_peel(n, pairs[:, 0], pairs[:, 1], np.ones(n, dtype=bool))):
+            depth[layer] = i
         level = depth[pairs[:, 0]]
         order = np.lexsort((pairs[:, 1], level))
         return cls(verts, comp, cyclic, pairs[order, 0], pairs[order, 1], level[order])

@@ -51,21 +51,77 @@ def vertex_sample(edges: DataFrame, share: float) -> DataFrame:
     return edges.where(held("s") & held("t"))
 
 
-def exchanges(df: DataFrame) -> int:
-    """Shuffle exchanges in the plan of a query, before it runs."""
-    plan = df._jdf.queryExecution().sparkPlan().toString() + df._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[-1]
-    return sum(line.lstrip(" :+-").startswith(("Exchange ", "Exchange(")) for line in plan.splitlines())
-
+def _plan(df: DataFrame) -> object:
+    """The physical plan of a query; the one that ran, if it has run under adaptive execution."""
+    return df._jdf.queryExecution().executedPlan()
+
+
+def _children(node: object) -> list[object]:
+    """The nodes below a node, through the wrappers of adaptive execution and the reuse of exchanges."""
+    kind = node.getClass().getSimpleName()
+    if kind == "AdaptiveSparkPlanExec":
+        return [node.executedPlan()]
+    if kind.endswith("QueryStageExec"):
+        return [node.plan()]
+    if kind == "ReusedExchangeExec":
+        return [node.child()]
+    below = node.children()
+    return [below.apply(i) for i in range(below.size())]
+
+
+def _nodes(df: DataFrame) -> list[tuple[str, tuple[str, ...], object]]:
+    """(kind, kinds of the nodes above, node) of every node."""
+    out, todo = [], [(_plan(df), ())]
+    while todo:
+        node, above = todo.pop()
+        kind = node.getClass().getSimpleName()
+        out.append((kind, above, node))
+        todo += [(child, (*above, kind)) for child in _children(node)]
+    return out
 
-def rounds(index: object, sources: DataFrame) -> int:
-    """Exchanges of (source, entry) pairs that a reachability predicate needs: one while the boundary is shared."""
-    if index.shared is not None:
-        return 1
-    from reachgraph.operators.baselines import frontier_reach
 
-    counts: list[int] = []
-    frontier_reach(index.boundary.select(F.col("src").alias("s"), F.col("dst").alias("t")), sources, counts=counts)
-    return len(counts)
+def exchanges(df: DataFrame) -> int:
+    """Shuffle exchanges in the plan of a query."""
+    return sum(kind == "ShuffleExchangeExec" for kind, *_ in _nodes(df))
+
+
+def shuffled_bytes(df: DataFrame) -> int:
+    """Bytes that the exchanges of a query write, read off the metrics of a run of it."""
+    df.collect()
+    total = 0
+    for kind, _, node in _nodes(df):
+        if kind == "ShuffleExchangeExec":
+            metric = node.metrics().get("shuffleBytesWritten")
+            total += metric.get().value() if metric.isDefined() else 0
+    return total
+
+
+def rounds(index: object, sources: DataFrame, targets: DataFrame) -> int:
+    """Exchanges of (source, entry) pairs that a reachability predicate needs, counted in its plan.
+
+    These are the exchanges that bindings pass between leaving the shards of the
+    sources and reaching those of the targets, and the steps over a boundary
+    that is too large to be shared.
+    """
+    index.steps = 0
+    df = index.set_reach(sources, targets, "+")
+    df.count()
+    reach = "FlatMapCoGroupsInArrowExec"
+    between = 0
+    for kind, above, node in _nodes(df):
+        if kind == "ShuffleExchangeExec" and reach in above and _has(node, reach):
+            between += 1
+    return between + index.steps
+
+
+def _has(node: object, kind: str) -> bool:
+    todo = _children(node)
+    while todo:
+        one = todo.pop()
+        if one.getClass().getSimpleName() == kind:
+            return True
+        todo += _children(one)
+    return False
 
 
 def index_size(index: object) -> dict[str, int]:

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -50,15 +53,22 @@ class RangePartitioner:
         return v.withColumn("part", part.cast("int"))
 
 
-def weak_components(edges: DataFrame, column: str = "label", most_rounds: int = 60) -> DataFrame:
+#: Most edges whose components one task works out; 16 bytes each.
+TASK_EDGES = 5_000_000
+
+
+def weak_components(edges: DataFrame, column: str = "label", task_edges: int = TASK_EDGES) -> DataFrame:
     """(v, label): the smallest vertex that v is connected with, directions aside.
 
-    Labels jump along the labels of labels, so the number of rounds grows with
-    the logarithm of the diameter.
+    Up to ``task_edges`` distinct edges go to one task. Beyond, labels jump along
+    the labels of labels, so the number of rounds grows with the logarithm of
+    the diameter; they end when no label changes.
     """
+    if edges.limit(task_edges + 1).count() <= task_edges:
+        return edges.select("s", "t").repartition(1).mapInArrow(_components, "v long, label long").withColumnRenamed("label", column)
     links = materialise(both_ways(edges), "links")
     labels = materialise(links.groupBy("v").agg(F.least(F.min("w"), F.first("v")).alias("label")), "labels")
-    for _ in range(most_rounds):
+    while True:
         near = links.join(labels.select(F.col("v").alias("w"), "label"), "w").groupBy("v").agg(F.min("label").alias("near"))
         stepped = labels.join(near, "v").select("v", F.least("label", "near").alias("label"), F.col("label").alias("old"))
         stepped = materialise(stepped, "labels")
@@ -68,21 +78,46 @@ def weak_components(edges: DataFrame, column: str = "label", most_rounds: int =
         jump = moved.groupBy("v", "label", "old").count().drop("count")
         up = jump.select(F.col("v").alias("u"), F.col("label").alias("up"))
         after = materialise(jump.join(up, jump["label"] == up["u"], "left").select("v", F.coalesce("up", "label").alias("label"), "old"), "labels")
-        done = after.where("label <> old").isEmpty()
         labels = after.select("v", "label")
-        if done:
+        if after.where("label <> old").isEmpty():
+            return labels.withColumnRenamed("label", column)
+
+
+def _components(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Labels spread over whole arrays, each round along all edges and then along labels of labels."""
+    got = [(b.column("s").to_numpy(), b.column("t").to_numpy()) for b in batches if b.num_rows]
+    if not got:
+        return
+    s, t = (np.concatenate(side) for side in zip(*got, strict=True))
+    names, at = np.unique(np.concatenate([s, t]), return_inverse=True)
+    s, t = at[: len(s)], at[len(s) :]
+    label = np.arange(len(names))
+    while True:
+        low = np.minimum(label[s], label[t])
+        after = label.copy()
+        for end in (label[s], label[t], s, t):
+            np.minimum.at(after, end, low)
+        while (after != after[after]).any():
+            after = after[after]
+        if (after == label).all():
             break
-    return labels.withColumnRenamed("label", column)
+        label = after
+    yield pa.RecordBatch.from_arrays([pa.array(names), pa.array(names[label])], names=["v", "label"])
 
 
 @dataclass(frozen=True)
 class ComponentPartitioner:
-    """Whole weakly connected components, hashed by their label: the cut is empty."""
+    """Whole weakly connected components, packed by size: the cut is empty."""
 
     k: int
 
     def parts(self, edges: DataFrame) -> DataFrame:
-        return weak_components(edges).select("v", F.pmod(F.xxhash64("label"), F.lit(self.k)).cast("int").alias("part"))
+        return _packed_components(edges, self.k)
+
+
+def _packed_components(edges: DataFrame, k: int) -> DataFrame:
+    labels = materialise(weak_components(edges), "labels")
+    return labels.join(packed(labels, k), "label").select("v", "part")
 
 
 @dataclass(frozen=True)
@@ -110,10 +145,25 @@ class LocalityPartitioner:
             sizes = asked.groupBy("label").agg(F.count(F.lit(1)).alias("size")).where(F.col("size") > room).select(F.col("label").alias("full"))
             kept = asked.join(F.broadcast(sizes), F.col("label") == F.col("full"), "left").join(labels.select("v", F.col("label").alias("was")), "v")
             labels = materialise(kept.select("v", F.when(F.col("full").isNotNull(), F.col("was")).otherwise(F.col("label")).alias("label")), "labels")
-        # running size of labels in a spread order cut into k even shares
-        sizes = labels.groupBy("label").agg(F.count(F.lit(1)).alias("size"))
-        bins = sizes.withColumn("part", F.pmod(F.xxhash64("label"), F.lit(self.k)).cast("int"))
-        return labels.join(bins, "label").select("v", "part")
+        return labels.join(packed(labels, self.k), "label").select("v", "part")
+
+
+def packed(labels: DataFrame, k: int) -> DataFrame:
+    """(label, part): labels dealt to ``k`` shards by size.
+
+    Labels larger than a tenth of a shard, at most ``10 * k`` of them, are dealt
+    largest first, each to the shard with the least so far; the small ones are hashed.
+    """
+    sizes = labels.groupBy("label").agg(F.count(F.lit(1)).alias("size"))
+    total = sizes.agg(F.sum("size").alias("n")).first().n or 0
+    load, dealt = [0] * k, []
+    for r in sizes.where(F.col("size") > max(1, total // (10 * k))).orderBy(F.desc("size"), "label").collect():
+        part = min(range(k), key=lambda i: (load[i], i))
+        load[part] += r["size"]
+        dealt.append((r.label, part))
+    given = labels.sparkSession.createDataFrame(dealt, "label long, given int")
+    hashed = F.pmod(F.xxhash64("label"), F.lit(k)).cast("int")
+    return sizes.join(F.broadcast(given), "label", "left").select("label", F.coalesce("given", hashed).alias("part"))
 
 
 def check_partition(parts: DataFrame, edges: DataFrame) -> DataFrame:

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import uuid
+from collections.abc import Callable
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from reachgraph.plans.optimizer import PERMUTATIONS, choose_permutation
+from reachgraph.session import shared_folder
 
 SUBJECT_KEY, OBJECT_KEY = ("SPO", "SOP", "PSO"), ("OSP", "OPS", "POS")
 
@@ -55,3 +58,39 @@ class IndexStore:
             except Exception as gone:  # noqa: BLE001
                 if "PATH_NOT_FOUND" not in str(gone):
                     raise
+
+
+@dataclass
+class PropertyStore:
+    """PSO and POS of properties: edges (s, o) without repeats, bucketed by one end and sorted by both.
+
+    Tables lie in the shared folder and are written when first asked for. Scans
+    with a constant read one bucket and few row groups of it; joins on the ends
+    that two tables are bucketed by need no exchange.
+    """
+
+    spark: SparkSession
+    k: int = 8
+    tables: dict[tuple[str, str], DataFrame] = field(default_factory=dict)
+
+    def table(self, prop: str, by: str, rows: Callable[[], DataFrame]) -> DataFrame:
+        """(s, o) placed by ``by``, ``s`` or ``o``.
+
+        Where one object has much more than a bucket's share, as the literals of
+        a property may, POS is sorted by object but placed by subject.
+        """
+        if (prop, by) not in self.tables:
+            if by == "s":
+                clean = rows().toDF("s", "o").where("s is not null and o is not null")
+                # the placing also brings equal edges together
+                placed, key, order = clean.repartition(self.k, "s").distinct(), "s", ("s", "o")
+            else:
+                edges = self.table(prop, "s", rows)
+                most = edges.groupBy("o").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("most"), F.sum("n").alias("n")).first()
+                key = "s" if most.n and most.most * self.k > 2 * most.n else "o"
+                placed, order = edges.repartition(self.k, key), ("o", "s")
+            name = f"{'pso' if by == 's' else 'pos'}_{uuid.uuid4().hex}"
+            writer = placed.write.format("parquet").bucketBy(self.k, key).sortBy(*order)
+            writer.option("path", f"{shared_folder(self.spark)}/{name}").saveAsTable(name)
+            self.tables[prop, by] = self.spark.table(name)
+        return self.tables[prop, by]

@@ -13,16 +13,18 @@ and finished in the shards of the entries.
 
 from __future__ import annotations
 
+import json
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from reachgraph.functions.kernels import Dag
-from reachgraph.operators.partition import HashPartitioner
+from reachgraph.operators.partition import HashPartitioner, weak_components
 from reachgraph.session import materialise
 
 _ARRAYS = ("verts", "comp", "cyclic", "src", "dst", "level", "entries", "exits")
@@ -34,9 +36,15 @@ def _np(column: pa.ChunkedArray) -> np.ndarray:
     return column.to_numpy(zero_copy_only=False).astype(np.int64)
 
 
-def _dag(row: dict) -> Dag:
-    a = {k: np.asarray(row[k], dtype=np.int64) for k in _ARRAYS[:6]}
-    return Dag(a["verts"], a["comp"], a["cyclic"].astype(bool), a["src"], a["dst"], a["level"])
+def _rows(table: pa.Table | pa.RecordBatch) -> Iterator[dict[str, np.ndarray]]:
+    """The shards of a table, each array as a view and not as Python numbers."""
+    for batch in table.to_batches() if isinstance(table, pa.Table) else [table]:
+        for i in range(batch.num_rows):
+            yield {a: batch.column(a)[i].values.to_numpy(zero_copy_only=False) for a in _ARRAYS} | {"part": batch.column("part")[i].as_py()}
+
+
+def _dag(row: dict[str, np.ndarray]) -> Dag:
+    return Dag(row["verts"], row["comp"], row["cyclic"].astype(bool), row["src"], row["dst"], row["level"])
 
 
 # ids within the boundary and compound graphs
@@ -66,7 +74,7 @@ def _build(compound: tuple[np.ndarray, np.ndarray] | None):
             extra = _local(extra)
         dag = Dag.of(src, dst, extra)
         values = [dag.verts, dag.comp, dag.cyclic.astype(np.int64), dag.src, dag.dst, dag.level, entries, exits]
-        return pa.table([pa.array([key[0].as_py()], type=pa.int32())] + [pa.array([v.tolist()], type=pa.list_(pa.int64())) for v in values], schema=schema)
+        return pa.table([pa.array([key[0].as_py()], type=pa.int32())] + [pa.ListArray.from_arrays(pa.array([0, len(v)], type=pa.int32()), pa.array(v, type=pa.int64())) for v in values], schema=schema)
 
     return run
 
@@ -74,9 +82,8 @@ def _build(compound: tuple[np.ndarray, np.ndarray] | None):
 def _crossings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("part", pa.int32()), ("entry", pa.int64()), ("exit", pa.int64())])
     for batch in batches:
-        for row in batch.to_pylist():
-            entries, exits = (np.asarray(row[c], dtype=np.int64) for c in ("entries", "exits"))
-            s, t = _dag(row).reach(entries, entries, exits)
+        for row in _rows(batch):
+            s, t = _dag(row).reach(row["entries"], row["entries"], row["exits"])
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), row["part"]), type=pa.int32()), pa.array(s), pa.array(t)], schema=schema)
 
 
@@ -94,45 +101,105 @@ class ReachIndex:
     layout: str
     shared: object  # broadcast of (boundary DAG, encoded entries, their vertices), or None if it is too large
     max_boundary: int
+    steps: int = 0  # exchanges of the last question that crossed the boundary by joins
 
     @classmethod
     def build(
-        cls, edges: DataFrame, k: int = 8, partitioner: object = None, *, compress: bool = True, layout: str = "shared", max_boundary: int = 2_000_000
+        cls,
+        edges: DataFrame,
+        k: int | None = None,
+        partitioner: object = None,
+        *,
+        compress: bool = True,
+        layout: str = "shared",
+        max_boundary: int = 2_000_000,
+        shard_edges: int = 1_000_000,
     ) -> ReachIndex:
         """Index the distinct, non-null edges over ``k`` shards.
 
-        A boundary graph of more than ``max_boundary`` edges is not broadcast:
-        queries then cross it by joins, with one exchange per step.
+        Without ``k`` there is a shard for every ``shard_edges`` edges, 8 at
+        least. Without a partitioner one is chosen by ``choose_partitioner``. A
+        boundary graph of more than ``max_boundary`` edges is not broadcast:
+        queries then cross it by joins, with one exchange per step, and say how
+        many in ``steps``.
         """
         spark = edges.sparkSession
-        partitioner = partitioner or HashPartitioner(k)
         edges = materialise(edges.where("s is not null and t is not null").select("s", "t").distinct(), "edges")
+        if k is None:
+            k = max(8, -(-edges.count() // shard_edges))
+            partitioner = partitioner or choose_partitioner(edges, k)
+        partitioner = partitioner or HashPartitioner(k)
         parts = None if isinstance(partitioner, HashPartitioner) else materialise(partitioner.parts(edges), "parts")
         placed = _place(_place(edges, "s", "ps", partitioner, parts), "t", "pt", partitioner, parts)
         placed = materialise(placed, "placed")
         cut = placed.where("ps <> pt")
-        none = F.lit(0).cast("long")
-        rows = (
-            placed.where("ps = pt")
-            .select(F.col("ps").alias("part"), F.lit(0).alias("kind"), F.col("s").alias("a"), F.col("t").alias("b"))
-            .union(cut.select("pt", F.lit(1), "t", none).distinct())
-            .union(cut.select("ps", F.lit(2), "s", none).distinct())
-        )
+        rows = _shard_rows(placed.where("ps = pt"), cut)
         shards = materialise(rows.groupBy("part").applyInArrow(_build(None), _SHARD), "shards")
         crossings = materialise(shards.mapInArrow(_crossings, "part int, entry long, exit long"), "crossings")
         boundary = materialise(_compressed(crossings, cut) if compress else _plain(crossings, cut), "boundary")
-        shared = None
-        if boundary.limit(max_boundary + 1).count() <= max_boundary:
+        shared = _shared(boundary, cut, max_boundary)
+        if layout == "compound":
+            if shared is None:
+                raise ValueError("the boundary is too large for a copy per shard")
             got = boundary.toArrow()
-            src, dst = _np(got["src"]), _np(got["dst"])
-            entries = np.unique(_np(cut.select("t").distinct().toArrow()["t"]))
-            shared = spark.sparkContext.broadcast((Dag.of(src, dst, _entry(entries)), entries))
-            if layout == "compound":
-                shards = materialise(rows.groupBy("part").applyInArrow(_build((src, dst)), _SHARD), "shards")
-        elif layout == "compound":
-            raise ValueError("the boundary is too large for a copy per shard")
+            shards = materialise(rows.groupBy("part").applyInArrow(_build((_np(got["src"]), _np(got["dst"]))), _SHARD), "shards")
         return cls(edges, partitioner, parts, cut, shards, crossings, boundary, layout, shared, max_boundary)
 
+    # -- storage -----------------------------------------------------------
+
+    _TABLES = ("edges", "parts", "cut", "shards", "crossings", "boundary")
+
+    def save(self, path: str) -> str:
+        """Write the index under a new version of a folder that executors share; returns the version's path."""
+        spark = self.edges.sparkSession
+        version = f"{path.rstrip('/')}/v-{uuid.uuid4().hex}"
+        for name in self._TABLES:
+            if (df := getattr(self, name)) is not None:
+                df.write.parquet(f"{version}/{name}")
+        # the description comes last: a version without one is not complete
+        facts = {"k": getattr(self.partitioner, "k", 1), "parts": self.parts is not None, "layout": self.layout, "max_boundary": self.max_boundary}
+        spark.createDataFrame([(json.dumps(facts),)], "value string").coalesce(1).write.text(f"{version}/about")
+        return version
+
+    @classmethod
+    def load(cls, spark: SparkSession, version: str) -> ReachIndex:
+        """The index that ``save`` wrote, in any session that can read the folder."""
+        facts = json.loads(spark.read.text(f"{version}/about").first().value)
+        got = {name: spark.read.parquet(f"{version}/{name}") for name in cls._TABLES if name != "parts" or facts["parts"]}
+        shared = _shared(got["boundary"], got["cut"], facts["max_boundary"])
+        return cls(**({"parts": None} | got), partitioner=HashPartitioner(facts["k"]), layout=facts["layout"], shared=shared, max_boundary=facts["max_boundary"])
+
+    def with_edges(self, more: DataFrame) -> ReachIndex:
+        """This index with further edges (s, t): only shards that a new edge touches are built again, then the boundary."""
+        if self.layout != "shared":
+            raise ValueError("an index with a copy of the boundary per shard is built anew")
+        fresh = materialise(more.where("s is not null and t is not null").select("s", "t").distinct().join(self.edges, ["s", "t"], "left_anti"), "edges")
+        edges, k = self.edges.unionByName(fresh), getattr(self.partitioner, "k", None) or int(self.parts.agg(F.max("part")).first()[0]) + 1
+        parts = self.parts
+        if parts is not None:
+            unknown = fresh.select(F.col("s").alias("v")).union(fresh.select("t")).distinct().join(parts, "v", "left_anti")
+            parts = materialise(parts.unionByName(unknown.withColumn("part", F.pmod("v", F.lit(k)).cast("int"))), "parts")
+        place = lambda df: _place(_place(df, "s", "ps", self.partitioner, parts), "t", "pt", self.partitioner, parts)
+        placed = materialise(place(fresh), "placed")
+        touched = placed.select(F.col("ps").alias("part")).union(placed.select("pt")).distinct()
+        held = F.broadcast(touched)  # at most one row per shard
+        cut = self.cut.unionByName(placed.where("ps <> pt").select(*self.cut.columns))
+        rows = _shard_rows(place(edges).where("ps = pt"), cut).join(held, "part", "left_semi")
+        new = materialise(rows.groupBy("part").applyInArrow(_build(None), _SHARD), "shards")
+        crossed = new.mapInArrow(_crossings, "part int, entry long, exit long")
+        shards = self.shards.join(held, "part", "left_anti").unionByName(new)
+        crossings = materialise(self.crossings.join(held, "part", "left_anti").unionByName(crossed), "crossings")
+        boundary = materialise(_compressed(crossings, cut), "boundary")
+        return ReachIndex(edges, self.partitioner, parts, cut, shards, crossings, boundary, "shared", _shared(boundary, cut, self.max_boundary), self.max_boundary)
+
+    def backward(self) -> ReachIndex:
+        """The index of the reversed edges, over the same shards; built when first asked for."""
+        if not hasattr(self, "_backward"):
+            turned = self.edges.select(F.col("t").alias("s"), F.col("s").alias("t"))
+            again = self.partitioner if self.parts is None else _Given(self.parts)
+            self._backward = ReachIndex.build(turned, getattr(self.partitioner, "k", 8), again, layout=self.layout, max_boundary=self.max_boundary)
+        return self._backward
+
     # -- questions ---------------------------------------------------------
 
     def place(self, df: DataFrame, vertex: str, part: str) -> DataFrame:
@@ -145,14 +212,20 @@ class ReachIndex:
             return self._cross_by_joins(self._depart(sources, None, "+", exits=True))
         return self._depart(sources, None, "+").where("entry").select(F.col("x").alias("s"), F.col("y").alias("e"))
 
-    def set_reach(self, sources: DataFrame, targets: DataFrame, kind: str = "+", *, plus: str = "distinct", zero_scope: str = "domain") -> DataFrame:
+    def set_reach(self, sources: DataFrame, targets: DataFrame, kind: str = "+", *, plus: str = "distinct", zero_scope: str = "domain", direction: str = "forward") -> DataFrame:
         """Distinct pairs (x, y), x from ``sources(v)`` and y from ``targets(v)``, such that y is reachable from x.
 
         ``kind`` is ``*``, ``+`` or ``?``. For ``+`` the ends differ, unless
         ``plus="cycle"`` lets x reach itself over a cycle. For ``*`` and ``?``
         every x that is a target reaches itself; with ``zero_scope="vertices"``
-        only vertices of this property do.
+        only vertices of this property do. ``direction="backward"`` goes from the
+        targets over reversed edges, ``"auto"`` does so where they are fewer by far.
         """
+        if direction == "auto":
+            direction = "backward" if 10 * targets.count() < sources.count() else "forward"
+        if direction == "backward" and kind != "?":
+            pairs = self.backward().set_reach(targets, sources, kind, plus=plus, zero_scope=zero_scope)
+            return pairs.select(F.col("y").alias("x"), F.col("x").alias("y"))
         sources, targets = sources.select("v").where("v is not null").distinct(), targets.select("v").where("v is not null").distinct()
         if kind == "?":
             near = self.edges.join(sources.withColumnRenamed("v", "s"), "s", "left_semi").join(targets.withColumnRenamed("v", "t"), "t", "left_semi")
@@ -191,7 +264,7 @@ class ReachIndex:
             if left.num_rows and right.num_rows:
                 role, v = _np(left["kind"]), _np(left["v"])
                 s, t = v[role == 0], v[role == 1]
-                row = right.to_pylist()[0]
+                row = next(_rows(right))
                 dag = _dag(row)
                 if compound and not exits:
                     entries = shared.value[1]
@@ -202,7 +275,7 @@ class ReachIndex:
                 else:
                     if len(t):
                         out.append((*dag.reach(s, s, t, empty_path=False), False))
-                    x, y = dag.reach(s, s, np.asarray(row["exits"], dtype=np.int64))
+                    x, y = dag.reach(s, s, row["exits"])
                     if exits:
                         out.append((x, y, True))
                     elif len(x) and shared is not None:
@@ -226,7 +299,7 @@ class ReachIndex:
             x = y = np.empty(0, dtype=np.int64)
             if left.num_rows and right.num_rows:
                 role, a, b = (_np(left[c]) for c in ("kind", "a", "b"))
-                dag = _dag(right.to_pylist()[0])
+                dag = _dag(next(_rows(right)))
                 enc = _local if compound else (lambda v: v)
                 x, y = dag.reach(a[role == 0], enc(b[role == 0]), enc(a[role == 1]))
                 y = y // 4 if compound else y
@@ -236,16 +309,62 @@ class ReachIndex:
 
     def _cross_by_joins(self, departed: DataFrame) -> DataFrame:
         """(s, e): entries behind the exits reached, one join per step of the boundary graph."""
-        steps = self.boundary
+        steps, self.steps = self.boundary, 0
         front = departed.where("entry").select(F.col("x").alias("s"), (F.col("y") * 4 + 2).alias("n")).distinct()
         seen = front = materialise(front, "front")
         while not front.isEmpty():
             after = front.join(steps, front["n"] == steps["src"]).select("s", F.col("dst").alias("n")).distinct()
             front = materialise(after.join(seen, ["s", "n"], "left_anti"), "front")
             seen = seen.union(front)
+            self.steps += 1
         return seen.where("pmod(n, 4) = 1").select("s", F.shiftright("n", 2).alias("e"))
 
 
+@dataclass(frozen=True)
+class _Given:
+    """Shards that another index has."""
+
+    table: DataFrame
+
+    def parts(self, edges: DataFrame) -> DataFrame:
+        return self.table
+
+
+def _shard_rows(inner: DataFrame, cut: DataFrame) -> DataFrame:
+    """(part, kind, a, b): edges of each shard, its entries and its exits."""
+    none = F.lit(0).cast("long")
+    return (
+        inner.select(F.col("ps").alias("part"), F.lit(0).alias("kind"), F.col("s").alias("a"), F.col("t").alias("b"))
+        .union(cut.select("pt", F.lit(1), "t", none).distinct())
+        .union(cut.select("ps", F.lit(2), "s", none).distinct())
+    )
+
+
+def _shared(boundary: DataFrame, cut: DataFrame, max_boundary: int) -> object:
+    """Broadcast of the boundary's DAG, its entries and their vertices; None where it has too many edges."""
+    if boundary.limit(max_boundary + 1).count() > max_boundary:
+        return None
+    got = boundary.toArrow()
+    entries = np.unique(_np(cut.select("t").distinct().toArrow()["t"]))
+    return boundary.sparkSession.sparkContext.broadcast((Dag.of(_np(got["src"]), _np(got["dst"]), _entry(entries)), entries))
+
+
+def choose_partitioner(edges: DataFrame, k: int, most_cut: float = 0.3, room: float = 1.5) -> object:
+    """Whole components, if hashing would cut many edges and no component is much larger than a shard; else hashing.
+
+    Chains and other small components then lie in one shard each, nothing is
+    cut, and no binding is mailed.
+    """
+    placed = edges.agg(F.count(F.lit(1)).alias("n"), F.sum((F.pmod("s", F.lit(k)) != F.pmod("t", F.lit(k))).cast("long")).alias("cut")).first()
+    if not placed.n or placed.cut < most_cut * placed.n:
+        return HashPartitioner(k)
+    parts = weak_components(edges)
+    largest = parts.groupBy("label").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("most"), F.sum("n").alias("all")).first()
+    if largest.most > room * largest["all"] / k:
+        return HashPartitioner(k)
+    return _Given(materialise(parts.select("v", F.pmod(F.xxhash64("label"), F.lit(k)).cast("int").alias("part")), "parts"))
+
+
 def _place(df: DataFrame, vertex: str, part: str, partitioner: object, parts: DataFrame | None) -> DataFrame:
     if parts is None:
         return partitioner.place(df, vertex, part)

@@ -7,14 +7,21 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from reachgraph.operators.permutations import PropertyStore
 from reachgraph.operators.reach_index import ReachIndex
-from reachgraph.plans.optimizer import Optimizer, Plan
+from reachgraph.plans.optimizer import Optimizer, Plan, choose_permutation, solid_ends
 from reachgraph.plans.query import Const, Dashed, Query, QueryGraph, Solid, Var, column, normalise, parse
-from reachgraph.plans.statistics import Catalog
+from reachgraph.plans.statistics import Catalog, pair_selectivity, reach_selectivity, sizes
 
 
 class Graph:
-    """Properties by name, each as edges (s, o); indexes for paths are built when first asked for."""
+    """Properties by name, each as edges (s, o).
+
+    Edges are written to a ``PropertyStore``, indexes for paths are built and
+    statistics gathered when a query first asks for them. With ``measured=False``
+    plans are made from guesses. Names such as ``(p|q)`` and ``(p/q|r)`` stand
+    for the edges of alternatives of sequences of properties.
+    """
 
     def __init__(
         self,
@@ -22,24 +29,36 @@ class Graph:
         properties: dict[str, Callable[[], DataFrame]],
         constant: Callable[[Const], int | None],
         *,
-        k: int = 8,
+        k: int | None = None,
         plus: str = "distinct",
         catalog: Catalog | None = None,
+        measured: bool = True,
         **index_options: object,
     ) -> None:
         self.spark, self.properties, self.constant = spark, properties, constant
-        self.k, self.plus, self.catalog = k, plus, catalog or Catalog(k)
+        self.k, self.plus, self.catalog, self.measured = k, plus, catalog or Catalog(k or 8), measured
         self.index_options = index_options
-        self._edges: dict[str, DataFrame] = {}
+        self.store = PropertyStore(spark, k or 8)
         self._indexes: dict[str, ReachIndex] = {}
 
-    def edges(self, prop: str) -> DataFrame:
-        """Distinct edges (s, o) of a property."""
-        if prop not in self._edges:
-            if prop not in self.properties:
-                raise KeyError(f"unknown property {prop!r}")
-            self._edges[prop] = self.properties[prop]().toDF("s", "o").where("s is not null and o is not null").distinct()
-        return self._edges[prop]
+    def rows(self, prop: str) -> DataFrame:
+        """Edges of a property as its source gives them, or of a group of them."""
+        if prop in self.properties:
+            return self.properties[prop]()
+        if not prop.startswith("("):
+            raise KeyError(f"unknown property {prop!r}")
+        out = None
+        for way in prop.strip("()").split("|"):
+            steps = way.split("/")
+            one = self.edges(steps[0]).toDF("s", "o")
+            for step in steps[1:]:
+                one = one.withColumnRenamed("o", "m").join(self.edges(step, "s").toDF("m", "o"), "m").select("s", "o")
+            out = one if out is None else out.union(one)
+        return out
+
+    def edges(self, prop: str, by: str = "s") -> DataFrame:
+        """Distinct edges (s, o) of a property, placed and sorted by subject (PSO) or by object (POS)."""
+        return self.store.table(prop, by, lambda: self.rows(prop))
 
     def index(self, prop: str) -> ReachIndex:
         """Reachability index of a property."""
@@ -47,30 +66,48 @@ class Graph:
             self._indexes[prop] = ReachIndex.build(self.edges(prop).withColumnRenamed("o", "t"), self.k, **self.index_options)
         return self._indexes[prop]
 
-    def measure(self, props: list[str], reach: list[str] = ()) -> Catalog:
-        """Fill the catalog with the sizes of properties and the sampled selectivities of paths."""
-        from reachgraph.plans.statistics import reach_selectivity
-
-        for p in props:
-            if p not in self.catalog.n_edges:
-                row = self.edges(p).agg(F.count(F.lit(1)), F.countDistinct("s"), F.countDistinct("o")).first()
-                self.catalog.n_edges[p], self.catalog.n_subjects[p], self.catalog.n_objects[p] = row
-                self.catalog.n_vertices[p] = row[1] + row[2]
-        for p in reach:
-            if p not in self.catalog.reach_sel:
-                self.catalog.reach_sel[p] = reach_selectivity(self.index(p)).sel
-        return self.catalog
+    def measure(self, graph: QueryGraph) -> Catalog:
+        """Fill the catalog with what a query's plan depends on and is not known yet.
+
+        Sizes of properties, rows of constants, join selectivities of the pairs
+        of properties that are joined, sampled selectivities of paths.
+        """
+        known = self.catalog
+        plain = [v.pattern for v in graph.vertices if v.kind == "plain" and isinstance(v.pattern.path[0].prop, str)]
+        for p in {q.path[0].prop for q in plain} | {c.prop for c in graph.dashed}:
+            if p not in known.n_edges:
+                known.n_edges[p], known.n_subjects[p], known.n_objects[p], known.n_vertices[p] = sizes(self.edges(p))
+        for q in plain:
+            for slot, term in (("s", q.s), ("o", q.o)):
+                key = (q.path[0].prop, slot, str(term))
+                if isinstance(term, Const) and key not in known.key_rows:
+                    value = self.constant(term)
+                    known.key_rows[key] = 0 if value is None else self.edges(key[0], slot).where(F.col(slot) == F.lit(value)).count()
+        for key in filter(None, (solid_ends(c, graph) for c in graph.solid)):
+            if key not in known.join_sel:
+                p, q, position = key
+                known.join_sel[key] = pair_selectivity(self.edges(p, position[0].lower()), self.edges(q, position[1].lower()), position)
+        for p in {c.prop for c in graph.dashed}:
+            if p not in known.reach_sel:
+                known.reach_sel[p] = reach_selectivity(self.index(p)).sel
+        return known
+
+    def prepare(self, query: Query | str) -> QueryGraph:
+        """The query's graph, with its statistics gathered and its indexes built."""
+        graph = QueryGraph.of(normalise(parse(query) if isinstance(query, str) else query))
+        if self.measured:
+            self.measure(graph)
+        return graph
 
     # -- asking ------------------------------------------------------------
 
     def plan(self, query: Query | str, optimizer: str = "unified", cardinality: str = "chain") -> Plan:
-        query = parse(query) if isinstance(query, str) else query
-        return Optimizer(QueryGraph.of(query), self.catalog, optimizer, cardinality).best()
+        return Optimizer(self.prepare(query), self.catalog, optimizer, cardinality).best()
 
     def match(self, query: Query | str, optimizer: str = "unified") -> DataFrame:
         """Bindings of a query, one long column per selected variable."""
         query = normalise(parse(query) if isinstance(query, str) else query)
-        graph = QueryGraph.of(query)
+        graph = self.prepare(query)
         run = _Run(self, graph)
         out = run.of(Optimizer(graph, self.catalog, optimizer).best())
         for c in graph.dashed:  # both ends on one relation
@@ -81,8 +118,7 @@ class Graph:
 
     def explain(self, query: Query | str, optimizer: str = "unified", analyze: bool = False) -> DataFrame:
         """(step, what, estimated, cost, actual) of the plan, leaves last; ``analyze`` counts the rows of every step."""
-        query = normalise(parse(query) if isinstance(query, str) else query)
-        graph = QueryGraph.of(query)
+        graph = self.prepare(query)
         rows: list[tuple] = []
 
         def walk(p: Plan) -> None:
@@ -107,19 +143,22 @@ class _Run:
         self.graph, self.query = graph, query
         self.settled: set[int] = set()
 
-    def of(self, plan: Plan) -> DataFrame:
+    def of(self, plan: Plan, key: str | None = None) -> DataFrame:
+        """The rows of a plan; a scan takes the permutation that is placed by ``key``, if it can."""
         if plan.op == "scan":
-            return self.scan(plan.vertex)
-        left, right = self.of(plan.left), self.of(plan.right)
+            return self.scan(plan.vertex, key)
         equal = [c.var for c in plan.conditions if isinstance(c, Solid)]
         reach = [c for c in plan.conditions if isinstance(c, Dashed)]
-        if plan.op in ("merge", "hash"):
-            return left.join(right.hint("merge" if plan.op == "merge" else "shuffle_hash"), equal)
+        left, right = (self.of(side, equal[0] if equal else None) for side in (plan.left, plan.right))
+        if plan.op == "merge":
+            return left.join(right.hint("merge"), equal)
+        if plan.op == "hash":
+            return left.join(right, equal)  # Spark picks the side to build, and broadcasts it if it is small
         if plan.op == "cross":
             return left.crossJoin(right)
         return reach_join(left, right, equal, reach, self)
 
-    def scan(self, i: int) -> DataFrame:
+    def scan(self, i: int, key: str | None = None) -> DataFrame:
         v = self.query.vertices[i]
         if v.kind == "constant":
             value = self.graph.constant(v.term)
@@ -139,7 +178,9 @@ class _Run:
                 one = self.graph.edges(name).withColumn("p", F.lit(k).cast("long"))
                 df = one if df is None else df.union(one)
         else:
-            df = self.graph.edges(prop)
+            # constants first, then the column that the rows are joined on
+            first = choose_permutation("p" + "".join(c for c, t in (("s", s), ("o", o)) if not isinstance(t, Var)), "o" if o == Var(key or "") else "s")
+            df = self.graph.edges(prop, "o" if first.index("O") < first.index("S") else "s")
         keep = {}
         for c, t in (("s", s), ("p", prop), ("o", o)):
             if c == "p" and not isinstance(prop, Var):

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import json
 import math
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -86,6 +87,22 @@ def reach_selectivity_exact(closure: DataFrame, edges: DataFrame) -> float:
     return closure.count() / (n * n) if n else 0.0
 
 
+def sizes(edges: DataFrame) -> tuple[int, int, int, int]:
+    """(edges, subjects, objects, vertices) of one property in one pass; all but the first are sketched."""
+    ends = [F.hll_sketch_agg(c) for c in ("s", "o")]
+    row = edges.agg(F.count(F.lit(1)), *map(F.hll_sketch_estimate, ends), F.hll_sketch_estimate(F.hll_union(*ends))).first()
+    return tuple(int(x or 0) for x in row)
+
+
+def pair_selectivity(left: DataFrame, right: DataFrame, position: str) -> float:
+    """Share of all pairs of edges of two properties that meet in one end each, from products of degrees."""
+    a, b = position.lower()
+    x = left.groupBy(F.col(a).alias("v")).agg(F.count(F.lit(1)).alias("d"))
+    y = right.groupBy(F.col(b).alias("v")).agg(F.count(F.lit(1)).alias("e"))
+    met = x.join(y, "v", "full").agg(F.sum(F.coalesce(F.col("d") * F.col("e"), F.lit(0))), F.sum("d"), F.sum("e")).first()
+    return (met[0] or 0) / max(1, (met[1] or 0) * (met[2] or 0))
+
+
 @dataclass
 class Catalog:
     """What the planner knows. Values that are missing fall back to guesses from the sizes."""
@@ -97,6 +114,7 @@ class Catalog:
     n_objects: dict[str, int] = field(default_factory=dict)
     join_sel: dict[tuple[str, str, str], float] = field(default_factory=dict)
     reach_sel: dict[str, float] = field(default_factory=dict)
+    key_rows: dict[tuple[str, str, str], int] = field(default_factory=dict)  # property, end, constant
 
     def edges(self, p: str) -> int:
         return self.n_edges.get(p, 1000)
@@ -112,6 +130,23 @@ class Catalog:
     def reach(self, p: str) -> float:
         return self.reach_sel.get(p, 0.05)
 
+    def save(self, spark: SparkSession, path: str) -> None:
+        """Write the catalog to a folder that all sessions share."""
+        facts = {name: [[key, value] for key, value in getattr(self, name).items()] for name in _KNOWN}
+        spark.createDataFrame([(json.dumps({"k": self.k} | facts),)], "value string").coalesce(1).write.mode("overwrite").text(path)
+
+    @classmethod
+    def load(cls, spark: SparkSession, path: str) -> Catalog:
+        """The catalog that ``save`` wrote."""
+        facts = json.loads(spark.read.text(path).first().value)
+        out = cls(facts["k"])
+        for name in _KNOWN:
+            getattr(out, name).update({tuple(key) if isinstance(key, list) else key: value for key, value in facts[name]})
+        return out
+
+
+_KNOWN = ("n_edges", "n_vertices", "n_subjects", "n_objects", "join_sel", "reach_sel", "key_rows")
+
 
 def q_error(estimate: float, actual: float) -> float:
     """How many times an estimate is off, in either direction."""

@@ -7,8 +7,12 @@
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
 from reachgraph.functions.ids import BASE, KINDS
 
@@ -89,16 +93,48 @@ NEAR_SQL = (
 )
 
 
-def near_edges(spark: SparkSession, sf_dir: str, neighbours: int = 3, most: int = 5_000) -> DataFrame:
-    """Edges from each vector to its nearest by cosine; compares all pairs, so only up to ``most`` vectors."""
-    from pyspark.sql import Window
-    from pyspark.sql import functions as F
-
-    v = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
-    if v.count() > most:
-        raise ValueError(f"all-pairs neighbours are for at most {most} vectors")
-    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda t, p: t + p)
-    x, y = v.select(F.col("vec_id").alias("s"), F.col("e").alias("x")), v.select(F.col("vec_id").alias("t"), F.col("e").alias("y"))
-    likeness = F.round(dot(F.col("x"), F.col("y")) / F.sqrt(dot(F.col("y"), F.col("y"))), 12)
-    ranked = x.crossJoin(y).where("s <> t").withColumn("r", F.row_number().over(Window.partitionBy("s").orderBy(likeness.desc(), "t")))
-    return ranked.where(F.col("r") <= neighbours).select("s", "t")
+def near_edges(spark: SparkSession, sf_dir: str, neighbours: int = 3, block: int = 2048) -> DataFrame:
+    """Edges (s, t) from each vector to its nearest by cosine, ties to the smaller id.
+
+    Every vector is asked for. ``block`` of them at a time go to the executors
+    as one matrix and pass over all vectors, batch by batch; a task keeps the
+    best of each batch alone, and the best of these are picked in the end.
+    """
+    v = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", F.col("embedding").cast("array<double>").alias("e")).where("e is not null")
+    blocks = max(1, -(-v.count() // block))
+    found = None
+    for b in range(blocks):
+        part = v if blocks == 1 else v.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b)
+        rows = part.orderBy("vec_id").toArrow()
+        if not rows.num_rows:
+            continue
+        ids = rows["vec_id"].to_numpy()
+        matrix = np.array(rows["e"].to_pylist(), dtype=np.float64)
+        one = v.mapInArrow(_nearest(ids, matrix, neighbours), "s long, t long, likeness double")
+        found = one if found is None else found.unionByName(one)
+    if found is None:
+        return spark.createDataFrame([], "s long, t long")
+    best = Window.partitionBy("s").orderBy(F.desc("likeness"), "t")
+    return found.withColumn("r", F.row_number().over(best)).where(F.col("r") <= neighbours).select("s", "t")
+
+
+def _nearest(ids: np.ndarray, matrix: np.ndarray, neighbours: int):
+    schema = pa.schema([("s", pa.int64()), ("t", pa.int64()), ("likeness", pa.float64())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            others, rows = batch.column("vec_id").to_numpy(), np.array(batch.column("e").to_pylist(), dtype=np.float64)
+            dot, size = np.zeros((len(ids), len(others))), np.zeros(len(others))
+            for d in range(matrix.shape[1]):  # summed in the order of the dimensions, as the definition does
+                dot += matrix[:, d, None] * rows[None, :, d]
+                size += rows[:, d] * rows[:, d]
+            likeness = np.round(dot / np.sqrt(size), 12)
+            likeness[ids[:, None] == others[None, :]] = -np.inf
+            by = np.lexsort((np.broadcast_to(others, likeness.shape), -likeness), axis=1)[:, :neighbours]
+            s, best = np.repeat(ids, by.shape[1]), np.take_along_axis(likeness, by, axis=1).ravel()
+            real = np.isfinite(best)
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in (s[real], others[by].ravel()[real], best[real])], schema=schema)
+
+    return run

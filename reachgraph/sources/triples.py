@@ -81,13 +81,17 @@ def mappings() -> list[TripleMapping]:
 GRAPH_KINDS = {"next_order": "order", "next_event": "event", "next_turn": "turn", "hands_to": "part", "hands_to48": "part", "hands_to49": "part", "relays": "supplier", "relays_thin": "supplier", "trades": "nation", "copy_of": "document", "same_host": "page", "near": "vector", "within": None}
 
 
-def quotes(spark: SparkSession, sf_dir: str, most_items: int = 10_000) -> DataFrame:
-    """(s, o): documents and the benchmark items that their texts contain as they stand."""
+def quotes(spark: SparkSession, sf_dir: str, block: int = 10_000) -> DataFrame:
+    """(s, o): documents and the benchmark items that their texts contain as they stand; ``block`` items at a time are broadcast."""
     items = spark.read.parquet(f"{sf_dir}/benchmark.parquet").where("text <> ''").select("item_id", F.col("text").alias("passage"))
-    if items.limit(most_items + 1).count() > most_items:
-        raise ValueError(f"containment is for at most {most_items} items")
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return docs.join(F.broadcast(items), F.contains("text", "passage")).select(term_id("document", "doc_id").alias("s"), term_id("benchmark", "item_id").alias("o"))
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    blocks = max(1, -(-items.count() // block))
+    out = None
+    for b in range(blocks):
+        part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item_id", "passage"), F.lit(blocks)) == b)
+        one = docs.join(F.broadcast(part), F.contains("text", "passage")).select(term_id("document", "doc_id").alias("s"), term_id("benchmark", "item_id").alias("o"))
+        out = one if out is None else out.union(one)
+    return out
 
 
 def properties(spark: SparkSession, sf_dir: str) -> dict[str, Callable[[], DataFrame]]:
@@ -135,7 +139,7 @@ def to_triples(spark: SparkSession, sf_dir: str, names: list[str]) -> DataFrame:
 
 
 def dictionary(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> DataFrame:
-    """(id, lex): every literal of the plain properties. An id with two texts raises an error when it is looked at with ``audit``."""
+    """(id, lex): every literal of the plain properties. ``sound_dictionary`` also looks for ids with two texts."""
     df = None
     for m in mappings():
         if m.literal is None or names and m.prop not in names:
@@ -150,6 +154,14 @@ def audit(terms: DataFrame) -> DataFrame:
     return terms.groupBy("id").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
 
 
+def sound_dictionary(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> DataFrame:
+    """``dictionary`` after ``audit``; two texts with one id are an error, never one term."""
+    terms = dictionary(spark, sf_dir, names)
+    if twice := audit(terms).limit(1).collect():
+        raise ValueError(f"literal id {twice[0].id} stands for several texts; use wider ids")
+    return terms
+
+
 def encode(df: DataFrame, text: str, to: str) -> DataFrame:
     """Add the id of a text column."""
     return df.withColumn(to, literal_id(text))

@@ -11,8 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from reachgraph.functions.ids import BASE, KINDS, literal_id, term_id, term_key
-from reachgraph.functions.kernels import Dag
+from reachgraph.functions.ids import BASE, KINDS, literal_number, term_key
 from reachgraph.operators import baselines
 from reachgraph.operators.partition import HashPartitioner, LocalityPartitioner, RangePartitioner, weak_components
 from reachgraph.operators.permutations import shard_triples
@@ -21,7 +20,7 @@ from reachgraph.plans import statistics
 from reachgraph.plans.engine import Graph
 from reachgraph.plans.query import Const
 from reachgraph.sources.graphs import NEAR_SQL, RULES, duck_sql, edges, spark_sql
-from reachgraph.sources.triples import dictionary, properties, property_ids, to_triples
+from reachgraph.sources.triples import dictionary, properties, property_ids, sound_dictionary, to_triples
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -56,18 +55,17 @@ def constant(c: Const) -> int | None:
     if not c.literal:
         kind, _, key = c.text.partition("/")
         return KINDS[kind] * BASE + int(key) if kind in KINDS and key.isdigit() else None
-    spark = SparkSession.active()
-    return spark.range(1).select(literal_id(F.lit(c.text))).first()[0]
+    return literal_number(c.text)
 
 
 def graph(spark: SparkSession, sf_dir: str, **options: object) -> Graph:
     """The property graph of a directory."""
-    return _kept(spark, sf_dir, "graph", *sorted(options.items()), make=lambda: Graph(spark, properties(spark, sf_dir), constant, k=8, **options))
+    return _kept(spark, sf_dir, "graph", *sorted(options.items()), make=lambda: Graph(spark, properties(spark, sf_dir), constant, **options))
 
 
 def index(spark: SparkSession, sf_dir: str, name: str, **options: object) -> ReachIndex:
     """Reachability index of a graph under test, on untagged keys."""
-    return _kept(spark, sf_dir, name, *map(str, sorted(options.items(), key=str)), make=lambda: ReachIndex.build(edges(spark, sf_dir, name), options.pop("k", 8), **options))
+    return _kept(spark, sf_dir, name, *map(str, sorted(options.items(), key=str)), make=lambda: ReachIndex.build(edges(spark, sf_dir, name), options.pop("k", None), **options))
 
 
 def match(spark: SparkSession, sf_dir: str, text: str, keep: str = "") -> DataFrame:
@@ -85,6 +83,20 @@ def walk(rule: str, seed: str = "SELECT a, b FROM e", more: str = "") -> str:
 
 # -- workloads ---------------------------------------------------------------
 
+#: The query texts of the workloads.
+TEXTS = {
+    "wl1": 'SELECT ?x ?y WHERE { ?x type "ECONOMY" . ?x hands_to+ ?y . ?y type "PROMO" }',
+    "wl2": 'SELECT ?a ?b WHERE { ?a status "F" . ?a placed_by ?c . ?c segment "BUILDING" . ?c in_nation nation/3 . ?a next_order+ ?b . ?b priority "1-URGENT" }',
+    "wl3": 'SELECT DISTINCT ?x ?y WHERE { ?x type "ECONOMY" . ?x hands_to48+ ?y . ?s supplies ?x . ?t supplies ?y . ?s relays_thin+ ?t }',
+    "wf1": 'SELECT ?a ?b WHERE { ?a event_kind "signup" . ?a next_event+ ?b . ?b event_kind "purchase" }',
+    "wf2": 'SELECT ?a ?b WHERE { ?a done_by user/7 . ?a event_kind "error" . ?a next_event+ ?b . ?b event_kind "purchase" . ?b done_by user/7 }',
+    "wf3": 'SELECT DISTINCT ?a ?c WHERE { ?a event_kind "error" . ?a next_event+ ?b . ?b event_kind "signup" . ?b next_event+ ?c . ?c event_kind "purchase" }',
+    "wd1": 'SELECT ?a ?b ?p ?q ?l ?m WHERE { ?a quality "1" . ?a copy_of+ ?b . ?a from_source ?p . ?b from_source ?q . ?a in_lang ?l . ?b in_lang ?m }',
+    "wd2": 'SELECT ?a ?b WHERE { ?a spoken_by "user" . ?a next_turn+ ?b . ?b spoken_by "assistant" }',
+    "wd3": 'SELECT DISTINCT ?a ?c WHERE { ?a in_class "1" . ?a near+ ?b . ?b in_class "2" . ?b near* ?c . ?c in_class "3" }',
+    "intro_path": 'SELECT DISTINCT ?a WHERE { ?a priority "1-URGENT" . ?a placed_by/within*/named "ASIA" }',
+}
+
 
 @query(
     walk("hands_to", "SELECT a, b FROM e JOIN part ON p_partkey = a AND p_type = 'ECONOMY'")
@@ -92,7 +104,7 @@ def walk(rule: str, seed: str = "SELECT a, b FROM e", more: str = "") -> str:
 )
 def wl1(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One reachability join of two large scans."""
-    return match(spark, sf_dir, 'SELECT ?x ?y WHERE { ?x type "ECONOMY" . ?x hands_to+ ?y . ?y type "PROMO" }')
+    return match(spark, sf_dir, TEXTS["wl1"])
 
 
 @query(
@@ -101,7 +113,7 @@ def wl1(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def wl2(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Selective: two joins and one reachability join."""
-    return match(spark, sf_dir, 'SELECT ?a ?b WHERE { ?a status "F" . ?a placed_by ?c . ?c segment "BUILDING" . ?c in_nation nation/3 . ?a next_order+ ?b . ?b priority "1-URGENT" }')
+    return match(spark, sf_dir, TEXTS["wl2"])
 
 
 @query(
@@ -112,7 +124,7 @@ def wl2(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def wl3(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Two reachability joins and two joins."""
-    return match(spark, sf_dir, 'SELECT DISTINCT ?x ?y WHERE { ?x type "ECONOMY" . ?x hands_to48+ ?y . ?s supplies ?x . ?t supplies ?y . ?s relays_thin+ ?t }')
+    return match(spark, sf_dir, TEXTS["wl3"])
 
 
 @query(
@@ -120,7 +132,7 @@ def wl3(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def wf1(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A single large reachability join along chains."""
-    return match(spark, sf_dir, 'SELECT ?a ?b WHERE { ?a event_kind "signup" . ?a next_event+ ?b . ?b event_kind "purchase" }')
+    return match(spark, sf_dir, TEXTS["wf1"])
 
 
 @query(
@@ -129,19 +141,17 @@ def wf1(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def wf2(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Selective joins and one reachability join."""
-    return match(spark, sf_dir, 'SELECT ?a ?b WHERE { ?a done_by user/7 . ?a event_kind "error" . ?a next_event+ ?b . ?b event_kind "purchase" . ?b done_by user/7 }')
+    return match(spark, sf_dir, TEXTS["wf2"])
 
 
 @query(
-    f"WITH RECURSIVE e(a, b) AS ({RULES['next_event']}), r(x, y) AS (SELECT a, b FROM e JOIN events ON event_id = a AND user_id < 20 UNION SELECT r.x, e.b FROM r JOIN e ON r.y = e.a)"
-    " SELECT DISTINCT p.x AS a, q.y AS c FROM r p JOIN r q ON p.y = q.x JOIN events i ON i.event_id = p.x AND i.event_type = 'error'"
-    " JOIN events j ON j.event_id = p.y AND j.event_type = 'signup' JOIN events k ON k.event_id = q.y AND k.event_type = 'purchase'"
+    f"WITH RECURSIVE e(a, b) AS ({RULES['next_event']}), r(x, y) AS (SELECT a, b FROM e JOIN events ON event_id = a AND event_type = 'error' UNION SELECT r.x, e.b FROM r JOIN e ON r.y = e.a),"
+    " q(x, y) AS (SELECT a, b FROM e JOIN events ON event_id = a AND event_type = 'signup' UNION SELECT q.x, e.b FROM q JOIN e ON q.y = e.a)"
+    " SELECT DISTINCT r.x AS a, q.y AS c FROM r JOIN q ON r.y = q.x JOIN events ON event_id = q.y AND event_type = 'purchase'"
 )
 def wf3(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two reachability joins in a row, over the users below 20."""
-    g = graph(spark, sf_dir)
-    g.properties.setdefault("early_kind", lambda: g.edges("event_kind").join(g.edges("done_by").where(F.col("o") < F.lit(KINDS["user"] * BASE + 20)).select("s"), "s", "left_semi"))
-    return match(spark, sf_dir, 'SELECT DISTINCT ?a ?c WHERE { ?a early_kind "error" . ?a next_event+ ?b . ?b early_kind "signup" . ?b next_event+ ?c . ?c early_kind "purchase" }')
+    """Two reachability joins in a row."""
+    return match(spark, sf_dir, TEXTS["wf3"])
 
 
 @query(
@@ -150,7 +160,7 @@ def wf3(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def wd1(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Copies of good documents in another source or language."""
-    out = graph(spark, sf_dir).match('SELECT ?a ?b ?p ?q ?l ?m WHERE { ?a quality "1" . ?a copy_of+ ?b . ?a from_source ?p . ?b from_source ?q . ?a in_lang ?l . ?b in_lang ?m }')
+    out = graph(spark, sf_dir).match(TEXTS["wd1"])
     return out.where("p <> q or l <> m").select(term_key("a").alias("a"), term_key("b").alias("b"))
 
 
@@ -160,7 +170,7 @@ def wd1(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def wd2(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User turns and later assistant turns."""
-    return match(spark, sf_dir, 'SELECT ?a ?b WHERE { ?a spoken_by "user" . ?a next_turn+ ?b . ?b spoken_by "assistant" }')
+    return match(spark, sf_dir, TEXTS["wd2"])
 
 
 @query(
@@ -169,7 +179,7 @@ def wd2(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def wd3(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Neighbour chains over three classes; for small tables, as the neighbours come from all pairs."""
-    return match(spark, sf_dir, 'SELECT DISTINCT ?a ?c WHERE { ?a in_class "1" . ?a near+ ?b . ?b in_class "2" . ?b near* ?c . ?c in_class "3" }')
+    return match(spark, sf_dir, TEXTS["wd3"])
 
 
 _CHAIN = "SELECT DISTINCT o_orderkey AS a FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA' AND o_orderpriority = '1-URGENT'"
@@ -184,7 +194,7 @@ def intro_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(_CHAIN)
 def intro_path(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same as one path with a starred step."""
-    return match(spark, sf_dir, 'SELECT DISTINCT ?a WHERE { ?a priority "1-URGENT" . ?a placed_by/within*/named "ASIA" }')
+    return match(spark, sf_dir, TEXTS["intro_path"])
 
 
 WORKED_SIX = 'SELECT ?x ?n ?x1 ?n1 WHERE { ?x relays_thin* ?x1 . ?x supplies part/5 . ?n trades* ?n1 . ?n within* region/2 . ?x1 in_nation ?n1 . ?x in_nation ?n }'
@@ -216,7 +226,7 @@ def _ends(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
 
 def _ladder(name: str) -> None:
     if name == "relays":
-        sql = walk(name, "SELECT a, b FROM e WHERE a % 3 = 0") + "SELECT x, y FROM r WHERE x <> y AND y % 5 = 0"
+        sql = walk(name) + "SELECT x, y FROM r WHERE x <> y"
     else:
         sql = walk(name, "SELECT a, b FROM e JOIN part ON p_partkey = a AND p_type = 'ECONOMY'") + "SELECT x, y FROM r JOIN part ON p_partkey = y AND p_type = 'PROMO' WHERE x <> y"
 
@@ -224,7 +234,7 @@ def _ladder(name: str) -> None:
     def ladder(spark: SparkSession, sf_dir: str) -> DataFrame:
         if name == "relays":
             v = spark.read.parquet(f"{sf_dir}/supplier.parquet").select(F.col("s_suppkey").alias("v"))
-            ends = v.where("v % 3 = 0"), v.where("v % 5 = 0")
+            ends = v, v
         else:
             ends = _ends(spark, sf_dir)
         return index(spark, sf_dir, name).set_reach(*ends, "+")
@@ -236,18 +246,26 @@ for _name in ("hands_to49", "hands_to48", "hands_to", "relays"):
 
 # -- encoding, partitions, permutations ----------------------------------------
 
-_SMALL = ["in_nation", "in_region", "supplies"]
-_TRIPLES = (
-    f"SELECT {KINDS['customer'] * BASE} + c_custkey AS s, 0 AS p, {KINDS['nation'] * BASE} + c_nationkey AS o FROM customer"
-    f" UNION SELECT {KINDS['supplier'] * BASE} + s_suppkey, 0, {KINDS['nation'] * BASE} + s_nationkey FROM supplier"
-    f" UNION SELECT {KINDS['nation'] * BASE} + n_nationkey, 1, {KINDS['region'] * BASE} + n_regionkey FROM nation"
-    f" UNION SELECT {KINDS['supplier'] * BASE} + l_suppkey, 2, {KINDS['part'] * BASE} + l_partkey FROM lineitem"
+#: Properties between rows of tables; their ids can be told in SQL, those of literals are hashes.
+_LINKS = {
+    "done_by": [("events", "event", "event_id", "user", "user_id")],
+    "filled_by": [("lineitem", "order", "l_orderkey", "supplier", "l_suppkey")],
+    "has_part": [("lineitem", "order", "l_orderkey", "part", "l_partkey")],
+    "in_nation": [("customer", "customer", "c_custkey", "nation", "c_nationkey"), ("supplier", "supplier", "s_suppkey", "nation", "s_nationkey")],
+    "in_region": [("nation", "nation", "n_nationkey", "region", "n_regionkey")],
+    "placed_by": [("orders", "order", "o_orderkey", "customer", "o_custkey")],
+    "supplies": [("lineitem", "supplier", "l_suppkey", "part", "l_partkey")],
+    "turn_of": [("conversations", "turn", "conv_id * 100000 + turn", "conversation", "conv_id")],
+}
+_IDS = property_ids(list(_LINKS))
+_TRIPLES = " UNION ".join(
+    f"SELECT {KINDS[a] * BASE} + {x} AS s, {_IDS[name]} AS p, {KINDS[b] * BASE} + {y} AS o FROM {table} WHERE {x} IS NOT NULL AND {y} IS NOT NULL" for name, ways in _LINKS.items() for table, a, x, b, y in ways
 )
 _T = f"WITH t AS (SELECT CAST(s AS BIGINT) AS s, p, CAST(o AS BIGINT) AS o FROM ({_TRIPLES}) u) "
 
 
 def _triples(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return to_triples(spark, sf_dir, _SMALL)
+    return to_triples(spark, sf_dir, list(_LINKS))
 
 
 @query(_T + "SELECT p, count(*) AS n FROM t GROUP BY p")
@@ -256,13 +274,16 @@ def triples_count(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _triples(spark, sf_dir).groupBy("p").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("SELECT p_partkey AS k, p_type AS lex FROM part UNION ALL SELECT p_partkey, p_brand FROM part")
+@query("SELECT p_partkey AS k, p_type AS lex FROM part UNION SELECT p_partkey, p_brand FROM part UNION SELECT o_orderkey, o_orderstatus FROM orders UNION SELECT o_orderkey, o_orderpriority FROM orders UNION SELECT c_custkey, c_mktsegment FROM customer UNION SELECT event_id, event_type FROM events")
 def encode(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Literals of two properties, encoded and decoded again."""
-    terms = dictionary(spark, sf_dir, ["type", "brand"])
-    g = graph(spark, sf_dir)
-    both = g.edges("type").union(g.edges("brand"))
-    return both.join(terms, both["o"] == terms["id"]).select(term_key("s").alias("k"), "lex")
+    """Literals of six properties, encoded and decoded again, after a look at collisions."""
+    names = ["type", "brand", "status", "priority", "segment", "event_kind"]
+    terms, g = sound_dictionary(spark, sf_dir, names), graph(spark, sf_dir)
+    out = None
+    for name in names:
+        one = g.edges(name).join(terms, F.col("o") == F.col("id")).select(term_key("s").alias("k"), "lex")
+        out = one if out is None else out.union(one)
+    return out.distinct()
 
 
 @query(_T + "SELECT CAST(s % 4 AS INTEGER) AS part, count(*) AS n FROM (SELECT s FROM t UNION ALL SELECT o FROM t WHERE s % 4 <> o % 4) u GROUP BY s % 4")
@@ -286,8 +307,8 @@ def _permutation(perm: str, where: str) -> None:
 
 _SUP, _NAT, _PART = KINDS["supplier"] * BASE + 3, KINDS["nation"] * BASE + 3, KINDS["part"] * BASE + 5
 for _perm, _where in {
-    "SPO": f"s = {_SUP} AND p = 2", "SOP": f"s = {_SUP} AND o = {_NAT}", "PSO": f"p = 2 AND s = {_SUP}",
-    "OSP": f"o = {_PART} AND s = {_SUP}", "OPS": f"o = {_PART} AND p = 2", "POS": f"p = 0 AND o = {_NAT}",
+    "SPO": f"s = {_SUP} AND p = {_IDS['supplies']}", "SOP": f"s = {_SUP} AND o = {_NAT}", "PSO": f"p = {_IDS['supplies']} AND s = {_SUP}",
+    "OSP": f"o = {_PART} AND s = {_SUP}", "OPS": f"o = {_PART} AND p = {_IDS['supplies']}", "POS": f"p = {_IDS['in_nation']} AND o = {_NAT}",
 }.items():
     _permutation(_perm, _where)
 
@@ -345,11 +366,6 @@ def boundary_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
 _SCC = walk("hands_to", "SELECT a, b FROM e")
 
 
-def _dag_rows(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, Dag]:
-    got = edges(spark, sf_dir, "hands_to").distinct().toArrow()
-    return Dag.of(got["s"].to_numpy(), got["t"].to_numpy())
-
-
 @query(_SCC + "SELECT p.x AS v, min(p.y) AS scc FROM (SELECT x, y FROM r UNION SELECT a, a FROM e UNION SELECT b, b FROM e) p WHERE p.x = p.y OR EXISTS (SELECT 1 FROM r q WHERE q.x = p.y AND q.y = p.x) GROUP BY p.x")
 def scc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Smallest vertex of each strongly connected component, over one condensed shard."""
@@ -488,21 +504,22 @@ def drj_constant(spark: SparkSession, sf_dir: str) -> DataFrame:
     return match(spark, sf_dir, f'SELECT ?x WHERE {{ ?x type "ECONOMY" . ?x hands_to48+ part/{least} }}')
 
 
-@query(walk("relays") + "SELECT DISTINCT l_partkey AS p, x, y FROM (SELECT DISTINCT l_suppkey, l_partkey FROM lineitem WHERE l_partkey < 20) i JOIN (SELECT DISTINCT l_suppkey AS t, l_partkey AS q FROM lineitem) j ON l_partkey = q JOIN r ON x = l_suppkey AND y = t WHERE x <> y")
+@query(
+    walk("relays")
+    + "SELECT DISTINCT i.l_partkey AS p, x, y FROM part JOIN lineitem i ON i.l_partkey = p_partkey AND p_brand = 'Brand#11' JOIN lineitem j ON i.l_partkey = j.l_partkey JOIN r ON x = i.l_suppkey AND y = j.l_suppkey WHERE x <> y"
+)
 def drj_same_side(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Both ends bound by relations that are joined already."""
-    g = graph(spark, sf_dir)
-    g.properties.setdefault("supplies_few", lambda: g.edges("supplies").where(F.col("o") < F.lit(KINDS["part"] * BASE + 20)))
-    return match(spark, sf_dir, "SELECT ?p ?x ?y WHERE { ?x supplies_few ?p . ?y supplies_few ?p . ?x relays+ ?y }")
+    return match(spark, sf_dir, 'SELECT ?p ?x ?y WHERE { ?p brand "Brand#11" . ?x supplies ?p . ?y supplies ?p . ?x relays+ ?y }')
 
 
-@query(walk("hands_to49", "SELECT a, b FROM e WHERE a < 300") + "SELECT x, y FROM r WHERE y < 300 AND x <> y")
+@query(walk("hands_to49", "SELECT a, b FROM e JOIN part ON p_partkey = a AND p_brand = 'Brand#11'") + "SELECT x, y FROM r JOIN part ON p_partkey = y AND p_brand = 'Brand#12' WHERE x <> y")
 def drj_naive(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The definition itself, on few rows: all pairs of two small sets that are in the closure."""
-    e = edges(spark, sf_dir, "hands_to49")
-    part = spark.read.parquet(f"{sf_dir}/part.parquet").where("p_partkey < 300")
-    pairs = part.select(F.col("p_partkey").alias("x")).crossJoin(part.select(F.col("p_partkey").alias("y"))).where("x <> y")
-    return pairs.join(baselines.frontier_reach(e, part.select(F.col("p_partkey").alias("v"))), ["x", "y"], "left_semi")
+    """The definition itself, as a baseline: all pairs of two brands' parts that are in the closure."""
+    part = spark.read.parquet(f"{sf_dir}/part.parquet")
+    of = lambda brand, name: part.where(F.col("p_brand") == brand).select(F.col("p_partkey").alias(name))
+    pairs = of("Brand#11", "x").crossJoin(of("Brand#12", "y")).where("x <> y")
+    return pairs.join(baselines.frontier_reach(edges(spark, sf_dir, "hands_to49"), of("Brand#11", "v")), ["x", "y"], "left_semi")
 
 
 # -- statistics --------------------------------------------------------------------
@@ -566,10 +583,12 @@ for _base in _BASELINES:
         return _BASELINES[base](spark, edges(spark, sf_dir, "hands_to49"), *_ends(spark, sf_dir))
 
 
-@query(walk("trades") + "SELECT x, y FROM r WHERE x IN (1, 2, 3) AND y IN (4, 5, 6) AND x <> y")
+@query(walk("trades") + "SELECT x, y FROM r JOIN nation i ON i.n_nationkey = x AND i.n_regionkey = 0 JOIN nation j ON j.n_nationkey = y AND j.n_regionkey = 1 WHERE x <> y")
 def baseline_pairwise(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One query per pair."""
-    return baselines.pairwise_reach(index(spark, sf_dir, "trades", k=2), [1, 2, 3], [4, 5, 6])
+    """One query per pair of nations of two regions."""
+    nation = spark.read.parquet(f"{sf_dir}/nation.parquet")
+    of = lambda region: [r.n_nationkey for r in nation.where(F.col("n_regionkey") == region).orderBy("n_nationkey").collect()]
+    return baselines.pairwise_reach(index(spark, sf_dir, "trades", k=2), of(0), of(1))
 
 
 @query(f"WITH e(a, b) AS ({RULES['hands_to49']}) SELECT e.a AS x, g.b AS y FROM e JOIN e f ON e.b = f.a JOIN e g ON f.b = g.a UNION SELECT e.a, f.b FROM e JOIN e f ON e.b = f.a")

@@ -98,7 +98,9 @@ def test_one_exchange_whatever_the_diameter(spark):
     chain = spark.createDataFrame([(i, i + 1) for i in range(60)], "s long, t long")
     ix, counts = ReachIndex.build(chain, 4), []
     one = spark.createDataFrame([(0,)], "v long")
-    assert rounds(ix, one) == 1
+    ends = chain.selectExpr("t AS v")
+    assert rounds(ix, one, ends) == 1
+    assert rounds(ReachIndex.build(chain, 4, max_boundary=0), one, ends) > 20
     assert frontier_reach(chain, one, counts=counts).count() == 60 == ix.set_reach(one, chain.selectExpr("t AS v"), "+").count()
     assert len(counts) > 50
 
@@ -110,3 +112,39 @@ def test_nulls_and_empty_tables(spark):
     none = spark.createDataFrame([], "s long, t long")
     assert ReachIndex.build(none, 2).set_reach(v, v, "+").count() == 0
     assert ReachIndex.build(none, 2).set_reach(v, v, "*").count() == 2
+
+
+def test_auto_partitioner_keeps_chains_whole(spark):
+    from reachgraph.measures import rounds
+
+    chains = spark.createDataFrame([(c * 100 + i, c * 100 + i + 1) for c in range(40) for i in range(30)], "s long, t long")
+    ix = ReachIndex.build(chains)
+    assert ix.cut.count() == 0 and check_partition(ix.parts, chains).count() == 0
+    v = chains.selectExpr("s AS v")
+    assert ix.set_reach(v, v, "+").count() == 40 * 30 * 29 // 2
+    assert rounds(ix, v, v) <= 1
+    one = spark.createDataFrame([(i, i + 1) for i in range(90)], "s long, t long")
+    assert ReachIndex.build(one).parts is None  # one component for all shards
+
+
+def test_saved_and_backward_indexes_give_the_same_pairs(spark, world, tmp_path):
+    edges, e = world
+    v = spark.createDataFrame([(x,) for x in {x for p in edges for x in p}], "v long")
+    few = v.where("v % 7 = 0")
+    for make in (lambda: HashPartitioner(4), lambda: ComponentPartitioner(3)):
+        ix = ReachIndex.build(e, 4, make())
+        again = ReachIndex.load(spark, ix.save(str(tmp_path / "ix")))
+        expected = {(r.x, r.y) for r in ix.set_reach(v, few, "+", plus="cycle").collect()}
+        assert expected == {p for p in search(edges) if p[1] % 7 == 0}
+        assert {(r.x, r.y) for r in again.set_reach(v, few, "+", plus="cycle").collect()} == expected
+        for direction in ("backward", "auto"):
+            assert {(r.x, r.y) for r in ix.set_reach(v, few, "+", plus="cycle", direction=direction).collect()} == expected
+        star = {(r.x, r.y) for r in ix.set_reach(v, few, "*").collect()}
+        assert {(r.x, r.y) for r in ix.set_reach(v, few, "*", direction="backward").collect()} == star
+
+
+def test_components_in_a_task_and_by_rounds(spark, world):
+    from reachgraph.operators.partition import weak_components
+
+    _, e = world
+    assert sorted(map(tuple, weak_components(e).collect())) == sorted(map(tuple, weak_components(e, task_edges=0).collect()))
