@@ -30,7 +30,7 @@ LEAST_WORDS, LEAST_CHARS = 8, 30
 #: One edit of a word per so many words, at least 1 and at most ``MOST_EDITS``; so many edits of characters in lines of few words.
 WORDS_PER_EDIT, MOST_EDITS, CHAR_EDITS = 20, 4, 2
 #: Neighbouring words, or characters of lines of few words, that are one token where lines are looked up by tokens.
-WORD_TOKEN, CHAR_TOKEN = 2, 3
+WORD_TOKEN, CHAR_TOKEN = 3, 5
 
 
 def allowed(by_words: Column, n: Column) -> Column:
