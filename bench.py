@@ -20,7 +20,7 @@ import time
 
 WORKLOADS = ("wl1", "wl2", "wl3", "wf1", "wf2", "wf3", "wd1", "wd2", "wd3")
 #: Seconds after which no further extra measurement is started.
-EXTRA_SECONDS = 420
+EXTRA_SECONDS = 400
 
 
 def scaled(cpus: int, share: float) -> None:
