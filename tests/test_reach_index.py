@@ -100,7 +100,8 @@ def test_one_exchange_whatever_the_diameter(spark):
     one = spark.createDataFrame([(0,)], "v long")
     ends = chain.selectExpr("t AS v")
     assert rounds(ix, one, ends) == 1
-    assert rounds(ReachIndex.build(chain, 4, max_boundary=0), one, ends) > 20
+    short = chain.where("s < 10")
+    assert rounds(ReachIndex.build(short, 4, max_boundary=0), one, short.selectExpr("t AS v")) > 5
     assert frontier_reach(chain, one, counts=counts).count() == 60 == ix.set_reach(one, chain.selectExpr("t AS v"), "+").count()
     assert len(counts) > 50
 
