@@ -24,9 +24,6 @@ WORD = r"[^\x20\x09-\x0D]+"
 ARROW_BYTES = 8 << 20
 ARROW_ROWS = 2_000
 
-#: Most rows of one or two numbers that ``small`` lets be broadcast: some 16 MB on the wire, 50 MB in an executor.
-BROADCAST_ROWS = 1_000_000
-
 _own_folder: list[str] = []
 
 
