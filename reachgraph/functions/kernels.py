@@ -7,12 +7,33 @@ sources of a block move at once.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 
 #: Bytes that the bit rows of one block of sources may take.
-BLOCK_BYTES = 64 << 20
+BLOCK_BYTES = 32 << 20
+
+#: Pairs that are unpacked from bit rows at a time.
+CHUNK = 2 << 20
+
+
+def set_bits(rows: np.ndarray, row: np.ndarray, bit: np.ndarray) -> None:
+    """Set bits of bit rows, in place."""
+    np.bitwise_or.at(rows, (row, bit // 64), np.uint64(1) << (bit % 64).astype(np.uint64))
+
+
+def equal_columns(rows: np.ndarray, size: int) -> np.ndarray:
+    """For each of the ``size`` bits of bit rows, the first bit that is set in the same rows; -1 where it is set in none."""
+    out, chunk = np.empty((size, -(-len(rows) // 8)), dtype=np.uint8), max(8, CHUNK // max(1, size) // 8 * 8)
+    for lo in range(0, len(rows), chunk):
+        found = np.unpackbits(rows[lo : lo + chunk].view(np.uint8), axis=1, bitorder="little")[:, :size]
+        out[:, lo // 8 : lo // 8 + -(-len(found) // 8)] = np.packbits(found, axis=0, bitorder="little").T
+    if not out.shape[1]:
+        return np.full(size, -1, dtype=np.int64)
+    _, first, which = np.unique(out.view(f"V{out.shape[1]}").ravel(), return_index=True, return_inverse=True)
+    return np.where(out.any(axis=1), first[which], -1)
 
 
 def _peel(n: int, src: np.ndarray, dst: np.ndarray, open_: np.ndarray) -> list[np.ndarray]:
@@ -160,33 +181,50 @@ class Dag:
         ``sources[i]`` starts at vertex ``starts[i]``. Without ``empty_path`` a
         start reaches itself only over a cycle.
         """
+        got = list(self.reach_by_blocks(sources, starts, targets, empty_path))
+        if not got:
+            return np.empty(0, dtype=np.int64), np.empty(0, dtype=np.int64)
+        s, t = (np.concatenate(side) for side in zip(*got, strict=True))
+        return s, t
+
+    def reach_by_blocks(self, sources: np.ndarray, starts: np.ndarray, targets: np.ndarray, empty_path: bool = True) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """What ``reach`` finds, at most about ``CHUNK`` pairs at a time."""
         known, comp = self.place(starts)
         names, number = np.unique(sources[known], return_inverse=True)
         ends, end_comp = self.place(targets)
         ends = targets[ends]
-        out_s, out_t = [], []
-        n = len(self.cyclic)
-        block = max(64, BLOCK_BYTES // max(1, 8 * n) * 64)
+        own = np.stack([sources[known], starts[known]], axis=1)
+        block = self.block()
         for lo in range(0, len(names), block):
             size = min(block, len(names) - lo)
             mine = (number >= lo) & (number < lo + size)
-            rows = np.zeros((n, (size + 63) // 64), dtype=np.uint64)
-            bit = number[mine] - lo
-            np.bitwise_or.at(rows, (comp[mine], bit // 64), np.uint64(1) << (bit % 64).astype(np.uint64))
+            rows = np.zeros((len(self.cyclic), (size + 63) // 64), dtype=np.uint64)
+            set_bits(rows, comp[mine], number[mine] - lo)
             rows = self.spread(rows)
-            found = np.unpackbits(rows[end_comp].view(np.uint8), axis=1, bitorder="little")[:, :size]
-            t, s = np.nonzero(found)
-            out_s.append(names[lo + s])
-            out_t.append(ends[t])
-        if not out_s:
-            return np.empty(0, dtype=np.int64), np.empty(0, dtype=np.int64)
-        s, t = np.concatenate(out_s), np.concatenate(out_t)
-        if not empty_path and len(s):
-            # a start that reaches itself only by staying where it is
-            own = np.stack([sources[known], starts[known]], axis=1)
-            self_hit = self._alone(s, t, own, comp)
-            s, t = s[~self_hit], t[~self_hit]
-        return s, t
+            chunk = max(1, CHUNK // size)
+            for at in range(0, len(ends), chunk):
+                found = np.unpackbits(rows[end_comp[at : at + chunk]].view(np.uint8), axis=1, bitorder="little")[:, :size]
+                t, s = np.nonzero(found)
+                if not len(s):
+                    continue
+                s, t = names[lo + s], ends[at + t]
+                if not empty_path:
+                    # a start that reaches itself only by staying where it is
+                    self_hit = self._alone(s, t, own, comp)
+                    s, t = s[~self_hit], t[~self_hit]
+                yield s, t
+
+    def block(self, more: int = 0) -> int:
+        """Sources whose bit rows over this graph and ``more`` rows are made at a time."""
+        return max(64, BLOCK_BYTES // max(1, 8 * (len(self.cyclic) + more)) * 64)
+
+    def heads(self, sources: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(distinct sources in the graph, the smallest source in the component of each)."""
+        sources = np.unique(sources)
+        at, comp = self.place(sources)
+        sources = sources[at]
+        _, first, which = np.unique(comp, return_index=True, return_inverse=True)
+        return sources, sources[first[which]]
 
     def _alone(self, s: np.ndarray, t: np.ndarray, own: np.ndarray, comp: np.ndarray) -> np.ndarray:
         """Hits (s, t) where t is a start of s on no cycle, and no other start of s leads there."""

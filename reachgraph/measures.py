@@ -106,19 +106,19 @@ def rounds(index: object, sources: DataFrame, targets: DataFrame) -> int:
     index.steps = 0
     df = index.set_reach(sources, targets, "+")
     df.count()
-    reach = "FlatMapCoGroupsInArrowExec"
     between = 0
     for kind, above, node in _nodes(df):
-        if kind == "ShuffleExchangeExec" and reach in above and _has(node, reach):
+        if kind == "ShuffleExchangeExec" and "FlatMapCoGroupsInArrowExec" in above and _departed(node):
             between += 1
     return between + index.steps
 
 
-def _has(node: object, kind: str) -> bool:
+def _departed(node: object) -> bool:
+    """Whether a part of a plan reads what departures were written to."""
     todo = _children(node)
     while todo:
         one = todo.pop()
-        if one.getClass().getSimpleName() == kind:
+        if one.getClass().getSimpleName() == "FileSourceScanExec" and "/departed-" in one.relation().location().rootPaths().mkString(" "):
             return True
         todo += _children(one)
     return False

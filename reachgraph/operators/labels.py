@@ -37,7 +37,7 @@ class LabelTables:
         shared = index.shared
 
         def across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            boundary, entries = shared.value
+            boundary, entries, _ = shared.value
             for batch in batches:
                 exits = batch.column("v").to_numpy()
                 x, y = boundary.reach(exits, _exit(exits), _entry(entries))

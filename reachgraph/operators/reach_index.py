@@ -9,13 +9,19 @@ vertex each.
 A query goes from the sources to the exits of their shard, through the boundary
 graph to entries, all in one task; the pairs (source, entry) are exchanged once
 and finished in the shards of the entries.
+
+Sources of one component, and sources that reach the same entries, go as one
+class, named by its smallest member. Entries of a shard that lie in one
+component of the boundary graph are likewise named by the smallest. Pairs of
+classes and targets become pairs of members by a join in the end, so that no
+task holds an answer.
 """
 
 from __future__ import annotations
 
 import json
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -23,13 +29,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from reachgraph.functions.kernels import Dag
-from reachgraph.operators.partition import HashPartitioner, weak_components
+from reachgraph.functions.kernels import Dag, equal_columns, set_bits
+from reachgraph.operators.partition import HashPartitioner, packed, weak_components
 from reachgraph.session import materialise
 
 _ARRAYS = ("verts", "comp", "cyclic", "src", "dst", "level", "entries", "exits")
 _SHARD = "part int, " + ", ".join(f"{a} array<long>" for a in _ARRAYS)
-_PAIRS = pa.schema([("x", pa.int64()), ("y", pa.int64())])
+_ROLES = pa.schema([("role", pa.int32()), ("a", pa.int64()), ("b", pa.int64())])
+
+# roles of what departs: a member of a class and the class, a class and what it reaches in its shard, and both again for what is mailed
+_NEAR_MEMBER, _NEAR, _FAR_MEMBER, _FAR = range(4)
 
 
 def _np(column: pa.ChunkedArray) -> np.ndarray:
@@ -99,7 +108,7 @@ class ReachIndex:
     crossings: DataFrame
     boundary: DataFrame
     layout: str
-    shared: object  # broadcast of (boundary DAG, encoded entries, their vertices), or None if it is too large
+    shared: object  # broadcast of (boundary DAG, entries, the entries that stand for them), or None if it is too large
     max_boundary: int
     steps: int = 0  # exchanges of the last question that crossed the boundary by joins
 
@@ -207,10 +216,14 @@ class ReachIndex:
         return _place(df, vertex, part, self.partitioner, self.parts)
 
     def mail(self, sources: DataFrame) -> DataFrame:
-        """(s, entry): which entries of which shards the sources reach over the boundary."""
-        if self.shared is None:
-            return self._cross_by_joins(self._depart(sources, None, "+", exits=True))
-        return self._depart(sources, None, "+").where("entry").select(F.col("x").alias("s"), F.col("y").alias("e"))
+        """(s, entry): which entries of which shards the sources reach over the boundary, those that others stand for left out."""
+        out = self._depart(sources, None)
+        return self._letters(out).withColumnRenamed("s", "cls").join(_members(out, _FAR_MEMBER, "s"), "cls").select("s", "e")
+
+    def _letters(self, departed: DataFrame) -> DataFrame:
+        """(s, e): classes of sources and the entries that they reach."""
+        far = _role(departed, _FAR)
+        return self._cross_by_joins(far.toDF("x", "y")) if self.shared is None else far.toDF("s", "e")
 
     def set_reach(self, sources: DataFrame, targets: DataFrame, kind: str = "+", *, plus: str = "distinct", zero_scope: str = "domain", direction: str = "forward") -> DataFrame:
         """Distinct pairs (x, y), x from ``sources(v)`` and y from ``targets(v)``, such that y is reachable from x.
@@ -230,19 +243,16 @@ class ReachIndex:
         if kind == "?":
             near = self.edges.join(sources.withColumnRenamed("v", "s"), "s", "left_semi").join(targets.withColumnRenamed("v", "t"), "t", "left_semi")
             return near.select(F.col("s").alias("x"), F.col("t").alias("y")).union(self._same(sources, targets, zero_scope)).distinct()
-        if self.shared is None:
-            hits = self._depart(sources, targets, kind).select("x", "y")
-            mail = self._cross_by_joins(self._depart(sources, None, kind, exits=True))
-        else:
-            out = self._depart(sources, targets, kind)
-            hits = out.where("not entry").select("x", "y")
-            mail = out.where("entry").select(F.col("x").alias("s"), F.col("y").alias("e"))
-        pairs = hits.union(self._arrive(mail, targets))
+        out = self._depart(sources, targets)
+        pairs = _spelled(_role(out, _NEAR).toDF("cls", "y"), _members(out, _NEAR_MEMBER, "x"))
+        crossed = not self.cut.isEmpty()
+        if crossed:
+            pairs = pairs.union(_spelled(self._arrive(self._letters(out), targets).toDF("cls", "y"), _members(out, _FAR_MEMBER, "x")))
         if kind == "*":
             pairs = pairs.union(self._same(sources, targets, zero_scope))
         elif plus == "distinct":
             pairs = pairs.where("x <> y")
-        return pairs.distinct()
+        return pairs.distinct() if crossed or kind == "*" else pairs  # within one shard a pair is found once
 
     def _same(self, sources: DataFrame, targets: DataFrame, zero_scope: str) -> DataFrame:
         both = sources.join(targets, "v", "left_semi")
@@ -251,66 +261,136 @@ class ReachIndex:
             both = both.join(known, "v", "left_semi")
         return both.select(F.col("v").alias("x"), F.col("v").alias("y"))
 
-    def _depart(self, sources: DataFrame, targets: DataFrame | None, kind: str, exits: bool = False) -> DataFrame:
-        """(x, y, entry): local hits, and entries (or exits) reached, of every source in its shard."""
-        ends = self.place(sources, "v", "part").select("part", F.lit(0).alias("kind"), "v")
+    def on_cycles(self, vertices: DataFrame) -> DataFrame:
+        """(v): those of ``vertices(v)`` that reach themselves over an edge or more; each is followed home in its own shard's task."""
+        ends = self.place(vertices.select("v").where("v is not null").distinct(), "v", "part").select("part", F.lit(0).alias("kind"), F.col("v").alias("a"), F.col("v").alias("b"))
+        if self.shared is None:
+            pairs = self.set_reach(vertices, vertices, "+", plus="cycle")
+            return pairs.where("x = y").select(F.col("x").alias("v"))
+        shared, compound = self.shared, self.layout == "compound"
+
+        def run(row: dict[str, np.ndarray], kind: np.ndarray, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
+            dag, (boundary, entries, _) = _dag(row), shared.value
+            a = np.unique(a)
+            at, comp = dag.place(_local(a) if compound else a)
+            a, own = a[at], dag.cyclic[comp]
+            yield _out(0, a[own], a[own])
+            if compound or not len(row["exits"]) or not len(row["entries"]):
+                return
+            a, comp = a[~own], comp[~own]
+            yield from (_out(0, found, found) for found in _homeward(dag, boundary, row, a, comp))
+
+        return self._by_shard(ends, run).select(F.col("a").alias("v"))
+
+    def _by_shard(self, ends: DataFrame, run: Callable[..., Iterator[pa.RecordBatch]]) -> DataFrame:
+        """(role, a, b): what ``run`` makes of each shard and the rows (part, kind, a, b) that belong to it."""
+
+        def both(left: pa.Table, right: pa.Table) -> pa.Table:
+            made = run(next(_rows(right)), *(_np(left[c]) for c in ("kind", "a", "b"))) if left.num_rows and right.num_rows else ()
+            return pa.Table.from_batches(list(made), schema=_ROLES)
+
+        return ends.groupBy("part").cogroup(self.shards.groupBy("part")).applyInArrow(both, "role int, a long, b long")
+
+    def _depart(self, sources: DataFrame, targets: DataFrame | None) -> DataFrame:
+        """(role, a, b): classes of the sources, what they reach in their shard, and the entries that they reach elsewhere.
+
+        Where the boundary is not shared, exits stand in place of entries.
+        """
+        ends = self.place(sources, "v", "part").select("part", F.lit(0).alias("kind"), F.col("v").alias("a"), F.col("v").alias("b"))
         if targets is not None:
-            ends = ends.union(self.place(targets, "v", "part").select("part", F.lit(1), "v"))
+            ends = ends.union(self.place(targets, "v", "part").select("part", F.lit(1), "v", "v"))
         shared, compound = self.shared, self.layout == "compound"
-        schema = pa.schema([("x", pa.int64()), ("y", pa.int64()), ("entry", pa.bool_())])
-
-        def run(left: pa.Table, right: pa.Table) -> pa.Table:
-            out: list[tuple[np.ndarray, np.ndarray, bool]] = []
-            if left.num_rows and right.num_rows:
-                role, v = _np(left["kind"]), _np(left["v"])
-                s, t = v[role == 0], v[role == 1]
-                row = next(_rows(right))
-                dag = _dag(row)
-                if compound and not exits:
-                    entries = shared.value[1]
-                    x, y = dag.reach(_local(s), _local(s), _local(t), empty_path=False)
-                    out.append((x // 4, y // 4, False))
-                    x, y = dag.reach(_local(s), _local(s), _entry(entries))
-                    out.append((x // 4, y // 4, True))
-                else:
-                    if len(t):
-                        out.append((*dag.reach(s, s, t, empty_path=False), False))
-                    x, y = dag.reach(s, s, row["exits"])
-                    if exits:
-                        out.append((x, y, True))
-                    elif len(x) and shared is not None:
-                        boundary, entries = shared.value
-                        x, y = boundary.reach(x, _exit(y), _entry(entries))
-                        out.append((x, (y - 1) // 4, True))
-            x, y, e = (np.concatenate(c) if out else np.empty(0) for c in (*zip(*[(a, b, np.full(len(a), f)) for a, b, f in out], strict=True),)) if out else (np.empty(0),) * 3
-            return pa.table([pa.array(x.astype(np.int64)), pa.array(y.astype(np.int64)), pa.array(e.astype(bool))], schema=schema)
-
-        return ends.groupBy("part").cogroup(self.shards.groupBy("part")).applyInArrow(run, "x long, y long, entry boolean")
+
+        def run(row: dict[str, np.ndarray], kind: np.ndarray, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
+            if not (kind == 0).any():
+                return
+            dag = _dag(row)
+            here, back = (_local, lambda v: v // 4) if compound else ((lambda v: v),) * 2
+            members, heads = dag.heads(here(a[kind == 0]))
+            names, number = np.unique(heads, return_inverse=True)
+            if (kind == 1).any():
+                yield _out(_NEAR_MEMBER, back(members), back(heads))
+                for x, y in dag.reach_by_blocks(names, names, here(a[kind == 1]), empty_path=False):
+                    yield _out(_NEAR, back(x), back(y))
+            boundary, entries, reps = shared.value if shared is not None else (None, row["exits"], row["exits"])
+            reps = np.unique(reps)
+            if not len(reps) or not len(row["exits"]) and not compound:
+                return
+            if compound:
+                at, end = dag.place(_entry(reps))
+                over, reps, more = dag, reps[at], 0
+            elif boundary is None:
+                at, end = dag.place(reps)
+                over, reps, more = dag, reps[at], 0
+            else:
+                _, end = boundary.place(_entry(reps))
+                at, gate = boundary.place(_exit(row["exits"]))
+                _, leave = dag.place(row["exits"][at])
+                over, more = boundary, len(boundary.cyclic)
+            _, start = dag.place(names)
+            block, cls = dag.block(more), np.empty(len(names), dtype=np.int64)
+            for lo in range(0, len(names), block):
+                size = min(block, len(names) - lo)
+                rows = np.zeros((len(dag.cyclic), (size + 63) // 64), dtype=np.uint64)
+                set_bits(rows, start[lo : lo + size], np.arange(size))
+                rows = dag.spread(rows)
+                if over is boundary:
+                    inner, rows = rows, np.zeros((len(boundary.cyclic), rows.shape[1]), dtype=np.uint64)
+                    np.bitwise_or.at(rows, gate, inner[leave])
+                    rows = boundary.spread(rows)
+                first = equal_columns(rows[end], size)
+                cls[lo : lo + size] = np.where(first >= 0, lo + first, -1)
+                keep = np.flatnonzero(first == np.arange(size))
+                for bit in keep:
+                    met = reps[(rows[end, bit // 64] >> np.uint64(bit % 64)) & np.uint64(1) == 1]
+                    yield _out(_FAR, np.full(len(met), back(names[lo + bit])), met)
+            far = cls[number]
+            yield _out(_FAR_MEMBER, back(members[far >= 0]), back(names[far[far >= 0]]))
+
+        return materialise(self._by_shard(ends, run), "departed")
 
     def _arrive(self, mail: DataFrame, targets: DataFrame) -> DataFrame:
-        """(x, y): targets that sources reach from the entries that the mail names."""
+        """(s, y): targets that classes of sources reach from the entries that the mail names."""
         homes = self.place(targets, "v", "part")
         held = F.broadcast(homes.select("part").distinct())  # at most one row per shard
         letters = self.place(mail, "e", "part").join(held, "part", "left_semi")
         rows = letters.select("part", F.lit(0).alias("kind"), F.col("s").alias("a"), F.col("e").alias("b")).union(homes.select("part", F.lit(1), "v", "v"))
-        compound = self.layout == "compound"
-
-        def run(left: pa.Table, right: pa.Table) -> pa.Table:
-            x = y = np.empty(0, dtype=np.int64)
-            if left.num_rows and right.num_rows:
-                role, a, b = (_np(left[c]) for c in ("kind", "a", "b"))
-                dag = _dag(next(_rows(right)))
-                enc = _local if compound else (lambda v: v)
-                x, y = dag.reach(a[role == 0], enc(b[role == 0]), enc(a[role == 1]))
-                y = y // 4 if compound else y
-            return pa.table([pa.array(x), pa.array(y)], schema=_PAIRS)
+        shared, compound = self.shared, self.layout == "compound"
 
-        return rows.groupBy("part").cogroup(self.shards.groupBy("part")).applyInArrow(run, "x long, y long")
+        def run(row: dict[str, np.ndarray], kind: np.ndarray, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
+            if not (kind == 0).any() or not (kind == 1).any():
+                return
+            dag, enc = _dag(row), _local if compound else (lambda v: v)
+            targets, s, e = enc(a[kind == 1]), a[kind == 0], b[kind == 0]
+            mine = stand = np.unique(e)
+            if shared is not None:
+                _, entries, reps = shared.value
+                mine = row["entries"]
+                stand = reps[np.searchsorted(entries, mine)]
+            # entries by the one that stands for them
+            by = np.argsort(stand, kind="stable")
+            mine, stand = mine[by], stand[by]
+            order = np.argsort(s, kind="stable")
+            s, e = s[order], e[order]
+            low, high = np.searchsorted(stand, e, "left"), np.searchsorted(stand, e, "right")
+            total = np.concatenate([[0], np.cumsum(high - low)])
+            lo = 0
+            while lo < len(s):
+                # whole sources, of some two million starts together
+                hi = int(np.searchsorted(total, total[lo] + (2 << 20), "right")) - 1
+                hi = int(np.searchsorted(s, s[min(max(hi, lo + 1), len(s)) - 1], "right"))
+                count = high[lo:hi] - low[lo:hi]
+                at = np.repeat(low[lo:hi] - (total[lo:hi] - total[lo]), count) + np.arange(count.sum())
+                for x, y in dag.reach_by_blocks(np.repeat(s[lo:hi], count), enc(mine[at]), targets):
+                    yield _out(0, x, y // 4 if compound else y)
+                lo = hi
+
+        return self._by_shard(rows, run).select(F.col("a").alias("s"), F.col("b").alias("y"))
 
     def _cross_by_joins(self, departed: DataFrame) -> DataFrame:
-        """(s, e): entries behind the exits reached, one join per step of the boundary graph."""
+        """(s, e): entries behind the exits (x, y) reached, one join per step of the boundary graph."""
         steps, self.steps = self.boundary, 0
-        front = departed.where("entry").select(F.col("x").alias("s"), (F.col("y") * 4 + 2).alias("n")).distinct()
+        front = departed.select(F.col("x").alias("s"), (F.col("y") * 4 + 2).alias("n")).distinct()
         seen = front = materialise(front, "front")
         while not front.isEmpty():
             after = front.join(steps, front["n"] == steps["src"]).select("s", F.col("dst").alias("n")).distinct()
@@ -320,6 +400,44 @@ class ReachIndex:
         return seen.where("pmod(n, 4) = 1").select("s", F.shiftright("n", 2).alias("e"))
 
 
+def _out(role: int, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), role, dtype=np.int32)), pa.array(a, type=pa.int64()), pa.array(b, type=pa.int64())], schema=_ROLES)
+
+
+def _homeward(dag: Dag, boundary: Dag, row: dict[str, np.ndarray], a: np.ndarray, comp: np.ndarray) -> Iterator[np.ndarray]:
+    """Those of the vertices, one per component of a shard, that come back to themselves over the boundary."""
+    at, gate = boundary.place(_exit(row["exits"]))
+    _, leave = dag.place(row["exits"][at])
+    at, door = boundary.place(_entry(row["entries"]))
+    _, enter = dag.place(row["entries"][at])
+    block = dag.block(len(boundary.cyclic))
+    for lo in range(0, len(a), block):
+        size, mine = min(block, len(a) - lo), comp[lo : lo + block]
+        rows = np.zeros((len(dag.cyclic), (size + 63) // 64), dtype=np.uint64)
+        set_bits(rows, mine, np.arange(size))
+        inner, rows = dag.spread(rows), np.zeros((len(boundary.cyclic), rows.shape[1]), dtype=np.uint64)
+        np.bitwise_or.at(rows, gate, inner[leave])
+        outer, rows = boundary.spread(rows), np.zeros_like(inner)
+        np.bitwise_or.at(rows, enter, outer[door])
+        rows = dag.spread(rows)
+        bit = np.arange(size)
+        yield a[lo : lo + size][(rows[mine, bit // 64] >> (bit % 64).astype(np.uint64)) & np.uint64(1) == 1]
+
+
+def _role(departed: DataFrame, role: int) -> DataFrame:
+    return departed.where(F.col("role") == role).select("a", "b")
+
+
+def _members(departed: DataFrame, role: int, name: str) -> DataFrame:
+    return _role(departed, role).toDF(name, "cls")
+
+
+def _spelled(found: DataFrame, members: DataFrame) -> DataFrame:
+    """(x, y): what classes reach (cls, y), for each member (x, cls)."""
+    n = 4 * found.sparkSession.sparkContext.defaultParallelism  # few rows may become very many, so none are put together
+    return found.repartition(n, "cls").join(members.repartition(n, "cls"), "cls").select("x", "y")
+
+
 @dataclass(frozen=True)
 class _Given:
     """Shards that another index has."""
@@ -341,12 +459,21 @@ def _shard_rows(inner: DataFrame, cut: DataFrame) -> DataFrame:
 
 
 def _shared(boundary: DataFrame, cut: DataFrame, max_boundary: int) -> object:
-    """Broadcast of the boundary's DAG, its entries and their vertices; None where it has too many edges."""
+    """Broadcast of the boundary's DAG, its entries and those that stand for them; None where it has too many edges.
+
+    The smallest entry stands for all of its shard that lie in one component of the boundary.
+    """
     if boundary.limit(max_boundary + 1).count() > max_boundary:
         return None
     got = boundary.toArrow()
-    entries = np.unique(_np(cut.select("t").distinct().toArrow()["t"]))
-    return boundary.sparkSession.sparkContext.broadcast((Dag.of(_np(got["src"]), _np(got["dst"]), _entry(entries)), entries))
+    homes = cut.select("t", "pt").distinct().toArrow()
+    entries, part = _np(homes["t"]), _np(homes["pt"])
+    by = np.argsort(entries)
+    entries, part = entries[by], part[by]
+    dag = Dag.of(_np(got["src"]), _np(got["dst"]), _entry(entries))
+    _, comp = dag.place(_entry(entries))
+    _, first, which = np.unique(np.stack([comp, part], axis=1), axis=0, return_index=True, return_inverse=True)
+    return boundary.sparkSession.sparkContext.broadcast((dag, entries, entries[first[which.ravel()]]))
 
 
 def choose_partitioner(edges: DataFrame, k: int, most_cut: float = 0.3, room: float = 1.5) -> object:
@@ -358,11 +485,11 @@ def choose_partitioner(edges: DataFrame, k: int, most_cut: float = 0.3, room: fl
     placed = edges.agg(F.count(F.lit(1)).alias("n"), F.sum((F.pmod("s", F.lit(k)) != F.pmod("t", F.lit(k))).cast("long")).alias("cut")).first()
     if not placed.n or placed.cut < most_cut * placed.n:
         return HashPartitioner(k)
-    parts = weak_components(edges)
+    parts = materialise(weak_components(edges), "labels")
     largest = parts.groupBy("label").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("most"), F.sum("n").alias("all")).first()
     if largest.most > room * largest["all"] / k:
         return HashPartitioner(k)
-    return _Given(materialise(parts.select("v", F.pmod(F.xxhash64("label"), F.lit(k)).cast("int").alias("part")), "parts"))
+    return _Given(materialise(parts.join(packed(parts, k), "label").select("v", "part"), "parts"))
 
 
 def _place(df: DataFrame, vertex: str, part: str, partitioner: object, parts: DataFrame | None) -> DataFrame:

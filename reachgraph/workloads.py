@@ -379,7 +379,7 @@ def on_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Vertices that reach themselves over an edge or more."""
     ix = index(spark, sf_dir, "hands_to")
     v = ix.edges.select(F.col("s").alias("v")).distinct()
-    return ix.set_reach(v, v, "+", plus="cycle").where("x = y").select(F.col("x").alias("v"))
+    return ix.on_cycles(v)
 
 
 @query(f"WITH RECURSIVE e(a, b) AS ({RULES['hands_to49']}), u AS (SELECT a, b FROM e UNION SELECT b, a FROM e), r(x, y) AS (SELECT a, b FROM u UNION SELECT r.x, u.b FROM r JOIN u ON r.y = u.a) SELECT x AS v, least(x, min(y)) AS label FROM r GROUP BY x")

@@ -149,3 +149,20 @@ def test_components_in_a_task_and_by_rounds(spark, world):
 
     _, e = world
     assert sorted(map(tuple, weak_components(e).collect())) == sorted(map(tuple, weak_components(e, task_edges=0).collect()))
+
+
+@pytest.mark.parametrize("options", [{}, {"layout": "compound"}, {"max_boundary": 0}], ids=["shared", "compound", "joins"])
+def test_on_cycles_finds_the_vertices_that_reach_themselves(spark, world, options):
+    edges, e = world
+    v = spark.createDataFrame([(x,) for x in {x for p in edges for x in p} | {9999}], "v long")
+    ix = ReachIndex.build(e, 3, **options)
+    assert {r.v for r in ix.on_cycles(v).collect()} == {x for x, y in search(edges) if x == y}
+
+
+def test_what_departs_is_named_by_classes(spark):
+    n = 300
+    ring = spark.createDataFrame([(i, (i + 1) % n) for i in range(n)], "s long, t long")
+    v = ring.selectExpr("s AS v")
+    for ix in (ReachIndex.build(ring, 1), ReachIndex.build(ring, 3)):
+        assert ix._depart(v, v).count() <= 5 * n  # and not one row per pair
+        assert ix.set_reach(v, v, "+", plus="cycle").count() == n * n
