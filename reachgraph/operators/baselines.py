@@ -93,15 +93,32 @@ def pairwise_reach(index: object, sources: list[int], targets: list[int], *, plu
     return spark.createDataFrame(found, "x long, y long")
 
 
-def unrolled_reach(edges: DataFrame, sources: DataFrame, targets: DataFrame, *, most: int, plus: str = "distinct") -> DataFrame:
-    """Pairs (x, y) over paths of 1 to ``most`` edges, each length a chain of joins written out."""
+def unrolled_reach(edges: DataFrame, sources: DataFrame, targets: DataFrame, *, most: int | None, plus: str = "distinct", unroll: int = 16) -> DataFrame:
+    """Pairs (x, y) over paths of 1 to ``most`` edges, each length a chain of joins written out.
+
+    Without ``most`` the chain is written ``unroll`` joins at a time, from the
+    pairs that the last join found new, until there are none.
+    """
     hops = edges.select(F.col("s").alias("m"), F.col("t").alias("y")).distinct()
     pairs = hops.join(sources.select(F.col("v").alias("m")).distinct(), "m", "left_semi").select(F.col("m").alias("x"), "y")
+    if most is not None:
+        return _ends(_chain(pairs, hops, most - 1).select("x", "y").distinct(), targets, plus)
+    hops = materialise(hops, "hops")
+    front = seen = materialise(pairs, "front")
+    while not front.isEmpty():
+        found = materialise(_chain(front, hops, unroll).select("x", "y").distinct(), "found")
+        front = materialise(found.join(seen, ["x", "y"], "left_anti"), "front")
+        seen = seen.union(front)
+    return _ends(seen, targets, plus)
+
+
+def _chain(pairs: DataFrame, hops: DataFrame, joins: int) -> DataFrame:
+    """Pairs, and those that up to ``joins`` further edges make of them."""
     every = pairs
-    for _ in range(most - 1):
+    for _ in range(joins):
         pairs = pairs.withColumnRenamed("y", "m").join(hops, "m").select("x", "y").distinct()
         every = every.union(pairs)
-    return _ends(every.distinct(), targets, plus)
+    return every
 
 
 def bounded_reach(edges: DataFrame, sources: DataFrame, targets: DataFrame, low: int, high: int) -> DataFrame:

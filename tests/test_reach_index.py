@@ -166,3 +166,12 @@ def test_what_departs_is_named_by_classes(spark):
     for ix in (ReachIndex.build(ring, 1), ReachIndex.build(ring, 3)):
         assert ix._depart(v, v).count() <= 5 * n  # and not one row per pair
         assert ix.set_reach(v, v, "+", plus="cycle").count() == n * n
+
+
+def test_unrolled_chains_reach_any_length(spark):
+    from reachgraph.operators.baselines import unrolled_reach
+
+    chain = spark.createDataFrame([(i, i + 1) for i in range(7)] + [(7, 3)], "s long, t long")
+    one = spark.createDataFrame([(0,)], "v long")
+    got = unrolled_reach(chain, one, chain.selectExpr("t AS v"), most=None, unroll=2)
+    assert sorted(r.y for r in got.collect()) == list(range(1, 8))
