@@ -134,8 +134,9 @@ def to_triples(spark: SparkSession, sf_dir: str, names: list[str]) -> DataFrame:
     df = None
     for name in names:
         one = props[name]().where("s is not null and o is not null").select("s", F.lit(ids[name]).alias("p"), "o")
+        one = one.distinct()  # properties differ in p, so repeats are within one
         df = one if df is None else df.union(one)
-    return df.distinct()
+    return df
 
 
 def dictionary(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> DataFrame:

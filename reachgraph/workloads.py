@@ -298,8 +298,9 @@ def _permutation(perm: str, where: str) -> None:
         from reachgraph.operators.permutations import IndexStore
         from reachgraph.session import shared_folder
 
+        # each permutation is written when first asked for, with all triples
         store = _kept(
-            spark, sf_dir, "store", make=lambda: IndexStore(spark, f"{shared_folder(spark)}/perms-{abs(hash((sf_dir, spark.sparkContext.applicationId)))}", 4).write(_triples(spark, sf_dir), ("SPO", "SOP", "PSO", "OSP", "OPS", "POS"))
+            spark, sf_dir, "store", perm, make=lambda: IndexStore(spark, f"{shared_folder(spark)}/perms-{abs(hash((sf_dir, spark.sparkContext.applicationId)))}", 4).write(_triples(spark, sf_dir), (perm,))
         )
         given = dict(part.split(" = ") for part in where.split(" AND "))
         return store.scan(perm, **{k: int(v) for k, v in given.items()})
