@@ -70,13 +70,25 @@ class ReachStat:
     high: float
 
 
-def reach_selectivity(index: object, side: int = 100, seed: int = 7) -> ReachStat:
-    """Share of reachable pairs among ``side`` random sources times ``side`` random targets, asked as one set query."""
+#: Pairs of a sample under which its share says little.
+_FEW_HITS = 10
+
+
+def reach_selectivity(index: object, side: int = 100, seed: int = 7, sources: DataFrame | None = None, targets: DataFrame | None = None) -> ReachStat:
+    """Share of reachable pairs among ``side`` random sources times ``side`` random targets, asked as one set query.
+
+    Ends are picked from ``sources(v)`` and ``targets(v)``, else from all
+    vertices of the property. Where few pairs are met, the sources are held
+    against all targets.
+    """
     v = index.edges.select(F.col("s").alias("v")).union(index.edges.select("t")).distinct()
-    pick = lambda salt: v.orderBy(F.xxhash64("v", F.lit(salt)), "v").limit(side)
-    sources, targets = pick(seed), pick(seed + 1)
-    n = sources.count() * targets.count()
-    hits = index.set_reach(sources, targets, "+", plus="cycle").count()
+    pick = lambda df, salt: df.select("v").distinct().orderBy(F.xxhash64("v", F.lit(salt)), "v").limit(side)
+    sources, every = pick(v if sources is None else sources, seed), v if targets is None else targets.select("v").distinct()
+    targets = pick(every, seed + 1)
+    ask = lambda to: (sources.count() * to.count(), index.set_reach(sources, to, "+", plus="cycle").count())
+    n, hits = ask(targets)
+    if n and hits < _FEW_HITS:
+        n, hits = ask(every)
     low, high = wilson(hits, n)
     return ReachStat(n, hits, max(hits / n if n else 0.0, 1 / (2 * max(1, n))), low, high)
 
@@ -113,7 +125,7 @@ class Catalog:
     n_subjects: dict[str, int] = field(default_factory=dict)
     n_objects: dict[str, int] = field(default_factory=dict)
     join_sel: dict[tuple[str, str, str], float] = field(default_factory=dict)
-    reach_sel: dict[str, float] = field(default_factory=dict)
+    reach_sel: dict[str | tuple[str, str, str], float] = field(default_factory=dict)  # property, or property and what its ends are bound to
     key_rows: dict[tuple[str, str, str], int] = field(default_factory=dict)  # property, end, constant
 
     def edges(self, p: str) -> int:
@@ -127,8 +139,8 @@ class Catalog:
             return max(sel, 1e-12)
         return 1 / max(1, min(self.vertices(p), self.vertices(q)))
 
-    def reach(self, p: str) -> float:
-        return self.reach_sel.get(p, 0.05)
+    def reach(self, p: str, ends: tuple[str, str] = ("", "")) -> float:
+        return self.reach_sel.get((p, *ends), self.reach_sel.get(p, 0.05))
 
     def save(self, spark: SparkSession, path: str) -> None:
         """Write the catalog to a folder that all sessions share."""
