@@ -18,6 +18,9 @@ BLOCK_BYTES = 32 << 20
 #: Pairs that are unpacked from bit rows at a time.
 CHUNK = 2 << 20
 
+#: Sources that walk together, and pairs of source and component that they may reach; beyond, bit rows take over.
+WALK, WALK_PAIRS = 1 << 16, 1 << 20
+
 
 def set_bits(rows: np.ndarray, row: np.ndarray, bit: np.ndarray) -> None:
     """Set bits of bit rows, in place."""
@@ -127,6 +130,25 @@ def _walk(n: int, src: np.ndarray, dst: np.ndarray) -> np.ndarray:
     return np.array(comp, dtype=np.int64)
 
 
+def meet(who: np.ndarray, comp: np.ndarray, at: np.ndarray, value: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(who, value) of all values whose component ``at``, ascending, is that of who; about ``CHUNK`` pairs at a time."""
+    low, high = np.searchsorted(at, comp, "left"), np.searchsorted(at, comp, "right")
+    total = np.concatenate([[0], np.cumsum(high - low)])
+    lo = 0
+    while lo < len(who):
+        hi = max(lo + 1, int(np.searchsorted(total, total[lo] + CHUNK, "right")) - 1)
+        count = high[lo:hi] - low[lo:hi]
+        yield np.repeat(who[lo:hi], count), value[np.repeat(low[lo:hi] - (total[lo:hi] - total[lo]), count) + np.arange(count.sum())]
+        lo = hi
+
+
+def joined(who: np.ndarray, comp: np.ndarray, at: np.ndarray, value: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All that ``meet`` finds; ``at`` need not be in order."""
+    by = np.argsort(at, kind="stable")
+    got = list(meet(who, comp, at[by], value[by]))
+    return tuple(np.concatenate(side) for side in zip(*got, strict=True)) if got else (who[:0], value[:0])
+
+
 @dataclass
 class Dag:
     """Condensed graph: vertices in ascending order, their components, DAG edges ordered for propagation."""
@@ -148,13 +170,14 @@ class Dag:
         cyclic = np.bincount(comp, minlength=n) > 1 if n else np.zeros(0, dtype=bool)
         cyclic[comp[s[s == d]]] = True
         cs, cd = comp[s], comp[d]
-        pairs = np.unique(np.stack([cs[cs != cd], cd[cs != cd]], axis=1), axis=0) if len(cs) else np.empty((0, 2), dtype=np.int64)
+        pairs = np.unique(cs[cs != cd] * max(1, n) + cd[cs != cd])  # one number each, which takes far less room to sort than rows
+        cs, cd = pairs // max(1, n), pairs % max(1, n)
         depth = np.zeros(n, dtype=np.int64)
-        for i, layer in enumerate(_peel(n, pairs[:, 0], pairs[:, 1], np.ones(n, dtype=bool))):
+        for i, layer in enumerate(_peel(n, cs, cd, np.ones(n, dtype=bool))):
             depth[layer] = i
-        level = depth[pairs[:, 0]]
-        order = np.lexsort((pairs[:, 1], level))
-        return cls(verts, comp, cyclic, pairs[order, 0], pairs[order, 1], level[order])
+        level = depth[cs]
+        order = np.lexsort((cd, level))
+        return cls(verts, comp, cyclic, cs[order], cd[order], level[order])
 
     def place(self, vertices: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(which of the vertices are in the graph, their components)."""
@@ -175,6 +198,33 @@ class Dag:
             rows[dst[starts]] |= np.bitwise_or.reduceat(rows[self.src[a:b]], starts, axis=0)
         return rows
 
+    def walk(self, number: np.ndarray, start: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray] | None:
+        """Distinct (number, component) reached from components ``start[i]`` by number ``number[i]``, themselves included; None beyond ``most`` pairs.
+
+        Costs what is reached, not sources times components, so it is the way
+        for graphs in which little is reached.
+        """
+        n = np.int64(max(1, len(self.cyclic)))
+        if not hasattr(self, "_out"):
+            by = np.argsort(self.src, kind="stable")
+            self._out = self.dst[by], np.searchsorted(self.src[by], np.arange(n + 1))
+        to, offsets = self._out
+        seen = front = np.unique(number * n + start)
+        while len(front):
+            i, c = front // n, front % n
+            low, count = offsets[c], offsets[c + 1] - offsets[c]
+            total = int(count.sum())
+            if total > 4 * most:
+                return None
+            step = np.arange(total) - np.repeat(np.cumsum(count) - count, count)
+            after = np.unique(np.repeat(i, count) * n + to[np.repeat(low, count) + step])
+            at = np.minimum(np.searchsorted(seen, after), len(seen) - 1)
+            front = after[seen[at] != after]
+            if len(seen) + len(front) > most:
+                return None
+            seen = np.insert(seen, np.searchsorted(seen, front), front)
+        return seen // n, seen % n
+
     def reach(self, sources: np.ndarray, starts: np.ndarray, targets: np.ndarray, empty_path: bool = True) -> tuple[np.ndarray, np.ndarray]:
         """Distinct (source, target) such that a path leads from one of the source's starts to the target.
 
@@ -195,9 +245,32 @@ class Dag:
         ends = targets[ends]
         own = np.stack([sources[known], starts[known]], axis=1)
         block = self.block()
-        for lo in range(0, len(names), block):
-            size = min(block, len(names) - lo)
-            mine = (number >= lo) & (number < lo + size)
+        by = np.argsort(number, kind="stable")
+        number, comp, own = number[by], comp[by], own[by]
+        by = np.argsort(end_comp, kind="stable")
+        ends, end_comp = ends[by], end_comp[by]
+        wide, lo, sparse = WALK, 0, True
+        while lo < len(names):
+            # as many sources as are worth a walk, else a block of bit rows
+            size = min(wide, len(names) - lo)
+            mine = slice(*np.searchsorted(number, [lo, lo + size]))
+            walked = self.walk(number[mine], comp[mine], WALK_PAIRS) if sparse else None
+            if walked is None and size > block:
+                wide = max(block, size // 4)
+                continue
+            sparse = walked is not None
+            if sparse:
+                for s, t in meet(*walked, end_comp, ends):
+                    s = names[s]
+                    if not empty_path:
+                        self_hit = self._alone(s, t, own, comp)
+                        s, t = s[~self_hit], t[~self_hit]
+                    if len(s):
+                        yield s, t
+                lo += size
+                continue
+            size = min(block, size)
+            mine = slice(*np.searchsorted(number, [lo, lo + size]))
             rows = np.zeros((len(self.cyclic), (size + 63) // 64), dtype=np.uint64)
             set_bits(rows, comp[mine], number[mine] - lo)
             rows = self.spread(rows)
@@ -213,6 +286,7 @@ class Dag:
                     self_hit = self._alone(s, t, own, comp)
                     s, t = s[~self_hit], t[~self_hit]
                 yield s, t
+            lo += size
 
     def block(self, more: int = 0) -> int:
         """Sources whose bit rows over this graph and ``more`` rows are made at a time."""

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from reachgraph.functions.kernels import Dag, equal_columns, set_bits
+from reachgraph.functions.kernels import WALK, WALK_PAIRS, Dag, equal_columns, joined, set_bits
 from reachgraph.operators.partition import HashPartitioner, packed, weak_components
 from reachgraph.session import materialise
 
@@ -92,8 +92,8 @@ def _crossings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("part", pa.int32()), ("entry", pa.int64()), ("exit", pa.int64())])
     for batch in batches:
         for row in _rows(batch):
-            s, t = _dag(row).reach(row["entries"], row["entries"], row["exits"])
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), row["part"]), type=pa.int32()), pa.array(s), pa.array(t)], schema=schema)
+            for s, t in _dag(row).reach_by_blocks(row["entries"], row["entries"], row["exits"]):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), row["part"]), type=pa.int32()), pa.array(s), pa.array(t)], schema=schema)
 
 
 @dataclass
@@ -143,9 +143,10 @@ class ReachIndex:
         placed = materialise(placed, "placed")
         cut = placed.where("ps <> pt")
         rows = _shard_rows(placed.where("ps = pt"), cut)
+        rows = _apart(rows, k)
         shards = materialise(rows.groupBy("part").applyInArrow(_build(None), _SHARD), "shards")
-        crossings = materialise(shards.mapInArrow(_crossings, "part int, entry long, exit long"), "crossings")
-        boundary = materialise(_compressed(crossings, cut) if compress else _plain(crossings, cut), "boundary")
+        crossings = materialise(_apart(shards, k).mapInArrow(_crossings, "part int, entry long, exit long"), "crossings")
+        boundary = _boundary(crossings, cut, compress)
         shared = _shared(boundary, cut, max_boundary)
         if layout == "compound":
             if shared is None:
@@ -198,7 +199,7 @@ class ReachIndex:
         crossed = new.mapInArrow(_crossings, "part int, entry long, exit long")
         shards = self.shards.join(held, "part", "left_anti").unionByName(new)
         crossings = materialise(self.crossings.join(held, "part", "left_anti").unionByName(crossed), "crossings")
-        boundary = materialise(_compressed(crossings, cut), "boundary")
+        boundary = _boundary(crossings, cut)
         return ReachIndex(edges, self.partitioner, parts, cut, shards, crossings, boundary, "shared", _shared(boundary, cut, self.max_boundary), self.max_boundary)
 
     def backward(self) -> ReachIndex:
@@ -289,7 +290,8 @@ class ReachIndex:
             made = run(next(_rows(right)), *(_np(left[c]) for c in ("kind", "a", "b"))) if left.num_rows and right.num_rows else ()
             return pa.Table.from_batches(list(made), schema=_ROLES)
 
-        return ends.groupBy("part").cogroup(self.shards.groupBy("part")).applyInArrow(both, "role int, a long, b long")
+        k = getattr(self.partitioner, "k", 8)
+        return _apart(ends, k).groupBy("part").cogroup(_apart(self.shards, k).groupBy("part")).applyInArrow(both, "role int, a long, b long")
 
     def _depart(self, sources: DataFrame, targets: DataFrame | None) -> DataFrame:
         """(role, a, b): classes of the sources, what they reach in their shard, and the entries that they reach elsewhere.
@@ -328,22 +330,39 @@ class ReachIndex:
                 _, leave = dag.place(row["exits"][at])
                 over, more = boundary, len(boundary.cyclic)
             _, start = dag.place(names)
-            block, cls = dag.block(more), np.empty(len(names), dtype=np.int64)
-            for lo in range(0, len(names), block):
-                size = min(block, len(names) - lo)
-                rows = np.zeros((len(dag.cyclic), (size + 63) // 64), dtype=np.uint64)
-                set_bits(rows, start[lo : lo + size], np.arange(size))
-                rows = dag.spread(rows)
-                if over is boundary:
-                    inner, rows = rows, np.zeros((len(boundary.cyclic), rows.shape[1]), dtype=np.uint64)
-                    np.bitwise_or.at(rows, gate, inner[leave])
-                    rows = boundary.spread(rows)
-                first = equal_columns(rows[end], size)
+            cls = np.empty(len(names), dtype=np.int64)
+
+            def lead(lo: int, size: int) -> tuple[np.ndarray, np.ndarray] | None:
+                walked = dag.walk(np.arange(size), start[lo : lo + size], WALK_PAIRS)
+                if walked is not None and over is boundary:
+                    walked = boundary.walk(*joined(*walked, leave, gate), WALK_PAIRS)
+                return None if walked is None else joined(*walked, end, reps)
+
+            lo, wide, block, sparse = 0, WALK, dag.block(more), True
+            while lo < len(names):
+                size = min(wide, len(names) - lo)
+                led = lead(lo, size) if sparse else None
+                if led is None and size > block:
+                    wide = max(block, size // 4)
+                    continue
+                sparse = led is not None
+                if sparse:
+                    first, who, met = _equal_sets(*led, size)
+                    yield _out(_FAR, back(names[lo + who]), met)
+                else:
+                    rows = np.zeros((len(dag.cyclic), (size + 63) // 64), dtype=np.uint64)
+                    set_bits(rows, start[lo : lo + size], np.arange(size))
+                    rows = dag.spread(rows)
+                    if over is boundary:
+                        inner, rows = rows, np.zeros((len(boundary.cyclic), rows.shape[1]), dtype=np.uint64)
+                        np.bitwise_or.at(rows, gate, inner[leave])
+                        rows = boundary.spread(rows)
+                    first = equal_columns(rows[end], size)
+                    for bit in np.flatnonzero(first == np.arange(size)):
+                        met = reps[(rows[end, bit // 64] >> np.uint64(bit % 64)) & np.uint64(1) == 1]
+                        yield _out(_FAR, np.full(len(met), back(names[lo + bit])), met)
                 cls[lo : lo + size] = np.where(first >= 0, lo + first, -1)
-                keep = np.flatnonzero(first == np.arange(size))
-                for bit in keep:
-                    met = reps[(rows[end, bit // 64] >> np.uint64(bit % 64)) & np.uint64(1) == 1]
-                    yield _out(_FAR, np.full(len(met), back(names[lo + bit])), met)
+                lo += size
             far = cls[number]
             yield _out(_FAR_MEMBER, back(members[far >= 0]), back(names[far[far >= 0]]))
 
@@ -400,19 +419,48 @@ class ReachIndex:
         return seen.where("pmod(n, 4) = 1").select("s", F.shiftright("n", 2).alias("e"))
 
 
+def _apart(df: DataFrame, k: int) -> DataFrame:
+    """Rows by shard, in so many tasks that few shards share one: they are few bytes and much work, which adaptive plans put together."""
+    return df.repartition(3 * max(8, k), "part")
+
+
 def _out(role: int, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), role, dtype=np.int32)), pa.array(a, type=pa.int64()), pa.array(b, type=pa.int64())], schema=_ROLES)
 
 
+def _equal_sets(who: np.ndarray, met: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first, who, met): for each of ``size`` sources the first that meets the same, -1 where it meets none; the pairs of those that are first."""
+    by = np.lexsort((met, who))
+    who, met = who[by], met[by]
+    first, known = np.full(size, -1, dtype=np.int64), {}
+    ends = np.searchsorted(who, np.arange(size + 1))
+    for i in np.flatnonzero(np.diff(ends)):
+        first[i] = known.setdefault(met[ends[i] : ends[i + 1]].tobytes(), i)
+    mine = first[who] == who
+    return first, who[mine], met[mine]
+
+
 def _homeward(dag: Dag, boundary: Dag, row: dict[str, np.ndarray], a: np.ndarray, comp: np.ndarray) -> Iterator[np.ndarray]:
     """Those of the vertices, one per component of a shard, that come back to themselves over the boundary."""
     at, gate = boundary.place(_exit(row["exits"]))
     _, leave = dag.place(row["exits"][at])
     at, door = boundary.place(_entry(row["entries"]))
     _, enter = dag.place(row["entries"][at])
-    block = dag.block(len(boundary.cyclic))
-    for lo in range(0, len(a), block):
-        size, mine = min(block, len(a) - lo), comp[lo : lo + block]
+    lo, wide, block, sparse = 0, WALK, dag.block(len(boundary.cyclic)), True
+    while lo < len(a):
+        size = min(wide, len(a) - lo)
+        mine = comp[lo : lo + size]
+        walked = dag.walk(np.arange(size), mine, WALK_PAIRS) if sparse else None
+        walked = walked and boundary.walk(*joined(*walked, leave, gate), WALK_PAIRS)
+        walked = walked and dag.walk(*joined(*walked, door, enter), WALK_PAIRS)
+        if walked is None and size > block:
+            wide = max(block, size // 4)
+            continue
+        lo, sparse = lo + size, walked is not None
+        if sparse:
+            who, there = walked
+            yield a[lo - size : lo][who[there == mine[who]]]
+            continue
         rows = np.zeros((len(dag.cyclic), (size + 63) // 64), dtype=np.uint64)
         set_bits(rows, mine, np.arange(size))
         inner, rows = dag.spread(rows), np.zeros((len(boundary.cyclic), rows.shape[1]), dtype=np.uint64)
@@ -421,7 +469,7 @@ def _homeward(dag: Dag, boundary: Dag, row: dict[str, np.ndarray], a: np.ndarray
         np.bitwise_or.at(rows, enter, outer[door])
         rows = dag.spread(rows)
         bit = np.arange(size)
-        yield a[lo : lo + size][(rows[mine, bit // 64] >> (bit % 64).astype(np.uint64)) & np.uint64(1) == 1]
+        yield a[lo - size : lo][(rows[mine, bit // 64] >> (bit % 64).astype(np.uint64)) & np.uint64(1) == 1]
 
 
 def _role(departed: DataFrame, role: int) -> DataFrame:
@@ -507,6 +555,15 @@ def _plain(crossings: DataFrame, cut: DataFrame) -> DataFrame:
     return crossings.select((F.col("entry") * 4 + 1).alias("src"), (F.col("exit") * 4 + 2).alias("dst")).union(_cut_steps(cut)).distinct()
 
 
+def _boundary(crossings: DataFrame, cut: DataFrame, compress: bool = True) -> DataFrame:
+    """Boundary graph over classes where that has fewer edges, else the plain one."""
+    plain = materialise(_plain(crossings, cut), "boundary")
+    if not compress:
+        return plain
+    small = materialise(_compressed(crossings, cut), "boundary")
+    return small if small.count() < plain.count() else plain
+
+
 def classes(crossings: DataFrame) -> tuple[DataFrame, DataFrame]:
     """((part, entry, cls), (part, exit, cls)): members with equal partner sets share a class."""
     ins = crossings.groupBy("part", "entry").agg(F.sort_array(F.collect_set("exit")).alias("to"))

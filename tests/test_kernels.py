@@ -1,7 +1,9 @@
 import random
 
 import numpy as np
+import pytest
 
+from reachgraph.functions import kernels
 from reachgraph.functions.kernels import Dag, components
 
 
@@ -42,3 +44,14 @@ def test_empty_graph():
     none = np.empty(0, dtype=np.int64)
     x, y = Dag.of(none, none).reach(none, none, none)
     assert len(x) == len(y) == 0
+
+
+def test_sparse_graphs_are_walked_without_bit_rows(monkeypatch):
+    rng = np.random.default_rng(5)
+    dag = Dag.of(rng.integers(0, 3000, 2000), rng.integers(0, 3000, 2000))
+    ask = lambda: set(zip(*(side.tolist() for side in dag.reach(dag.verts, dag.verts, dag.verts, empty_path=False)), strict=True))
+    monkeypatch.setattr(kernels, "WALK_PAIRS", 0)
+    by_rows = ask()
+    monkeypatch.setattr(kernels, "WALK_PAIRS", 1 << 20)
+    monkeypatch.setattr(Dag, "spread", lambda *_: pytest.fail("bit rows"))
+    assert ask() == by_rows and len(by_rows) > 2000

@@ -175,3 +175,13 @@ def test_unrolled_chains_reach_any_length(spark):
     one = spark.createDataFrame([(0,)], "v long")
     got = unrolled_reach(chain, one, chain.selectExpr("t AS v"), most=None, unroll=2)
     assert sorted(r.y for r in got.collect()) == list(range(1, 8))
+
+
+def test_boundary_is_the_smaller_of_plain_and_compressed(spark):
+    rng = random.Random(4)
+    edges = {(rng.randrange(400), rng.randrange(400)) for _ in range(350)}
+    df = spark.createDataFrame([(a, b) for a, b in edges if a != b], "s long, t long")
+    small, plain = ReachIndex.build(df, 4), ReachIndex.build(df, 4, compress=False)
+    assert small.boundary.count() <= plain.boundary.count()
+    v = df.selectExpr("s AS v").union(df.selectExpr("t")).distinct()
+    assert set(map(tuple, small.set_reach(v, v, "+", plus="cycle").collect())) == search([(a, b) for a, b in edges if a != b])
