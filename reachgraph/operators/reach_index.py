@@ -242,26 +242,18 @@ class ReachIndex:
             return pairs.select(F.col("y").alias("x"), F.col("x").alias("y"))
         sources, targets = sources.select("v").where("v is not null").distinct(), targets.select("v").where("v is not null").distinct()
         if kind == "?":
-            near = self.edges.join(sources.withColumnRenamed("v", "s"), "s", "left_semi").join(targets.withColumnRenamed("v", "t"), "t", "left_semi")
-            return near.select(F.col("s").alias("x"), F.col("t").alias("y")).union(self._same(sources, targets, zero_scope)).distinct()
+            return one_step(self.edges, sources, targets, zero_scope)
         out = self._depart(sources, targets)
         pairs = _spelled(_role(out, _NEAR).toDF("cls", "y"), _members(out, _NEAR_MEMBER, "x"))
         crossed = not self.cut.isEmpty()
         if crossed:
             pairs = pairs.union(_spelled(self._arrive(self._letters(out), targets).toDF("cls", "y"), _members(out, _FAR_MEMBER, "x")))
         if kind == "*":
-            pairs = pairs.union(self._same(sources, targets, zero_scope))
+            pairs = pairs.union(same(self.edges, sources, targets, zero_scope))
         elif plus == "distinct":
             pairs = pairs.where("x <> y")
         return pairs.distinct() if crossed or kind == "*" else pairs  # within one shard a pair is found once
 
-    def _same(self, sources: DataFrame, targets: DataFrame, zero_scope: str) -> DataFrame:
-        both = sources.join(targets, "v", "left_semi")
-        if zero_scope == "vertices":
-            known = self.edges.select(F.col("s").alias("v")).union(self.edges.select("t")).distinct()
-            both = both.join(known, "v", "left_semi")
-        return both.select(F.col("v").alias("x"), F.col("v").alias("y"))
-
     def on_cycles(self, vertices: DataFrame) -> DataFrame:
         """(v): those of ``vertices(v)`` that reach themselves over an edge or more; each is followed home in its own shard's task."""
         ends = self.place(vertices.select("v").where("v is not null").distinct(), "v", "part").select("part", F.lit(0).alias("kind"), F.col("v").alias("a"), F.col("v").alias("b"))
@@ -419,6 +411,21 @@ class ReachIndex:
         return seen.where("pmod(n, 4) = 1").select("s", F.shiftright("n", 2).alias("e"))
 
 
+def same(edges: DataFrame, sources: DataFrame, targets: DataFrame, zero_scope: str) -> DataFrame:
+    """(x, y): sources that are targets, with themselves; with ``zero_scope="vertices"`` only vertices of the edges."""
+    both = sources.select("v").where("v is not null").distinct().join(targets, "v", "left_semi")
+    if zero_scope == "vertices":
+        known = edges.select(F.col("s").alias("v")).union(edges.select("t")).distinct()
+        both = both.join(known, "v", "left_semi")
+    return both.select(F.col("v").alias("x"), F.col("v").alias("y"))
+
+
+def one_step(edges: DataFrame, sources: DataFrame, targets: DataFrame, zero_scope: str) -> DataFrame:
+    """(x, y): pairs over one edge or none."""
+    near = edges.join(sources.withColumnRenamed("v", "s"), "s", "left_semi").join(targets.withColumnRenamed("v", "t"), "t", "left_semi")
+    return near.select(F.col("s").alias("x"), F.col("t").alias("y")).union(same(edges, sources, targets, zero_scope)).distinct()
+
+
 def _apart(df: DataFrame, k: int) -> DataFrame:
     """Rows by shard, in so many tasks that few shards share one: they are few bytes and much work, which adaptive plans put together."""
     return df.repartition(3 * max(8, k), "part")

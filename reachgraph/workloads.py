@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from reachgraph.functions.ids import BASE, KINDS, literal_number, term_key
 from reachgraph.operators import baselines
+from reachgraph.operators.condensed import CondensedIndex
 from reachgraph.operators.partition import HashPartitioner, LocalityPartitioner, RangePartitioner, weak_components
 from reachgraph.operators.permutations import shard_triples
 from reachgraph.operators.reach_index import ReachIndex, classes
@@ -68,6 +69,13 @@ def index(spark: SparkSession, sf_dir: str, name: str, **options: object) -> Rea
     return _kept(spark, sf_dir, name, *map(str, sorted(options.items(), key=str)), make=lambda: ReachIndex.build(edges(spark, sf_dir, name), options.pop("k", None), **options))
 
 
+def tied(spark: SparkSession, sf_dir: str, name: str, **options: object) -> CondensedIndex | ReachIndex:
+    """The same with the graph's cycles tied up first, unless shards are given."""
+    if {"k", "partitioner"} & options.keys():
+        return index(spark, sf_dir, name, **options)
+    return _kept(spark, sf_dir, name, "tied", *map(str, sorted(options.items(), key=str)), make=lambda: CondensedIndex.build(edges(spark, sf_dir, name), **options))
+
+
 def match(spark: SparkSession, sf_dir: str, text: str, keep: str = "") -> DataFrame:
     """Run a query text and strip the kinds off its bindings."""
     df = graph(spark, sf_dir).match(text)
@@ -237,7 +245,7 @@ def _ladder(name: str) -> None:
             ends = v, v
         else:
             ends = _ends(spark, sf_dir)
-        return index(spark, sf_dir, name).set_reach(*ends, "+")
+        return tied(spark, sf_dir, name).set_reach(*ends, "+")
 
 
 for _name in ("hands_to49", "hands_to48", "hands_to", "relays"):
@@ -378,7 +386,7 @@ def scc(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(_SCC + "SELECT x AS v FROM r WHERE x = y")
 def on_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Vertices that reach themselves over an edge or more."""
-    ix = index(spark, sf_dir, "hands_to")
+    ix = tied(spark, sf_dir, "hands_to")
     v = ix.edges.select(F.col("s").alias("v")).distinct()
     return ix.on_cycles(v)
 
@@ -400,7 +408,7 @@ def _reach_variant(name: str, **options: object) -> None:
     @query(_PLUS, name)
     def reach(spark: SparkSession, sf_dir: str) -> DataFrame:
         made = {k: v() if callable(v) else v for k, v in options.items()}
-        return index(spark, sf_dir, "hands_to48", **made).set_reach(*_ends(spark, sf_dir), "+")
+        return tied(spark, sf_dir, "hands_to48", **made).set_reach(*_ends(spark, sf_dir), "+")
 
 
 for _key, _options in {
@@ -414,13 +422,13 @@ for _key, _options in {
 def reach_star(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Zero or more edges, from a set to itself."""
     s, _ = _ends(spark, sf_dir)
-    return index(spark, sf_dir, "hands_to48").set_reach(s, s, "*")
+    return tied(spark, sf_dir, "hands_to48").set_reach(s, s, "*")
 
 
 @query(walk("relays", "SELECT a, b FROM e") + "SELECT x, y FROM r")
 def reach_plus_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One edge or more, cycles included."""
-    ix = index(spark, sf_dir, "relays")
+    ix = tied(spark, sf_dir, "relays")
     v = ix.edges.select(F.col("s").alias("v")).union(ix.edges.select("t")).distinct()
     return ix.set_reach(v, v, "+", plus="cycle")
 
@@ -429,7 +437,7 @@ def reach_plus_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
 def reach_opt(spark: SparkSession, sf_dir: str) -> DataFrame:
     """No edge or one."""
     s, _ = _ends(spark, sf_dir)
-    return index(spark, sf_dir, "hands_to48").set_reach(s, s, "?")
+    return tied(spark, sf_dir, "hands_to48").set_reach(s, s, "?")
 
 
 @query(walk("hands_to48", _FROM) + "SELECT y AS x, x AS y FROM r" + _TO + " WHERE x <> y")
@@ -501,7 +509,7 @@ def drj_two_preds(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(walk("hands_to48", "SELECT a, b FROM e WHERE a IN (SELECT p_partkey FROM part WHERE p_type = 'ECONOMY')") + "SELECT x FROM r WHERE y = (SELECT min(b) FROM e) AND x <> y")
 def drj_constant(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A constant target, the smallest that has an edge into it."""
-    least = index(spark, sf_dir, "hands_to48").edges.agg(F.min("t")).first()[0]
+    least = edges(spark, sf_dir, "hands_to48").agg(F.min("t")).first()[0]
     return match(spark, sf_dir, f'SELECT ?x WHERE {{ ?x type "ECONOMY" . ?x hands_to48+ part/{least} }}')
 
 
@@ -554,7 +562,7 @@ def sel_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(walk("relays") + ", v AS (SELECT a FROM e UNION SELECT b FROM e) SELECT round((SELECT count(*) FROM r) / ((SELECT count(*) FROM v) * (SELECT count(*) FROM v)), 9) AS sel")
 def sel_reach_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Reachability selectivity of one property, exactly."""
-    ix = index(spark, sf_dir, "relays")
+    ix = tied(spark, sf_dir, "relays")
     v = ix.edges.select(F.col("s").alias("v")).union(ix.edges.select("t")).distinct()
     sel = statistics.reach_selectivity_exact(ix.set_reach(v, v, "+", plus="cycle"), ix.edges)
     return spark.createDataFrame([(round(sel, 9),)], "sel double")
@@ -563,7 +571,7 @@ def sel_reach_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def sel_reach_sampled(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Reachability selectivities from samples, with their intervals."""
-    rows = [(n, s.samples, s.hits, s.sel, s.low, s.high) for n in ("hands_to49", "hands_to", "relays") for s in (statistics.reach_selectivity(index(spark, sf_dir, n)),)]
+    rows = [(n, s.samples, s.hits, s.sel, s.low, s.high) for n in ("hands_to49", "hands_to", "relays") for s in (statistics.reach_selectivity(tied(spark, sf_dir, n)),)]
     return spark.createDataFrame(rows, "graph string, samples long, hits long, sel double, low double, high double")
 
 
