@@ -93,12 +93,12 @@ NEAR_SQL = (
 )
 
 
-def near_edges(spark: SparkSession, sf_dir: str, neighbours: int = 3, block: int = 2048) -> DataFrame:
+def near_edges(spark: SparkSession, sf_dir: str, neighbours: int = 3, block: int = 8192) -> DataFrame:
     """Edges (s, t) from each vector to its nearest by cosine, ties to the smaller id.
 
     Every vector is asked for. ``block`` of them at a time go to the executors
-    as one matrix and pass over all vectors, batch by batch; a task keeps the
-    best of each batch alone, and the best of these are picked in the end.
+    as one matrix and pass over all vectors, a slice at a time; a task keeps the
+    best it has met so far alone, and the best of these are picked in the end.
     """
     v = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", F.col("embedding").cast("array<double>").alias("e")).where("e is not null")
     blocks = max(1, -(-v.count() // block))
@@ -118,23 +118,48 @@ def near_edges(spark: SparkSession, sf_dir: str, neighbours: int = 3, block: int
     return found.withColumn("r", F.row_number().over(best)).where(F.col("r") <= neighbours).select("s", "t")
 
 
+#: Likenesses that a task holds at a time.
+CELLS = 1 << 20
+
+
 def _nearest(ids: np.ndarray, matrix: np.ndarray, neighbours: int):
     schema = pa.schema([("s", pa.int64()), ("t", pa.int64()), ("likeness", pa.float64())])
+    # a product of matrices is this near to the sums in order, rounding to 12 digits included
+    slack = 2e-12 + 1e-12 * np.sqrt(np.nan_to_num((matrix * matrix).sum(axis=1)))
+    step = max(1, CELLS // max(1, len(ids)))
+
+    def better(best: tuple[np.ndarray, ...], others: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, ...]:
+        who, there, likeness = best
+        size = np.zeros(len(others))
+        for d in range(matrix.shape[1]):  # summed in the order of the dimensions, as the definition does
+            size += rows[:, d] * rows[:, d]
+        about = (matrix @ rows.T) / np.sqrt(size)
+        about[~np.isfinite(about) | (ids[:, None] == others[None, :])] = -np.inf
+        least = np.full(len(ids), -np.inf)
+        full = np.flatnonzero(np.bincount(who, minlength=len(ids)) >= neighbours)
+        least[full] = likeness[np.searchsorted(who, full, "right") - 1]  # the last of each is its least
+        if len(others) > neighbours:
+            least = np.maximum(least, np.partition(about, -neighbours, axis=1)[:, -neighbours])
+        i, j = np.nonzero((about >= (least - slack)[:, None]) & (about > -np.inf))
+        dot = np.zeros(len(i))
+        for d in range(matrix.shape[1]):
+            dot += matrix[i, d] * rows[j, d]
+        who, there = np.concatenate([who, i]), np.concatenate([there, others[j]])
+        likeness = np.concatenate([likeness, np.round(dot / np.sqrt(size[j]), 12)])
+        by = np.lexsort((there, -likeness, who))
+        who, there, likeness = who[by], there[by], likeness[by]
+        few = np.arange(len(who)) - np.searchsorted(who, who) < neighbours
+        return who[few], there[few], likeness[few]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            others, rows = batch.column("vec_id").to_numpy(), np.array(batch.column("e").to_pylist(), dtype=np.float64)
-            dot, size = np.zeros((len(ids), len(others))), np.zeros(len(others))
-            for d in range(matrix.shape[1]):  # summed in the order of the dimensions, as the definition does
-                dot += matrix[:, d, None] * rows[None, :, d]
-                size += rows[:, d] * rows[:, d]
-            likeness = np.round(dot / np.sqrt(size), 12)
-            likeness[ids[:, None] == others[None, :]] = -np.inf
-            by = np.lexsort((np.broadcast_to(others, likeness.shape), -likeness), axis=1)[:, :neighbours]
-            s, best = np.repeat(ids, by.shape[1]), np.take_along_axis(likeness, by, axis=1).ravel()
-            real = np.isfinite(best)
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in (s[real], others[by].ravel()[real], best[real])], schema=schema)
+        best = np.empty(0, dtype=np.int64), np.empty(0, dtype=np.int64), np.empty(0)
+        with np.errstate(all="ignore"):
+            for batch in batches:
+                for lo in range(0, batch.num_rows, step):
+                    part = batch.slice(lo, step)
+                    rows = part.column("e").flatten().to_numpy(zero_copy_only=False).reshape(part.num_rows, -1)
+                    best = better(best, part.column("vec_id").to_numpy(), rows)
+        who, there, likeness = best
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in (ids[who], there, likeness)], schema=schema)
 
     return run
