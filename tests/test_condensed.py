@@ -55,3 +55,42 @@ def test_rows_with_both_ends_are_checked_without_all_pairs(spark):
     g = Graph(spark, {"near": lambda: near, "of": lambda: of}, lambda c: None)
     got = {(r.x, r.y) for r in g.match("SELECT ?x ?y WHERE { ?x of ?p . ?y of ?p . ?x near+ ?y }").collect()}
     assert got == {(i, i ^ 1) for i in range(n)}
+
+
+def test_sides_of_many_equal_rows_are_connected_by_the_predicate(spark, monkeypatch):
+    from reachgraph.plans import engine
+
+    near = spark.createDataFrame([(i, i + 1) for i in range(0, 60, 3)] + [(i + 1, i + 2) for i in range(0, 60, 6)], "s long, o long")
+    of = spark.createDataFrame([(i, 5000 + i % 2) for i in range(60)], "s long, o long")
+    kind = spark.createDataFrame([(i, 9000) for i in range(60)], "s long, o long")
+    got = []
+    for most in (0, 10**9):
+        monkeypatch.setattr(engine, "CROWD", most)
+        g = Graph(spark, {"near": lambda: near, "of": lambda: of, "kind": lambda: kind}, lambda c: 9000)
+        got.append(sorted((r.x, r.y) for r in g.match('SELECT ?x ?y WHERE { ?x kind "k" . ?x of ?b . ?y of ?b . ?x near+ ?y }').collect()))
+    assert got[0] == got[1] == [(i, i + 2) for i in range(0, 60, 6)]
+
+
+def test_nearest_vectors_are_found_slice_by_slice(spark, monkeypatch, tmp_path):
+    import numpy as np
+
+    from reachgraph.sources import graphs
+
+    rng = np.random.default_rng(3)
+    vectors = rng.normal(size=(60, 5)).round(1)
+    vectors[40:] = vectors[:20]  # ties
+    rows = [(i, [float(x) for x in v]) for i, v in enumerate(vectors)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").coalesce(2).write.parquet(f"{tmp_path}/embeddings.parquet")
+    monkeypatch.setattr(graphs, "CELLS", 150)
+    e, want = np.array([r[1] for r in rows], dtype=np.float32).astype(np.float64), set()
+    for i in range(60):
+        like = [(-round(float(sum(e[i] * e[j])) / float(np.sqrt(sum(e[j] * e[j]))), 12), j) for j in range(60) if j != i and e[j].any()]
+        want |= {(i, j) for _, j in sorted(like)[:3]}
+    run, most = graphs._nearest, []
+
+    def watched(ids, matrix, neighbours):
+        most.append(len(ids))
+        return run(ids, matrix, neighbours)
+
+    monkeypatch.setattr(graphs, "_nearest", watched)
+    assert {(r.s, r.t) for r in graphs.near_edges(spark, str(tmp_path)).collect()} == want and most == [60]
