@@ -5,7 +5,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from reachgraph.llm.line_dedup import CHAR_EDITS, LEAST_WORDS, MOST_EDITS, WORDS_PER_EDIT, bucket_rows, drop_duplicate_lines, near_duplicate_lines, within
+from reachgraph.llm.line_dedup import CHAR_EDITS, LEAST_WORDS, MOST_EDITS, WORDS_PER_EDIT, bucket_rows, drop_duplicate_lines, near_duplicate_lines, possible_links, token_rows, within
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, node long, units string, key string"
 
@@ -122,3 +122,32 @@ def test_lines_within_the_threshold_share_a_key(spark):
                 close += 1
                 assert keys[x] & keys[y], (a, b)
     assert close > 20
+
+
+def test_lines_that_differ_in_distant_places_are_not_proposed(spark):
+    # one edit is allowed; the first word and the last one differ, which changes few tokens but takes two edits
+    words = [f"w{i}" for i in range(20)]
+    lines = [[f"a{k % 4}", *words, f"b{k // 4}"] for k in range(16)]
+    rows = [(k, True, len(units), units) for k, units in enumerate(lines)]
+    tokens = token_rows(spark.createDataFrame(rows, "node long, by_words boolean, n int, units array<string>"))
+    open_ = spark.createDataFrame([(k, k, k > 0) for k in range(16)], "node long, label long, outer boolean")
+    got = {(r.a, r.b) for r in possible_links(tokens, open_).collect()}
+    near = {(x, y) for x in range(16) for y in range(x) if distance(lines[x], lines[y]) == 1}
+    assert near <= got and len(got) < 16 * 15 // 2
+
+
+def test_first_tokens_propose_all_links(spark):
+    rng = random.Random(5)
+    vocabulary = [f"w{i}" for i in range(12)]
+    rows = []
+    for n in (9, 21, 38, 41, 61, 82):
+        words = rng.choices(vocabulary, k=n)
+        for _ in range(14):
+            units = edited(rng, words, lambda: rng.choice(vocabulary))
+            rows.append((len(rows), True, len(units), units))
+    rows = [r for r in rows if r[2] >= LEAST_WORDS]
+    tokens = token_rows(spark.createDataFrame(rows, "node long, by_words boolean, n int, units array<string>"))
+    open_ = spark.createDataFrame([(r[0], r[0], True) for r in rows], "node long, label long, outer boolean")
+    got = {(r.a, r.b) for r in possible_links(tokens, open_).collect()}
+    near = {(x[0], y[0]) for x in rows for y in rows if x[0] > y[0] and distance(x[3], y[3]) <= min(MOST_EDITS, max(1, min(x[2], y[2]) // WORDS_PER_EDIT))}
+    assert len(near) > 40 and near <= got
