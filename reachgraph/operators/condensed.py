@@ -2,9 +2,10 @@
 
 Vertices of one strongly connected component reach the same, so the smallest
 stands for all of them. The largest component, the hub, is taken out: what leads
-into it reaches all that it leads to. What is left has few and short paths and
-gets a ``ReachIndex``. A pair holds over the hub or in what is left, and is
-found in one of the two only.
+into it reaches all that it leads to. What is left has few and short paths. It
+is sent to the tasks whole, which share the sources; where it is large, or where
+options say how an index is laid out, it gets a ``ReachIndex``. A pair holds
+over the hub or in what is left, and is found in one of the two only.
 """
 
 from __future__ import annotations
@@ -18,13 +19,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from reachgraph.functions.kernels import components
+from reachgraph.functions.kernels import Dag, components
 from reachgraph.operators.partition import TASK_EDGES
 from reachgraph.operators.reach_index import ReachIndex, one_step, same
 from reachgraph.session import materialise
 
 #: Ends of a question that are sent to all executors; more are joined by shuffle.
 SENT_ROWS = 500_000
+#: Edges of what is left that are sent to all executors; more are laid out in shards.
+SENT_EDGES = 2_000_000
 
 _KNOTS = pa.schema([("v", pa.int64()), ("scc", pa.int64()), ("hub", pa.bool_()), ("into", pa.bool_()), ("out", pa.bool_())])
 
@@ -82,13 +85,26 @@ class CondensedIndex:
         return cls(edges, knots, options)
 
     @cached_property
-    def inner(self) -> ReachIndex:
-        """Index of what is left: knots by their smallest vertex, the hub taken out; built when first asked for."""
+    def left(self) -> DataFrame:
+        """Edges (s, t) of what is left: knots by their smallest vertex, the hub taken out."""
         left = self.edges
         for end in ("s", "t"):
             of = self.knots.select(F.col("v").alias(end), "scc", "hub")
             left = left.join(of, end, "left").where("not coalesce(hub, false)").withColumn(end, F.coalesce("scc", end)).drop("scc", "hub")
-        return ReachIndex.build(left.select("s", "t"), **self.options)
+        return materialise(left.select("s", "t").distinct(), "left")
+
+    @cached_property
+    def inner(self) -> ReachIndex:
+        """Index of what is left; built when first asked for."""
+        return ReachIndex.build(self.left, **self.options)
+
+    @cached_property
+    def whole(self) -> object:
+        """Broadcast of what is left as one DAG; None where it is large or options ask for an index."""
+        if self.options or self.left.count() > SENT_EDGES:
+            return None
+        got = self.left.toArrow()
+        return self.edges.sparkSession.sparkContext.broadcast(Dag.of(*(got[c].to_numpy().astype(np.int64) for c in ("s", "t"))))
 
     @property
     def cut(self) -> DataFrame:
@@ -103,6 +119,10 @@ class CondensedIndex:
     def _rest(self, sources: DataFrame, targets: DataFrame, direction: str = "forward") -> DataFrame:
         """(x_scc, y_scc): what named ends reach, cycles included, without the hub."""
         x, y = (ends.where(f"not {n}_hub").select(F.col(f"{n}_scc").alias("v")).distinct() for ends, n in ((sources, "x"), (targets, "y")))
+        if self.whole is not None and (sent := y.limit(SENT_ROWS + 1).toArrow()).num_rows <= SENT_ROWS:
+            known = self.left.select(F.col("s").alias("v")).distinct()  # where no edge begins, nothing is reached
+            tasks = 4 * x.sparkSession.sparkContext.defaultParallelism
+            return x.join(known, "v", "left_semi").repartition(tasks).mapInArrow(_walked(self.whole, sent["v"].to_numpy().astype(np.int64)), "x_scc long, y_scc long")
         return self.inner.set_reach(x, y, "+", plus="cycle", direction=direction).toDF("x_scc", "y_scc")
 
     def set_reach(self, sources: DataFrame, targets: DataFrame, kind: str = "+", *, plus: str = "distinct", zero_scope: str = "domain", direction: str = "forward") -> DataFrame:
@@ -140,6 +160,21 @@ class CondensedIndex:
         return vertices.select("v").where("v is not null").distinct().join(shared.union(loops), "v", "left_semi")
 
 
+def _walked(whole: object, targets: np.ndarray):
+    schema = pa.schema([("x_scc", pa.int64()), ("y_scc", pa.int64())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = [b.column("v").to_numpy() for b in batches if b.num_rows]
+        if not got:
+            return
+        sources = np.concatenate(got)
+        for x, y in whole.value.reach_by_blocks(sources, sources, targets, empty_path=False):
+            for lo in range(0, len(x), 1 << 18):
+                yield pa.RecordBatch.from_arrays([pa.array(c[lo : lo + (1 << 18)]) for c in (x, y)], schema=schema)
+
+    return run
+
+
 def _sent(ends: DataFrame) -> DataFrame:
     return F.broadcast(ends) if ends.count() <= SENT_ROWS else ends
 

@@ -43,6 +43,19 @@ def test_hub_is_taken_out_of_the_index(spark):
     assert {(r.x, r.y) for r in ix.set_reach(v, v).collect()} == {(1000, 7), (1000, 2000), (7, 2000)}
 
 
+@pytest.mark.parametrize("most", [0, 10**6])
+def test_what_is_left_is_sent_whole_or_laid_out(spark, monkeypatch, most):
+    from reachgraph.operators import condensed
+
+    monkeypatch.setattr(condensed, "SENT_EDGES", most)
+    ix = CondensedIndex.build(spark.createDataFrame(_world(), "s long, t long"))
+    v = spark.createDataFrame([(x,) for x in range(70)], "v long")
+    assert {(r.x, r.y) for r in ix.set_reach(v, v, "+", plus="cycle").collect()} == search(_world())
+    assert ("inner" in ix.__dict__) == (most == 0)  # before, shards and a boundary were always built
+    monkeypatch.setattr(condensed, "SENT_ROWS", 3)
+    assert {(r.x, r.y) for r in ix.set_reach(v, v, "+", plus="cycle").collect()} == search(_world())
+
+
 def test_acyclic_and_large_graphs_get_a_plain_index(spark):
     assert isinstance(CondensedIndex.build(spark.createDataFrame([(1, 2)], "s long, t long")), ReachIndex)
     assert isinstance(CondensedIndex.build(spark.createDataFrame([(1, 2), (2, 1)], "s long, t long"), task_edges=1), ReachIndex)
