@@ -509,7 +509,7 @@ def drj_two_preds(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(walk("hands_to48", "SELECT a, b FROM e WHERE a IN (SELECT p_partkey FROM part WHERE p_type = 'ECONOMY')") + "SELECT x FROM r WHERE y = (SELECT min(b) FROM e) AND x <> y")
 def drj_constant(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A constant target, the smallest that has an edge into it."""
-    least = edges(spark, sf_dir, "hands_to48").agg(F.min("t")).first()[0]
+    least = graph(spark, sf_dir).edges("hands_to48").agg(term_key(F.min("o"))).first()[0]
     return match(spark, sf_dir, f'SELECT ?x WHERE {{ ?x type "ECONOMY" . ?x hands_to48+ part/{least} }}')
 
 
