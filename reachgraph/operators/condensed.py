@@ -160,6 +160,22 @@ class CondensedIndex:
         return vertices.select("v").where("v is not null").distinct().join(shared.union(loops), "v", "left_semi")
 
 
+def layered(edges: DataFrame, middle: DataFrame) -> DataFrame:
+    """Edges (s, t) of two copies of a graph, v as 2v and as 2v + 1; each vertex of ``middle(v)`` leads from the first copy to the second.
+
+    So 2x reaches 2y + 1 where x reaches, in no edge or more, a vertex of ``middle`` and that reaches y.
+    """
+    one, two = (edges.select(*[(F.col(c) * 2 + k).alias(c) for c in ("s", "t")]) for k in (0, 1))
+    over = middle.where("v is not null").distinct().select((F.col("v") * 2).alias("s"), (F.col("v") * 2 + 1).alias("t"))
+    return one.union(two).union(over)
+
+
+def reach_over(index: CondensedIndex | ReachIndex, sources: DataFrame, targets: DataFrame) -> DataFrame:
+    """Distinct pairs (x, y) that an index over ``layered`` edges connects."""
+    x, y = (ends.select((F.col("v") * 2 + k).alias("v")) for k, ends in enumerate((sources, targets)))
+    return index.set_reach(x, y, "+").select(*[F.shiftright(c, 1).alias(c) for c in ("x", "y")])
+
+
 def _walked(whole: object, targets: np.ndarray):
     schema = pa.schema([("x_scc", pa.int64()), ("y_scc", pa.int64())])
 

@@ -84,6 +84,51 @@ def test_sides_of_many_equal_rows_are_connected_by_the_predicate(spark, monkeypa
     assert got[0] == got[1] == [(i, i + 2) for i in range(0, 60, 6)]
 
 
+@pytest.mark.parametrize(("marks", "plus"), [("+*", "distinct"), ("*+", "cycle"), ("++", "distinct")])
+def test_middle_that_no_one_asks_for_is_never_joined(spark, monkeypatch, marks, plus):
+    from reachgraph.plans import engine
+    from reachgraph.plans.engine import _Run
+
+    edges = _world()
+    kinds = [(v, 9000 + (v % 4 if v % 5 else 2)) for v in range(70)] + [(v, 9002) for v in (0, 3, 99)] + [(v, 9001) for v in (51, 52, 98, 99)] + [(v, 9003) for v in (52, 61, 99)]  # some in two classes, some on no edge
+    near, kind = spark.createDataFrame(edges, "s long, o long"), spark.createDataFrame(kinds, "s long, o long")
+    of = lambda k: {v for v, c in kinds if c == k}
+    pairs = search(edges)
+    legs = [pairs if m == "+" and plus == "cycle" else {p for p in pairs if p[0] != p[1]} | ({(v, v) for v in range(100)} if m == "*" else set()) for m in marks]
+    want = {(a, c) for a, b in legs[0] if a in of(9001) and b in of(9002) for d, c in legs[1] if d == b and c in of(9003)}
+    monkeypatch.setattr(engine, "CROWD", -1)
+    g = Graph(spark, {"near": lambda: near, "kind": lambda: kind}, lambda c: int(c.text), plus=plus)
+    text = 'SELECT DISTINCT ?a ?c WHERE {{ ?a kind "9001" . ?a near{} ?b . ?b kind "9002" . ?b near{} ?c . ?c kind "9003" }}'.format(*marks)
+    got = [(r.a, r.c) for r in g.match(text).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+    assert any("over" in name for name in g._indexes)
+    asked, pairs_of = [], _Run.pairs
+    monkeypatch.setattr(_Run, "pairs", lambda self, x, y, c: asked.append(c) or pairs_of(self, x, y, c))
+    apart = text.replace("9001", "9004")  # a class that shares no vertex with the middle, as the last does not with the second
+    kind = spark.createDataFrame([(v, c) for v, c in kinds if c == 9002] + [(v, 9004) for v in range(70) if v not in of(9002)] + [(v, 9003) for v in range(70) if v not in of(9002)], "s long, o long")
+    g = Graph(spark, {"near": lambda: near, "kind": lambda: kind}, lambda c: int(c.text), plus=plus)
+    rest = {v for v in range(70) if v not in of(9002)}
+    met = {(a, c) for a, b in legs[0] if a in rest and b in of(9002) for d, c in legs[1] if d == b and c in rest}
+    got = [(r.a, r.c) for r in g.match(apart).collect()]
+    assert len(got) == len(set(got)) and set(got) == met and not asked  # before, the pairs of both predicates were joined
+
+
+def test_middle_that_is_asked_for_is_kept(spark, monkeypatch):
+    from reachgraph.plans import engine
+
+    monkeypatch.setattr(engine, "CROWD", -1)
+    near = spark.createDataFrame([(1, 2), (2, 1), (2, 3), (3, 4)], "s long, o long")
+    kind = spark.createDataFrame([(1, 7), (2, 8), (3, 8), (4, 9)], "s long, o long")
+    g = Graph(spark, {"near": lambda: near, "kind": lambda: kind}, lambda c: int(c.text))
+    text = 'SELECT DISTINCT ?a ?b ?c WHERE { ?a kind "7" . ?a near+ ?b . ?b kind "8" . ?b near+ ?c . ?c kind "9" }'
+    assert sorted(map(tuple, g.match(text).collect())) == [(1, 2, 4), (1, 3, 4)]
+    assert [tuple(r) for r in g.match(text.replace("?b ?c WHERE", "?c WHERE")).collect()] == [(1, 4)]
+    assert sorted(map(tuple, g.match(text.replace("DISTINCT ?a ?b", "?a")).collect())) == [(1, 4), (1, 4)]
+    wide = near.selectExpr("s + (1L << 62) AS s", "o + (1L << 62) AS o")
+    g = Graph(spark, {"near": lambda: wide, "kind": lambda: kind.selectExpr("s + (1L << 62) AS s", "o")}, lambda c: int(c.text))
+    assert [tuple(r) for r in g.match(text.replace("?b ?c WHERE", "?c WHERE")).collect()] == [(1 + (1 << 62), 4 + (1 << 62))]
+
+
 def test_nearest_vectors_are_found_slice_by_slice(spark, monkeypatch, tmp_path):
     import numpy as np
 
